@@ -86,6 +86,19 @@ def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str
     return df.mapInArrow(run, schema)
 
 
+def filter_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], list], rows: int = 512) -> DataFrame:
+    """The rows for which fn, given slices of at most `rows` rows, returns true; all columns, no shuffle."""
+    ship(df.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(0, b.num_rows, rows):
+                part = b.slice(at, rows)
+                yield part.filter(pa.array(fn(part), pa.bool_()))
+
+    return df.mapInArrow(run, df.schema)
+
+
 def crc_mod(column: str, k: int):
     """crc32 of a column as text, modulo k: the folds of the contracts."""
     return F.crc32(F.col(column).cast("string").cast("binary")) % F.lit(k)

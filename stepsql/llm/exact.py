@@ -98,6 +98,28 @@ def fingerprints(docs: DataFrame, with_text: bool = False) -> DataFrame:
     return map_batches(rows, run, "doc_id bigint, print bigint, text_sha256 string" + ", folded binary" * with_text)
 
 
+def keep(docs: DataFrame) -> DataFrame:
+    """One row of each class of equal texts, all columns: the one with the largest doc_id (nulls last; of
+    repeated rows one)."""
+    ship(docs.sparkSession)
+    at = docs.columns.index("text")
+
+    def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for k in range(0, b.num_rows, 512):
+                part = b.slice(k, 512)
+                own = [fingerprint(hashlib.sha256(fold(t)).digest()) for t in part.column(at).to_pylist()]
+                yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), *part.columns], names=["print", *part.schema.names])
+
+    repeated = written(repeated_prints(fingerprints(docs)))
+    marked = docs.mapInArrow(mark, "print bigint, " + ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema))
+    alone = marked.join(repeated.select("print"), "print", "left_anti").select(*docs.columns)
+    row = F.struct(F.col("doc_id").alias("first"), F.struct(*docs.columns).alias("row"))
+    folded = F.translate(F.coalesce("text", F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    groups = marked.join(repeated.select("print"), "print", "left_semi").groupBy("print", folded.alias("folded")).agg(F.max(row).alias("best"))
+    return alone.unionByName(groups.select("best.row.*"))
+
+
 def dedup(docs: DataFrame) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256 for every row of docs, dropped ones too.
 

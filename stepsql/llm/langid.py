@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_mod, map_batches, pick
+from .common import crc_mod, filter_batches, map_batches, pick
 
 BITS = 13
 UNKNOWN = "und"
@@ -144,6 +144,27 @@ def fit(docs: DataFrame, config: Config = Config()) -> Model | None:
     return train(rows, config) if rows else None
 
 
+def tell(text: str | None, model: Model | None) -> tuple[str, float, bool]:
+    """Language, calibrated score, and whether the prediction is rejected."""
+    counts = subwords(text) if text and model else None
+    if counts is None:
+        return UNKNOWN, 0.0, True
+    p = _softmax(((counts @ model.table) / counts.sum() + model.bias)[None] / model.temperature)[0]
+    best = int(p.argmax())
+    return model.languages[best], float(p[best]), bool(p[best] < model.floor)
+
+
+def keep(docs: DataFrame, model: Model | None) -> DataFrame:
+    """The rows of docs that are not rejected, all columns. Without a model: those with a letter in their text."""
+    at = docs.columns.index("text")
+
+    def accepted(b: pa.RecordBatch) -> list:
+        texts = b.column(at).to_pylist()
+        return [not tell(t, model)[2] for t in texts] if model else [bool(t) and subwords(t) is not None for t in texts]
+
+    return filter_batches(docs, accepted)
+
+
 def predict(docs: DataFrame, model: Model | None) -> DataFrame:
     """doc_id, held_out, lang_pred, score, rejected for every row of docs.
 
@@ -153,16 +174,8 @@ def predict(docs: DataFrame, model: Model | None) -> DataFrame:
     to the first language by name. Whole texts count, however long. Other columns are ignored."""
 
     def run(b: pa.RecordBatch) -> dict:
-        names, scores, out = [], [], []
-        for text in b.column(1).to_pylist():
-            counts = subwords(text) if text and model else None
-            if counts is None:
-                names.append(UNKNOWN), scores.append(0.0), out.append(True)
-                continue
-            z = (counts @ model.table) / counts.sum() + model.bias
-            p = _softmax(z[None] / model.temperature)[0]
-            best = int(p.argmax())
-            names.append(model.languages[best]), scores.append(float(p[best])), out.append(bool(p[best] < model.floor))
+        found = [tell(text, model) for text in b.column(1).to_pylist()]
+        names, scores, out = zip(*found) if found else ((), (), ())
         return {"doc_id": b.column(0), "held_out": b.column(2), "lang_pred": names, "score": scores, "rejected": out}
 
     rows = pick(docs, "doc_id", "text").select("doc_id", "text", F.coalesce(crc_mod("doc_id", 4) == 2, F.lit(False)).alias("held_out"))

@@ -1,11 +1,11 @@
 """License scans by diagonal voting, with DataFrame operations only.
 
-Templates are short phrases and longer notices. Every rolling k-gram of a text's words (k = 2 for
-templates of two words, k = 3 for the others) is joined by hash to the positions of that k-gram in
+Templates are short phrases and longer notices. Every rolling 2-gram of a text's words (the shortest
+template has two) is joined by hash to the positions of that 2-gram in
 the templates; equal hashes are checked by the words themselves. A hit votes for the diagonal
 `word position - template position`. Votes are summed by diagonal; diagonals of one template
 that lie close together (words put in or left out) are merged; a merged span counts if it is
-complete enough and not too long. For a base phrase all of its k-grams must vote on one diagonal,
+complete enough and not too long. For a base phrase all of its 2-grams must vote on one diagonal,
 which is the case exactly where its words stand consecutively.
 
 The joined side is the template table, whose size is fixed by the templates given. All rows of a
@@ -62,20 +62,19 @@ class Config:
     base: tuple[tuple[str, str], ...] = BASE
     notices: tuple[tuple[str, str], ...] = NOTICES
     slack: int = 6  # diagonals of one template no further apart than this are merged
-    least: float = 0.6  # share of a notice's k-grams that a span needs
+    least: float = 0.6  # share of a notice's 2-grams that a span needs
     longest: float = 1.6  # times the notice's length that a span may have
 
 
 def template_rows(config: Config) -> list[tuple]:
-    """(gram, template, base, label, position, grams): a row for each k-gram of each template."""
+    """(first, second, template, base, label, position, grams): a row for each 2-gram of each template."""
     rows = []
     for number, (phrase, label) in enumerate(config.base + config.notices):
         words = phrase.lower().split()
-        k = 2 if len(words) == 2 else 3
         if len(words) < 2:
             raise ValueError("a template needs two words or more")
-        n = len(words) - k + 1
-        rows += [(" ".join(words[p : p + k]), number, number < len(config.base), label, p, n) for p in range(n)]
+        n = len(words) - 1
+        rows += [(*words[p : p + 2], number, number < len(config.base), label, p, n) for p in range(n)]
     return rows
 
 
@@ -90,33 +89,31 @@ def scan(docs: DataFrame, config: Config = Config()) -> DataFrame:
 
     n_base counts every place of every base phrase, overlapping ones too; first_word and last_word are
     the smallest and largest start (null without one); labels adds those of the notices found;
-    score is the largest share of a notice's or phrase's k-grams that one accepted span holds (0 without
+    score is the largest share of a notice's or phrase's 2-grams that one accepted span holds (0 without
     any); spans lists the accepted spans as (label, first word, words, share).
     Null and empty texts have no words and no labels. Repeated rows give repeated results, also
     under one doc_id or none. Whole texts count, however long. Other columns are ignored.
     """
     spark = docs.sparkSession
-    grams = spark.createDataFrame(template_rows(config), "gram string, template int, base boolean, label string, position int, grams int")
-    sentinel = spark.createDataFrame([("", -1, False, "", 0, 1)], grams.schema)
-    # fixed size: a row for each k-gram of the given templates
-    table = F.broadcast(grams.union(sentinel).withColumn("hash", F.xxhash64("gram")))
+    grams = spark.createDataFrame(template_rows(config), "first string, second string, template int, base boolean, label string, position int, grams int")
+    sentinel = spark.createDataFrame([("", "", -1, False, "", 0, 1)], grams.schema)
+    # fixed size: a row for each 2-gram of the given templates
+    table = F.broadcast(grams.union(sentinel).withColumn("hash", F.xxhash64("first", "second")))
 
     rows = pick(docs, "doc_id", "text").select(
         F.col("doc_id").cast("bigint").alias("doc_id"), F.monotonically_increasing_id().alias("row"), _words("text").alias("w")
     )
 
-    def rolling(k: int) -> Column:
-        ends = F.size("w") - k
-        at = F.when(ends >= 0, F.sequence(F.lit(0), ends)).otherwise(F.array().cast("array<int>"))
-        return F.transform(at, lambda i: F.struct(i.alias("at"), F.xxhash64(F.concat_ws(" ", *[F.get("w", i + d) for d in range(k)])).alias("hash")))
-
-    alone = F.array(F.struct(F.lit(-1).alias("at"), F.xxhash64(F.lit("")).alias("hash")))
+    ends = F.size("w") - 2
+    starts = F.when(ends >= 0, F.sequence(F.lit(0), ends)).otherwise(F.array().cast("array<int>"))
+    rolling = F.transform(starts, lambda i: F.struct(i.alias("at"), F.xxhash64(F.get("w", i), F.get("w", i + 1)).alias("hash")))
+    alone = F.array(F.struct(F.lit(-1).alias("at"), F.xxhash64(F.lit(""), F.lit("")).alias("hash")))
     hits = (
-        rows.select("doc_id", "row", "w", F.size("w").cast("bigint").alias("n_words"), F.explode(F.concat(alone, rolling(2), rolling(3))).alias("g"))
+        rows.select("doc_id", "row", "w", F.size("w").cast("bigint").alias("n_words"), F.explode(F.concat(alone, rolling)).alias("g"))
         .join(table, F.col("g.hash") == table["hash"])
         # equal hashes are not enough: the words have to be the template's
         .where((F.col("g.at") < 0) == (F.col("template") < 0))
-        .where((F.col("template") < 0) | (F.array_join(F.slice("w", F.greatest(F.col("g.at"), F.lit(0)) + 1, F.size(F.split("gram", " "))), " ") == F.col("gram")))
+        .where((F.col("template") < 0) | ((F.get("w", F.col("g.at")) == F.col("first")) & (F.get("w", F.col("g.at") + 1) == F.col("second"))))
         .select("doc_id", "row", "n_words", "template", "base", "label", "grams", "position", F.col("g.at").alias("at"))
         .repartition(F.col("row"))
     )
@@ -126,10 +123,10 @@ def scan(docs: DataFrame, config: Config = Config()) -> DataFrame:
     # base phrases: a merged span is one diagonal; notices: diagonals within the slack
     line = Window.partitionBy("row", "template").orderBy("diagonal")
     gap = F.col("diagonal") - F.lag("diagonal").over(line)
-    starts = F.when(gap.isNull() | F.col("base") | (gap > config.slack), 1).otherwise(0)
+    opens = F.when(gap.isNull() | F.col("base") | (gap > config.slack), 1).otherwise(0)
     spans = (
-        votes.withColumn("starts", starts)
-        .withColumn("span", F.sum("starts").over(line.rowsBetween(Window.unboundedPreceding, 0)))
+        votes.withColumn("opens", opens)
+        .withColumn("span", F.sum("opens").over(line.rowsBetween(Window.unboundedPreceding, 0)))
         .groupBy("row", "doc_id", "n_words", "template", "base", "label", "grams", "span")
         .agg(F.sum("votes").alias("votes"), F.min("begin").alias("begin"), F.max("end").alias("end"))
         .withColumn("share", F.least(F.lit(1.0), F.col("votes") / F.col("grams")))

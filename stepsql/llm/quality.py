@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_mod, map_batches, pick
+from .common import crc_mod, filter_batches, map_batches, pick
 
 FEATURES = (
     "log_chars", "letters", "upper", "digits", "spaces", "marks", "odd_marks", "bars", "wide",
@@ -200,3 +200,14 @@ def predict(docs: DataFrame, model: Model | None) -> DataFrame:
 
     rows = pick(docs, "doc_id", "text").select("doc_id", "text", F.coalesce(crc_mod("doc_id", 3) == 1, F.lit(False)).alias("held_out"))
     return map_batches(rows, run, "doc_id bigint, held_out boolean, score double, predicted int")
+
+
+def keep(docs: DataFrame, model: Model | None, config: Config = Config()) -> DataFrame:
+    """The rows of docs that score config.reject_below or more, all columns; all rows without a model."""
+    at = docs.columns.index("text")
+
+    def accepted(b: pa.RecordBatch) -> list:
+        x = np.array([measure(t or "") for t in b.column(at).to_pylist()]).reshape(-1, len(FEATURES))
+        return list(score_features(x, model) >= config.reject_below)
+
+    return filter_batches(docs, accepted) if model else docs

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, exact, langid, license, quality, shard
+from . import bpe, exact, html, langid, license, packing, quality, shard, simhash, topk
 from .common import read
 
 
@@ -34,9 +34,29 @@ def op7_bpe_encode(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(read(spark, sf_dir, "documents"), keep_ids=False)
 
 
+def op4_simhash_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.components(read(spark, sf_dir, "documents"))
+
+
+def op8_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = read(spark, sf_dir, "embeddings")
+    return topk.top_k(vectors, vectors.where("vec_id % 50 = 0"))
+
+
+def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html.extract(read(spark, sf_dir, "pages"))
+
+
+def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(read(spark, sf_dir, "documents"))
+
+
 QUERIES = {
     f.__name__: f
-    for f in (op1_license_scan, op2_exact_dedup, op3_quality_classifier, op5_language_id, op6_sharding, op7_bpe_encode)
+    for f in (
+        op1_license_scan, op2_exact_dedup, op3_quality_classifier, op4_simhash_near_dup, op5_language_id,
+        op6_sharding, op7_bpe_encode, op8_exact_topk, op9_html_extraction, op10_best_fit_packing,
+    )
 }
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -45,15 +65,15 @@ _FOLDED = f"translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}')"
 
 def _license_sql() -> str:
     config = license.Config()
-    rows = ", ".join(f"('{g}', {t}, {str(b).lower()}, '{label}', {p}, {n})" for g, t, b, label, p, n in license.template_rows(config))
+    rows = ", ".join(f"('{x} {y}', {t}, {str(b).lower()}, '{label}', {p}, {n})" for x, y, t, b, label, p, n in license.template_rows(config))
     return f"""
 WITH texts AS (
   SELECT doc_id, row_number() OVER () AS row, regexp_extract_all({_FOLDED}, '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS w FROM documents),
 templates(gram, template, base, label, position, grams) AS (VALUES {rows}),
-places AS (SELECT row, k, unnest(range(len(w) - k + 1)) AS at, w FROM texts, (VALUES (2), (3)) AS s(k) WHERE len(w) >= k),
-grams AS (SELECT row, at, array_to_string(w[at + 1 : at + k], ' ') AS gram FROM places),
+places AS (SELECT row, unnest(range(len(w) - 1)) AS place, w FROM texts WHERE len(w) >= 2),
+grams AS (SELECT row, place, w[place + 1] || ' ' || w[place + 2] AS gram FROM places),
 votes AS (
-  SELECT row, template, base, label, grams, at - position AS diagonal, count(*) AS votes, min(at) AS begin, max(at) AS ending
+  SELECT row, template, base, label, grams, place - position AS diagonal, count(*) AS votes, min(place) AS begin, max(place) AS ending
   FROM grams JOIN templates USING (gram) GROUP BY ALL),
 marked AS (
   SELECT *, CASE WHEN base OR coalesce(diagonal - lag(diagonal) OVER line > {config.slack}, true) THEN 1 ELSE 0 END AS starts
@@ -81,4 +101,11 @@ ORACLE_SQL = {
 WITH n AS (SELECT doc_id, {_FOLDED} AS t FROM documents),
 g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM n GROUP BY t)
 SELECT n.doc_id, g.keep_id, g.group_size, n.doc_id = g.keep_id AS kept, sha256(n.t) AS text_sha256 FROM n JOIN g USING (t)""",
+    "op8_exact_topk": """
+WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS q FROM embeddings),
+pairs AS (
+  SELECT a.vec_id AS query_id, b.vec_id, list_dot_product(a.q, b.q)::BIGINT AS score
+  FROM v a JOIN v b ON a.vec_id <> b.vec_id WHERE a.vec_id % 50 = 0),
+ranked AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank FROM pairs)
+SELECT query_id, rank, vec_id, score FROM ranked WHERE rank <= 5""",
 }
