@@ -82,7 +82,7 @@ numbered AS (SELECT *, sum(starts) OVER (PARTITION BY row, template ORDER BY dia
 spans AS (
   SELECT row, template, base, label, grams, span, sum(votes) AS votes, min(begin) AS begin, max(ending) AS ending,
     least(1.0::DOUBLE, sum(votes)::DOUBLE / grams) AS share
-  FROM numbered GROUP BY ALL),
+  FROM numbered GROUP BY row, template, base, label, grams, span),
 taken AS (
   SELECT *, base AND votes = grams AS whole,
     (base AND votes = grams) OR (NOT base AND share >= {config.least} AND ending - begin + 1 <= {config.longest} * grams + {config.slack}) AS accepted
