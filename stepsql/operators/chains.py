@@ -30,7 +30,7 @@ def compose(steps: list[tuple[str, str]], close: str | None = None, upto: int |
 def compose_column(chains: DataFrame) -> DataFrame:
     """qid, traj_id, query: the same for a whole table of chains, in column form."""
     named = F.filter("steps", lambda s: s["kind"] == "step")
-    close = F.element_at(F.filter("steps", lambda s: s["kind"] == "close"), 1)["sql"]
+    close = F.get(F.filter("steps", lambda s: s["kind"] == "close"), F.lit(0))["sql"]
     ctes = F.array_join(F.transform(named, lambda s: F.concat(s["name"], F.lit(" AS ("), s["sql"], F.lit(")"))), ", ")
     return chains.select("qid", "traj_id", F.concat(F.when(F.size(named) > 0, F.concat(F.lit("WITH "), ctes, F.lit(" "))).otherwise(""), close).alias("query"))
 

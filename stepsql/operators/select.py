@@ -53,5 +53,6 @@ def pairwise_wins(cands: DataFrame, by: str = "reward") -> DataFrame:
 
 def pareto(points: DataFrame, cost: str, value: str) -> DataFrame:
     """Points that no cheaper or equally cheap point matches in value. A reported curve has few points; they are ranked in one task."""
-    before = Window.orderBy(F.col(cost), F.desc(value)).rowsBetween(Window.unboundedPreceding, -1)
+    rest = sorted(c for c in points.columns if c not in (cost, value))
+    before = Window.orderBy(F.col(cost), F.desc(value), *rest).rowsBetween(Window.unboundedPreceding, -1)
     return points.withColumn("seen", F.max(value).over(before)).where(F.col("seen").isNull() | (F.col(value) > F.col("seen"))).drop("seen")

@@ -1,4 +1,4 @@
 """Registry of queries over the given tables, with the SQL that DuckDB can check them by."""
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+from . import core, logs  # noqa: F401
+from .registry import ORACLE_SQL, QUERIES  # noqa: F401
