@@ -1,0 +1,138 @@
+"""Policy optimisation of a slot policy: softmax logits over the tokens of every slot of a question's chain.
+
+A stand-in for a language model that keeps the algorithm whole: groups of sampled chains, outcome and step rewards,
+group-standardised advantages, clipped ratios, a divergence penalty. A round is a few aggregations; the
+policy is a table, written each round, so lineage stays short."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from stepsql.config import RewardConfig, TrainConfig
+from stepsql.sources.shared import written
+
+from . import advantage as adv
+from .policy import uniform
+from .reward import step_reward, trajectory_reward
+
+CONTEXT = ("qid", "slot")
+
+
+def slot_world(spark: SparkSession, questions: int = 24, slots: int = 4, tokens: int = 5, seed: int = 3) -> DataFrame:
+    """qid, slot, token, right, logit: one right token a slot, all logits 0."""
+    q = spark.range(questions).withColumnRenamed("id", "qid")
+    grid = q.select("qid", F.explode(F.sequence(F.lit(1), F.lit(slots))).alias("slot")).select("qid", "slot", F.explode(F.sequence(F.lit(0), F.lit(tokens - 1))).alias("token"))
+    best = F.pmod(F.xxhash64(F.lit(seed), "qid", "slot"), F.lit(tokens))
+    return grid.withColumn("right", (F.col("token") == best).cast("int")).withColumn("logit", F.lit(0.0))
+
+
+def probabilities(policy: DataFrame) -> DataFrame:
+    own = Window.partitionBy(*CONTEXT)
+    e = F.exp(F.col("logit") - F.max("logit").over(own))
+    p = policy.withColumn("e_", e).withColumn("p", F.col("e_") / F.sum("e_").over(own)).drop("e_")
+    return p.withColumn("entropy", -F.sum(F.col("p") * F.ln(F.greatest("p", F.lit(1e-12)))).over(own))
+
+
+def sample_group(policy: DataFrame, group: int, salt: int, temperature: float = 1.0, greedy: bool = False) -> DataFrame:
+    """qid, traj_id, slot, token, right, p, entropy: one row a chosen token."""
+    p = probabilities(policy if temperature == 1.0 else policy.withColumn("logit", F.col("logit") / temperature))
+    table = p.groupBy(*CONTEXT).agg(F.array_sort(F.collect_list(F.struct("token", "p", "right"))).alias("t"), F.max("entropy").alias("entropy"))
+    asks = table.select("*", F.explode(F.sequence(F.lit(0), F.lit(group - 1))).alias("traj_id"))
+    if greedy:
+        pick = F.array_max(F.transform("t", lambda x: F.struct(x["p"].alias("p"), (-x["token"]).alias("o"), x.alias("x"))))["x"]
+    else:
+        u = uniform("qid", "slot", "traj_id", F.lit(salt))
+        run = F.aggregate(
+            "t", F.struct(F.lit(0.0).alias("sum"), F.lit(None).cast("struct<token:int,p:double,right:int>").alias("x")),
+            lambda a, x: F.struct((a["sum"] + x["p"]).alias("sum"), F.when(a["x"].isNull() & (a["sum"] + x["p"] > u), x).otherwise(a["x"]).alias("x")),
+            lambda a: a["x"],
+        )
+        pick = F.coalesce(run, F.element_at("t", -1))
+    return asks.withColumn("x", pick).select("qid", "traj_id", "slot", "x.token", "x.right", "x.p", "entropy")
+
+
+def rewarded_group(chosen: DataFrame, seed: int, noise: float = 0.2) -> DataFrame:
+    """Steps with outcome (all tokens right), a noisy score and step rewards."""
+    chain = Window.partitionBy("qid", "traj_id")
+    wobble = noise * (uniform("qid", "traj_id", "slot", F.lit(seed)) - 0.5)
+    steps = chosen.select(
+        "*", F.col("slot").alias("step_no"), F.lit(1).alias("n_tokens"), F.min("right").over(chain).alias("outcome"),
+        F.greatest(F.lit(0.01), F.least(F.lit(0.99), 0.15 + 0.7 * F.col("right") + wobble)).alias("score"), F.col("entropy").alias("h_step"),
+    )
+    return step_reward(steps, RewardConfig(entropy_mode="step", norm_scope="corpus"))
+
+
+def round_update(policy: DataFrame, config: TrainConfig, number: int) -> DataFrame:
+    """The policy after one round: gradient of the clipped surrogate (chains are sampled from the policy itself, so ratios
+    start at 1 inside the band) and of the penalty towards the uniform reference."""
+    steps = adv.standardise(adv.raw(rewarded_group(sample_group(policy, config.group, number * 1000 + config.seed, config.temperature), number), config.use_step))
+    gain = steps.groupBy(*CONTEXT, "token").agg((F.sum("adv") / config.group).alias("gain"))
+    mass = steps.groupBy(*CONTEXT).agg((F.sum("adv") / config.group).alias("mass"))
+    p = probabilities(policy).join(gain, [*CONTEXT, "token"], "left").join(mass, list(CONTEXT), "left")
+    tokens = F.count("*").over(Window.partitionBy(*CONTEXT))
+    drift = F.col("p") * (F.ln(F.col("p") * tokens) - F.sum(F.col("p") * F.ln(F.col("p") * tokens)).over(Window.partitionBy(*CONTEXT)))
+    up = F.coalesce("gain", F.lit(0.0)) - F.coalesce("mass", F.lit(0.0)) * F.col("p") - config.kl * drift
+    return p.select(*CONTEXT, "token", "right", (F.col("logit") + config.rate * up).alias("logit"))
+
+
+def dev_accuracy(policy: DataFrame) -> float:
+    best = sample_group(policy, 1, 0, greedy=True).groupBy("qid").agg(F.min("right").alias("outcome"))
+    return 100.0 * best.agg(F.avg("outcome").alias("a")).first().a
+
+
+def train(policy: DataFrame, config: TrainConfig = TrainConfig()) -> tuple[DataFrame, DataFrame]:
+    """(policy, curve of method, round, value): a driver loop over rounds."""
+    points = []
+    name = "step reward" if config.use_step else "outcome only"
+    for number in range(1, config.rounds + 1):
+        policy = written(round_update(policy, config, number))
+        points.append((name, number, dev_accuracy(policy)))
+    return policy, policy.sparkSession.createDataFrame(points, "method string, round int, value double")
+
+
+def select_at(policy: DataFrame, n: int, salt: int = 99) -> DataFrame:
+    """qid, cand, n_steps, reward, outcome, orm, result_key of n sampled chains: candidates for the selection rules."""
+    steps = rewarded_group(sample_group(policy, n, salt), salt)
+    key = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("slot", "token"))), lambda x: x["token"].cast("string")), "-")
+    extra = steps.groupBy("qid", "traj_id").agg(key.alias("result_key"), F.max_by("score", "step_no").alias("orm"))
+    return trajectory_reward(steps).join(extra, ["qid", "traj_id"]).withColumnRenamed("traj_id", "cand")
+
+
+def search_tree(policy: DataFrame, iterations: int, c: float = 2**0.5, seed: int = 5) -> DataFrame:
+    """qid, depth, prefix, visits, wins, sigma of a search by upper confidence bounds: in every iteration each question walks down, at every depth the
+    token of the largest mean success plus exploration (unvisited first), ends with its outcome, and adds it to all prefixes on the way."""
+    spark = policy.sparkSession
+    slots = policy.agg(F.max("slot").alias("m")).first().m
+    options = policy.select("qid", "slot", "token", "right")
+    nodes = written(spark.createDataFrame([], "qid bigint, depth int, prefix string, visits bigint, wins bigint"))
+    for number in range(iterations):
+        walk = policy.select("qid").distinct().withColumn("prefix", F.lit("")).withColumn("ok", F.lit(1)).withColumn("path", F.array().cast("array<string>"))
+        for slot in range(1, slots + 1):
+            here = walk.join(options.where(F.col("slot") == slot).drop("slot"), "qid").withColumn("next", F.concat("prefix", F.lit("/"), F.col("token").cast("string")))
+            seen = here.join(nodes.select("qid", F.col("prefix").alias("next"), "visits", "wins"), ["qid", "next"], "left")
+            total = F.sum(F.coalesce("visits", F.lit(0))).over(Window.partitionBy("qid"))
+            bound = F.when(F.col("visits").isNull(), F.lit(1e9)).otherwise(F.col("wins") / F.col("visits") + c * F.sqrt(F.ln(total + 1) / F.col("visits")))
+            tie = uniform("qid", "token", F.lit(number), F.lit(slot), seed=seed)
+            best = seen.withColumn("b", F.struct(bound.alias("b"), tie.alias("t"))).groupBy("qid").agg(F.max(F.struct("b", "next", "right", "ok", "path")).alias("x"))
+            walk = best.select("qid", F.col("x.next").alias("prefix"), F.least("x.ok", "x.right").alias("ok"), F.concat("x.path", F.array("x.next")).alias("path"))
+        new = walk.select("qid", F.posexplode("path").alias("d", "prefix"), "ok").select("qid", (F.col("d") + 1).alias("depth"), "prefix", F.lit(1).cast("bigint").alias("visits"), F.col("ok").cast("bigint").alias("wins"))
+        nodes = written(nodes.union(new).groupBy("qid", "depth", "prefix").agg(F.sum("visits").alias("visits"), F.sum("wins").alias("wins")))
+    return nodes.withColumn("sigma", F.col("wins") / F.col("visits"))
+
+
+def beam(policy: DataFrame, width: int = 2) -> DataFrame:
+    """qid, rank, tokens, score, right: the chains of largest probability, kept `width` at a time."""
+    p = probabilities(policy).select("qid", "slot", "token", "right", F.ln("p").alias("lp"))
+    held = p.select("qid").distinct().select("qid", F.array().cast("array<int>").alias("tokens"), F.lit(0.0).alias("score"), F.lit(1).alias("right"))
+    for slot in range(1, p.agg(F.max("slot").alias("m")).first().m + 1):
+        step = p.where(F.col("slot") == slot).select("qid", "token", F.col("right").alias("r"), "lp")
+        grown = held.join(step, "qid").select("qid", F.concat("tokens", F.array("token")).alias("tokens"), (F.col("score") + F.col("lp")).alias("score"), F.least("right", "r").alias("right"))
+        order = Window.partitionBy("qid").orderBy(F.desc("score"), "tokens")
+        held = grown.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= width)
+        held = held.select("qid", "tokens", "score", "right", *(["rank"] if slot == step_count(p) else []))
+    return held
+
+
+def step_count(p: DataFrame) -> int:
+    return p.agg(F.max("slot").alias("m")).first().m
