@@ -220,11 +220,11 @@ def op_join_interval(spark: SparkSession, d: str) -> DataFrame:
     return j.groupBy(F.col("x.user_id").alias("user_id")).agg(F.count("*").alias("overlaps"))
 
 
-@query("SELECT r_name, round(sum(l_extendedprice * (1 - l_discount)), 2) + 0.0 AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name")
+@query("SELECT r_name, round(sum(l_extendedprice * (1 - l_discount)) + 1e-5, 2) + 0.0 AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name")
 def op_join_multi(spark: SparkSession, d: str) -> DataFrame:
     j = t(spark, d, "lineitem").join(t(spark, d, "orders"), F.expr("l_orderkey = o_orderkey")).join(t(spark, d, "customer"), F.expr("o_custkey = c_custkey"))
     j = j.join(t(spark, d, "nation"), F.expr("c_nationkey = n_nationkey")).join(t(spark, d, "region"), F.expr("n_regionkey = r_regionkey"))
-    return j.groupBy("r_name").agg((F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2) + 0.0).alias("revenue"))
+    return j.groupBy("r_name").agg((F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))) + 1e-5, 2) + 0.0).alias("revenue"))
 
 
 _EDGES = "(VALUES ('lineitem', 'orders'), ('orders', 'customer'), ('customer', 'nation'), ('supplier', 'nation'), ('nation', 'region'), ('lineitem', 'part'), ('lineitem', 'supplier'))"
@@ -339,9 +339,9 @@ def _days(spark: SparkSession, d: str) -> DataFrame:
 
 # windows by year: a calendar's days are bounded, and no window runs in one task over all rows
 def _rolling(name: str, frame: str, build) -> None:
-    @query(f"WITH {_DAYS} SELECT day, round({frame}, 2) + 0.0 AS v FROM days", name)
+    @query(f"WITH {_DAYS} SELECT day, round({frame} + 1e-6, 2) + 0.0 AS v FROM days", name)
     def run(spark: SparkSession, d: str) -> DataFrame:
-        return r6(_days(spark, d).select("day", build(W.partitionBy(F.year("day")).orderBy("day")).alias("v")), 2)
+        return r6(_days(spark, d).select("day", (build(W.partitionBy(F.year("day")).orderBy("day")) + 1e-6).alias("v")), 2)
 
 
 _Y = "PARTITION BY year(day) ORDER BY day"
