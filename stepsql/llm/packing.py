@@ -2,9 +2,9 @@
 
 Documents longer than a sequence are cut into pieces, the first of which may be shorter. Pieces are dealt by
 hash into cells of bounded size. In a cell, best-fit-decreasing gives the first packing; the local
-search then takes the emptiest bins one by one and exchanges their pieces with those of other underfull
-bins, one for one or one for two, or moves them, so that every step raises the sum of squared fills,
-until a bin is empty and goes. A cell loses less than one sequence to its neighbours.
+search then exchanges pieces between underfull bins, one for one, two for one or one for two, or moves
+them, so that every step raises the sum of squared fills, until bins are empty and go. A cell loses
+less than one sequence to its neighbours.
 """
 
 from __future__ import annotations
@@ -14,9 +14,10 @@ import functools
 import re
 import zlib
 from array import array
+from bisect import bisect_left, bisect_right
 from dataclasses import dataclass
+from itertools import combinations
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -31,7 +32,7 @@ class Config:
     vocabulary: str | None = None  # path of a tokenizers file; None: the installed byte_bpe_50k.json
     ranks: str | None = None  # path of the same vocabulary as ranks; None: the installed file
     cell: int = 8192  # pieces in a cell, in expectation
-    patience: int = 400  # search steps for one bin before the search ends
+    patience: int = 30  # rounds of the search over a cell's bins at most
 
 
 #: Texts of these characters only are split alike by both libraries, whatever their Unicode version.
@@ -103,75 +104,90 @@ def best_fit(lengths: list[int], capacity: int) -> list[list[int]]:
     return bins
 
 
-def improve(bins: list[list[int]], lengths: list[int], capacity: int, patience: int = 400) -> list[list[int]]:
+def improve(bins: list[list[int]], lengths: list[int], capacity: int, patience: int = 30, reach: int = 48) -> list[list[int]]:
     """Local search over underfull bins; returns the bins left, each a list of item numbers.
 
-    The emptiest bin gives. Of its pieces y, a move puts y into a bin with room for it; an
-    exchange puts y into a bin for one piece x < y, or for two pieces x1 + x2 < y, where y fits in what they leave.
-    Both raise the sum of squared fills, as the receiving bin is at least as full as the giving one."""
+    Every step raises the sum of squared fills by bringing a bin nearer to full at the cost of one that is no fuller:
+    it takes a longer piece for one of its own, one piece for two, or two for one, or a piece moves into its room.
+    Slack so gathers in few bins, whose pieces then move elsewhere until they are empty and go. The
+    search ends at the least number of bins that the lengths allow, when a round over all bins changes
+    nothing, or after `patience` rounds; for one exchange it looks at `reach` pieces of fitting lengths at most."""
     total = sum(lengths)
     least = -(-total // capacity)
-    size = np.array(lengths, np.int64)
+    bins = [list(b) for b in bins]
     fill = [sum(lengths[i] for i in b) for b in bins]
-    full = [b for b, f in zip(bins, fill) if f == capacity]
-    open_ = sorted((b for b, f in zip(bins, fill) if f < capacity), key=lambda b: sum(lengths[i] for i in b))
-    while len(open_) > 1 and len(full) + len(open_) > least:
-        giver, rest = list(open_[0]), [list(b) for b in open_[1:]]
-        slack = np.array([capacity - sum(lengths[i] for i in b) for b in rest], np.int64)
-        # places: single pieces and pairs of pieces in the other bins, with what they hold
-        place, held = [], []
-        for k, b in enumerate(rest):
-            for a, i in enumerate(b):
-                place.append((k, i, -1))
-                held.append(lengths[i])
-                for j in b[a + 1 :] if len(b) <= 24 else ():
-                    place.append((k, i, j))
-                    held.append(lengths[i] + lengths[j])
-        own = np.array([p[0] for p in place], np.int64)
-        held = np.array(held, np.int64)
-        stale = np.zeros(len(rest), bool)
-        for _ in range(patience):
-            if not giver:
+    live = sum(1 for b in bins if b)
+    owner = [0] * len(lengths)
+    for k, b in enumerate(bins):
+        for i in b:
+            owner[i] = k
+    # lengths never change, so one sorted list serves every search; only owners do
+    ranked = sorted((i for k, b in enumerate(bins) if fill[k] < capacity for i in b), key=lambda i: lengths[i])
+    keys = [lengths[i] for i in ranked]
+
+    def take(a: int, gone: list[int], b: int, got: list[int]) -> None:
+        for i in gone:
+            bins[a].remove(i)
+            bins[b].append(i)
+            owner[i] = b
+        for i in got:
+            bins[b].remove(i)
+            bins[a].append(i)
+            owner[i] = a
+        moved = sum(lengths[i] for i in got) - sum(lengths[i] for i in gone)
+        fill[a] += moved
+        fill[b] -= moved
+
+    def longer(a: int, held: int, slack: int) -> int:
+        """The longest piece over `held` by at most the slack, of a bin that is no fuller than a; -1 without one."""
+        at = bisect_right(keys, held + slack) - 1
+        for p in range(at, max(-1, at - reach), -1):
+            if keys[p] <= held:
                 break
-            done = False
-            for i in sorted(giver, key=lambda i: -lengths[i]):  # a move
-                fits = np.flatnonzero(slack >= lengths[i])
-                if len(fits):
-                    k = int(fits[slack[fits].argmin()])
-                    giver.remove(i)
-                    rest[k].append(i)
-                    slack[k] -= lengths[i]
-                    stale[k] = True
-                    done = True
+            k = owner[ranked[p]]
+            if k != a and fill[k] <= fill[a]:
+                return ranked[p]
+        return -1
+
+    def fuller(b: int, held: int) -> int:
+        """A piece shorter than `held` whose bin is no emptier than b and has room for the difference; -1 without one."""
+        at = bisect_left(keys, held) - 1
+        for p in range(at, max(-1, at - reach), -1):
+            k = owner[ranked[p]]
+            if k != b and fill[b] <= fill[k] and fill[k] + held - keys[p] <= capacity:
+                return ranked[p]
+        return -1
+
+    for _ in range(patience):
+        changed = False
+        if live <= least:
+            break
+        for a in sorted((k for k in range(len(bins)) if bins[k] and fill[k] < capacity), key=lambda k: (-fill[k], k)):
+            slack = capacity - fill[a]
+            while slack > 0 and bins[a]:
+                best, move = 0, None
+                own = bins[a] if len(bins[a]) <= 24 else bins[a][:24]
+                for gone in ([], *([i] for i in own), *(list(pair) for pair in combinations(own, 2))):
+                    held = sum(lengths[i] for i in gone)
+                    y = longer(a, held, slack)
+                    if y >= 0 and lengths[y] - held > best:
+                        best, move = lengths[y] - held, (gone, y)
+                if move is None:
                     break
-            if done:
-                continue
-            best, what = 0, None
-            for i in giver:  # the exchange that moves most
-                gain = size[i] - held
-                ok = np.flatnonzero((gain > best) & (gain <= slack[own]) & ~stale[own])
-                if len(ok):
-                    at = int(ok[gain[ok].argmax()])
-                    best, what = int(gain[at]), (i, at)
-            if what is None:
-                break
-            i, at = what
-            k, x1, x2 = place[at]
-            giver.remove(i)
-            rest[k].remove(x1)
-            giver.append(x1)
-            if x2 >= 0:
-                rest[k].remove(x2)
-                giver.append(x2)
-            rest[k].append(i)
-            slack[k] -= best
-            stale[k] = True
-        if giver:
+                take(a, move[0], owner[move[1]], [move[1]])
+                slack -= best
+                changed = True
+        for b in sorted((k for k in range(len(bins)) if bins[k] and fill[k] < capacity), key=lambda k: (fill[k], k)):
+            for pair in combinations(bins[b][:24], 2):
+                x = fuller(b, lengths[pair[0]] + lengths[pair[1]])
+                if x >= 0 and owner[pair[0]] == b and owner[pair[1]] == b:
+                    take(owner[x], [x], b, list(pair))
+                    changed = True
+                    break
+        live = sum(1 for b in bins if b)
+        if not changed:
             break
-        fills = [sum(lengths[i] for i in b) for b in rest]
-        full += [b for b, f in zip(rest, fills) if f == capacity]
-        open_ = [b for _, b in sorted(((f, b) for b, f in zip(rest, fills) if f < capacity), key=lambda x: x[0])]
-    return full + open_
+    return [b for b in bins if b]
 
 
 def _pack_cell(capacity: int, patience: int):
