@@ -24,7 +24,8 @@ class Config:
     shards: int = 8
     parcels: int = 4096  # parcels of small groups
     large: int = 4096  # a group is large from 1 / large of all bytes on, so there are at most so many
-    unit: int = 20_000  # rows that one numbering task gets, in expectation
+    unit: int = 512  # rows that a numbered part has at least, in expectation, before a unit is split
+    parts: int = 65_536  # parts that all units together are split into at most, beside one each
 
 
 class Tree:
@@ -127,7 +128,8 @@ def shard(docs: DataFrame, config: Config = Config(), capacity: int | None = Non
     sizes = [u[2] for u in units]
     bins = best_fit_decreasing(sizes, capacity) if capacity else into_bins(sizes, config.shards)
     # a unit with many rows is numbered in as many salted parts as it needs; parts are bounded by rows / unit + units
-    placed = [(key, large, b, max(1, -(-n // config.unit))) for (key, large, _, n), b in zip(units, bins)]
+    unit = max(config.unit, sum(u[3] for u in units) // config.parts)
+    placed = [(key, large, b, max(1, -(-n // unit))) for (key, large, _, n), b in zip(units, bins)]
     fields = "key bigint, large boolean, shard int, parts bigint"
     places = F.broadcast(spark.createDataFrame(placed, fields))
     big = F.broadcast(spark.createDataFrame([(u[0],) for u in units if u[1]], "big bigint"))
