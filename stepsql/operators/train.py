@@ -91,9 +91,10 @@ def train(policy: DataFrame, config: TrainConfig = TrainConfig()) -> tuple[DataF
     return policy, policy.sparkSession.createDataFrame(points, "method string, round int, value double")
 
 
-def select_at(policy: DataFrame, n: int, salt: int = 99) -> DataFrame:
-    """qid, cand, n_steps, reward, outcome, orm, result_key of n sampled chains: candidates for the selection rules."""
-    steps = rewarded_group(sample_group(policy, n, salt), salt)
+def select_at(policy: DataFrame, n: int, salt: int = 99, noise: float = 1.2) -> DataFrame:
+    """qid, cand, n_steps, reward, outcome, orm, result_key of n sampled chains: candidates for the selection rules. The outcome
+    model sees the last step's score only; scores are as noisy as asked."""
+    steps = rewarded_group(sample_group(policy, n, salt), salt, noise)
     key = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("slot", "token"))), lambda x: x["token"].cast("string")), "-")
     extra = steps.groupBy("qid", "traj_id").agg(key.alias("result_key"), F.max_by("score", "step_no").alias("orm"))
     return trajectory_reward(steps).join(extra, ["qid", "traj_id"]).withColumnRenamed("traj_id", "cand")

@@ -9,8 +9,10 @@ from stepsql.config import SearchConfig, TrainConfig
 from stepsql.operators import measures as ms
 from stepsql.operators import select as sel
 from stepsql.operators import train as tr
+from stepsql.sources.carriers import trail_orders
 from stepsql.sources.tables import table
 
+from .carrier_sql import LINES, ORDERS
 from .core import BUDGETS, r6
 from .registry import query
 
@@ -122,6 +124,80 @@ def latency_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ms.latency_breakdown(spark.createDataFrame(rows, "n int, stage string, seconds double"))
 
 
+@query()
+def bank_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The answer formats over the geography questions: chains, direct queries, and flattened chains, each against gold."""
+    from stepsql.operators.chains import compose, flatten
+    from stepsql.operators.execute import run_text
+    from stepsql.sources import bank
+
+    bank.prepare(spark, sf_dir)
+    rows = []
+    for q in [q for q in bank.QUESTIONS if q.db == "geo"]:
+        want = run_text(spark, q.gold)["result_key"]
+        for name, text in (("chain", compose(q.named, q.close)), ("direct", q.gold), ("flat", flatten(q.named, q.close))):
+            got = run_text(spark, text)
+            rows.append((q.qid, name, int(got["result_key"] == want), got["seconds"]))
+    return spark.createDataFrame(rows, "qid bigint, variant string, outcome int, seconds double")
+
+
+@query()
+def chain_vs_flat_runtime(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Median seconds of chains and their flat forms over cold repeats, and the overhead in percent."""
+    from stepsql.operators.chains import compose, flatten
+    from stepsql.operators.execute import run_text
+    from stepsql.sources import bank
+
+    bank.prepare(spark, sf_dir)
+    rows = []
+    for q in (bank.QUESTIONS[0], bank.QUESTIONS[7]):
+        for k in range(SearchConfig().runtime_repeats):
+            for name, text in (("chain", compose(q.named, q.close)), ("flat", flatten(q.named, q.close))):
+                spark.catalog.clearCache()
+                rows.append((q.qid, name, k, run_text(spark, text)["seconds"]))
+    t = spark.createDataFrame(rows, "qid bigint, form string, k int, seconds double").groupBy("qid").agg(
+        F.percentile(F.when(F.col("form") == "chain", F.col("seconds")), 0.5).alias("chain"), F.percentile(F.when(F.col("form") == "flat", F.col("seconds")), 0.5).alias("flat")
+    )
+    return t.withColumn("overhead", 100 * (F.col("chain") / F.col("flat") - 1))
+
+
+@query()
+def schema_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Links of question words to schema names for every wording of the bank: how many names each wording still reaches."""
+    from stepsql.operators.schema import link_score
+    from stepsql.sources import bank
+    from stepsql.sources.tables import NAMES
+
+    names = [(c,) for n in NAMES[:8] for c in [n, *table(spark, sf_dir, n).columns]]
+    rows = [(q.qid, style, q.question if style == "plain" else bank.wording(q.question, style, q.qid)) for q in bank.QUESTIONS for style in ("plain", "synonym", "realistic", "knowledge")]
+    asked = spark.createDataFrame(rows, "id bigint, style string, question string").withColumn("qid", F.concat_ws("-", "id", "style"))
+    links = link_score(asked, spark.createDataFrame(names, "name string"))
+    return links.join(asked.select("qid", "style"), "qid").groupBy("style").agg(F.count_if(F.col("shared") > 0).alias("exact_links"), F.count("*").alias("links"))
+
+
+@query("""WITH s AS (SELECT round(score, 6) AS s, outcome FROM trail), r AS (SELECT outcome, avg(rk) OVER (PARTITION BY s) AS rk FROM (SELECT s, outcome, row_number() OVER (ORDER BY s) AS rk FROM s))
+SELECT round((sum(rk) FILTER (outcome = 1) - count(*) FILTER (outcome = 1) * (count(*) FILTER (outcome = 1) + 1) / 2.0) / (count(*) FILTER (outcome = 1) * count(*) FILTER (outcome = 0)), 6) + 0.0 AS auc FROM r""".replace("WITH s AS", f"WITH {ORDERS}, s AS"))
+def scorer_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Area under the curve of scores against outcomes, from counts by distinct score (as many as scores have digits)."""
+    from pyspark.sql import Window
+
+    by = trail_orders(spark, sf_dir).groupBy(F.round("score", 6).alias("s")).agg(F.count_if(F.col("outcome") == 1).alias("p"), F.count_if(F.col("outcome") == 0).alias("n"))
+    below = F.coalesce(F.sum("n").over(Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return r6(by.withColumn("below", below).agg((F.sum(F.col("p") * (F.col("below") + F.col("n") / 2)) / (F.sum("p") * F.sum("n"))).alias("auc")))
+
+
+@query("""WITH bad AS (SELECT traj_id FROM completions WHERE len(list_filter(steps, lambda x: x = '')) > 0), good AS (SELECT c.* FROM completions c ANTI JOIN bad USING (traj_id)),
+p AS (SELECT qid, outcome, steps, unnest(range(1, len(steps) + 1)) AS depth FROM good)
+SELECT qid, depth::INTEGER AS depth, count(DISTINCT array_to_string(steps[1:depth], chr(31))) AS nodes, count(*) AS visits FROM p GROUP BY ALL""".replace("WITH bad AS", f"WITH {LINES}, bad AS"))
+def clean_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Prefix labels of the completions whose every step is well-formed (here: not empty)."""
+    from stepsql.operators.labels import prefix_tree
+    from stepsql.sources.carriers import document_lines
+
+    good = document_lines(spark, sf_dir).where(~F.exists("steps", lambda s: s == ""))
+    return prefix_tree(good).groupBy("qid", "depth").agg(F.count("*").alias("nodes"), F.sum("visits").alias("visits"))
+
+
 @query("SELECT 36 AS questions")
 def bank_size(spark: SparkSession, sf_dir: str) -> DataFrame:
     from stepsql.sources.bank import QUESTIONS
