@@ -47,6 +47,20 @@ NOISE_WORDS = frozenset(
 )
 OUTER_WORDS = frozenset("header head top topbar".split())
 NOISE_ROLES = frozenset("navigation banner contentinfo complementary search form alert dialog menu menubar".split())
+ARTICLE_WORDS = frozenset("article articlebody".split())
+ARTICLE_NOISE = frozenset("comment comments reply ad ads advert advertisement sponsored promo teaser related recommended".split())
+
+_MARKUP = re.compile(r"<!--.*?(?:-->|$)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
+_ATTRIBUTE = re.compile(r"([^\s=\"'>/]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
+_WORDS = frozenset(
+    "ad ads adv advert adverts advertisement advertising adsense banner sponsor sponsored promo promotion teaser cookie cookies consent gdpr notice notices "
+    "alert popup modal overlay sidebar side aside menu nav navbar navigation breadcrumb breadcrumbs footer foot comment comments reply replies "
+    "respond disqus related recommended share sharing social newsletter subscribe subscription signup login widget toolbar pagination pager "
+    "skip copyright masthead".split()
+)
+OUTER_WORDS = frozenset("header head top topbar".split())
+NOISE_ROLES = frozenset("navigation banner contentinfo complementary search form alert dialog menu menubar".split())
+ARTICLE_WORDS = frozenset("article articlebody".split())
 ARTICLE_NOISE = frozenset("comment comments reply ad ads advert advertisement sponsored promo teaser related recommended".split())
 
 _MARKUP = re.compile(r"<!--.*?(?:-->|$)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
@@ -76,6 +90,10 @@ def _attributes(text: str) -> dict[str, str]:
     return {m[1].lower(): (m[2] or m[3] or m[4] or "").lower() for m in _ATTRIBUTE.finditer(text)} if text else {}
 
 
+def _is_article(tag: str, own: dict[str, str]) -> bool:
+    return tag in ("article", "main") or own.get("role") in ("main", "article") or bool(ARTICLE_WORDS & set(_WORDS.findall(f"{own.get('class', '')} {own.get('id', '')} {own.get('itemprop', '')}")))
+
+
 def _is_noise(tag: str, own: dict[str, str], in_article: bool) -> bool:
     if tag in ("html", "body", "main"):
         return False
@@ -162,7 +180,7 @@ def parse(page: str) -> Iterator[tuple[str, Element, str]]:
             continue
         noise = above.noise or _is_noise(tag, own, above.article)
         name = tag + ("." + own["class"] if own.get("class") else "")
-        element = Element(tag, f"{above.path}/{name}", noise, above.article or (tag in ("article", "main") or own.get("role") in ("main", "article")) and not noise)
+        element = Element(tag, f"{above.path}/{name}", noise, above.article or not noise and tag not in ("html", "body") and _is_article(tag, own))
         if tag in RAW:
             end = re.compile(rf"</{re.escape(tag)}[\s/>]", re.I).search(page, at)
             at = end.start() if end else n
@@ -191,8 +209,9 @@ def style_nodes(page: str | None) -> list[tuple[int, int, int]]:
 
 
 def main_text(page: str | None, cut: frozenset[int] = frozenset()) -> str:
-    """Main text of one page, given the style-tree branches that its host cuts."""
-    inside, outside, has_article = [], [], False
+    """Main text of one page, given the style-tree branches that its host cuts. Where these would leave nothing, the page is a copy
+    of others as a whole, and nothing is cut."""
+    inside, outside, common, has_article = [], [], [], False
     low: dict[str, bool] = {}
 
     def is_low(path: str) -> bool:
@@ -206,9 +225,11 @@ def main_text(page: str | None, cut: frozenset[int] = frozenset()) -> str:
         if event == "text" and not e.noise:
             if e.article:
                 inside.append(text)
-            elif not cut or not is_low(e.path):
-                outside.append(text)
-    return "\n".join(inside if has_article else outside)
+            else:
+                common.append(text)
+                if not cut or not is_low(e.path):
+                    outside.append(text)
+    return "\n".join(inside if has_article else outside or common)
 
 
 def importance(pages: DataFrame) -> DataFrame:

@@ -396,16 +396,19 @@ def test_main_text():
     assert html.main_text(None) == "" and html.main_text("") == "" and html.main_text("<p>") == ""
     assert html.main_text("plain &amp; text") == "plain & text"
     assert html.main_text("<body><p>a<article class='comment'><p>no</article><p>b") == "a\nb"
+    assert html.main_text("<body><p data-state='hidden' title=\"id\">a<p hidden>b<div class='x article-body'>c<div class=ad>d</div></div>") == "c"
     assert html.main_text("<article><p>" + "word " * 50_000 + "</article>") == ("word " * 50_000).strip()
 
 
 def test_style_tree_cuts_what_a_host_repeats(spark):
     """Pages without an article element: the repeated strap goes, by entropy; the varying text stays."""
     rows = [(k, f"http://h.example/{k}", f'<body><div class="strap">Welcome to us</div><div class="c"><p>Text number {k} of many</p></div></body>') for k in range(20)]
+    rows += [(k, f"http://copies.example/{k}", "<body><div><p>All the same</p></div></body>") for k in range(30, 40)]
     rows += [(100, "http://one.example/", '<body><div class="strap">Welcome to us</div><p>Only</p></body>'), (101, None, "<p>no host"), (102, "x", None), (103, "http://h.example/z", "")]
     df = spark.createDataFrame(rows, "page_id bigint, url string, html string").withColumn("host", F.lit("clash")).withColumn("cut", F.lit(1))
     got = {r.page_id: r.text for r in html.extract(df).collect()}
     assert all(got[k] == f"Text number {k} of many" for k in range(20))
+    assert all(got[k] == "All the same" for k in range(30, 40))
     assert got[100] == "Welcome to us\nOnly" and got[101] == "no host" and got[102] == "" and got[103] == ""
     nodes = html.importance(df.drop("host").withColumn("host", F.lit("h")))
     assert nodes.where("presentation < -1e-9 or presentation > 1 + 1e-9 or content < -1e-9 or content > 1 + 1e-9").count() == 0
