@@ -1,0 +1,54 @@
+"""Behaviour of the methods on the slot policy: training with and without step rewards, selection rules by budget, latency by n.
+
+    python examples/behaviour.py [rounds]
+"""
+
+from __future__ import annotations
+
+import os
+import sys
+import time
+
+sys.path.insert(0, os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
+
+from pyspark.sql import SparkSession  # noqa: E402
+from pyspark.sql import functions as F  # noqa: E402
+
+from stepsql.config import TrainConfig  # noqa: E402
+from stepsql.operators import measures as ms  # noqa: E402
+from stepsql.operators import select as sel  # noqa: E402
+from stepsql.operators import train as tr  # noqa: E402
+from stepsql.sources.shared import written  # noqa: E402
+
+
+def main() -> None:
+    rounds = int(sys.argv[1]) if len(sys.argv) > 1 else 20
+    spark = SparkSession.builder.master("local[8]").config("spark.sql.shuffle.partitions", "4").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
+    spark.sparkContext.setLogLevel("ERROR")
+    world = written(tr.slot_world(spark, questions=60, slots=4, tokens=4))
+    held = {}
+    for use in (False, True):
+        policy, curve = tr.train(world, TrainConfig(rounds=rounds, use_step=use, rate=0.5))
+        held[use] = policy
+        got = curve.orderBy("round").collect()
+        print("step reward" if use else "outcome only", [round(r.value, 1) for r in got])
+        ms.stability(curve, rounds // 2, 2.0).show()
+    policy = held[False]
+    budgets = (1, 2, 4, 8, 16, 32)
+    c = written(tr.select_at(policy, 32))
+    print("n | step reward | outcome model | self-consistency | pass@n | seconds to sample, score")
+    for n in budgets:
+        own = c.where(F.col("cand") < n)
+        vote = sel.majority_vote(own).join(own.select("qid", "cand", "outcome"), ["qid", "cand"])
+        rows = [sel.best_of_n(own), sel.best_of_n(own, by="orm"), vote, sel.pass_at_n(own, (n,)).withColumnRenamed("passed", "outcome")]
+        a = [ms.accuracy(r).first().accuracy for r in rows]
+        began = time.perf_counter()
+        group = written(tr.sample_group(policy, n, n))
+        half = time.perf_counter()
+        tr.rewarded_group(group, 1).write.format("noop").mode("overwrite").save()
+        print(n, *[round(x, 1) for x in a], round(half - began, 2), round(time.perf_counter() - half, 2), sep=" | ")
+    spark.stop()
+
+
+if __name__ == "__main__":
+    main()
