@@ -25,7 +25,7 @@ def main() -> None:
     rounds = int(sys.argv[1]) if len(sys.argv) > 1 else 20
     spark = SparkSession.builder.master("local[8]").config("spark.sql.shuffle.partitions", "4").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
-    world = written(tr.slot_world(spark, questions=60, slots=4, tokens=4))
+    world = written(tr.slot_world(spark, questions=100, slots=4, tokens=4))
     held = {}
     for use in (False, True):
         policy, curve = tr.train(world, TrainConfig(rounds=rounds, use_step=use, rate=0.5))
@@ -33,7 +33,7 @@ def main() -> None:
         got = curve.orderBy("round").collect()
         print("step reward" if use else "outcome only", [round(r.value, 1) for r in got])
         ms.stability(curve, rounds // 2, 2.0).show()
-    policy = held[False]
+    policy = held[True]
     budgets = (1, 2, 4, 8, 16, 32)
     c = written(tr.select_at(policy, 32))
     print("n | step reward | outcome model | self-consistency | pass@n | seconds to sample, score")

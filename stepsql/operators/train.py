@@ -19,12 +19,14 @@ from .reward import step_reward, trajectory_reward
 CONTEXT = ("qid", "slot")
 
 
-def slot_world(spark: SparkSession, questions: int = 24, slots: int = 4, tokens: int = 5, seed: int = 3) -> DataFrame:
-    """qid, slot, token, right, logit: one right token a slot, all logits 0."""
+def slot_world(spark: SparkSession, questions: int = 24, slots: int = 4, tokens: int = 5, seed: int = 3, bias: float = 1.0, spread: float = 1.0) -> DataFrame:
+    """qid, slot, token, right, logit: one right token a slot. Logits stand for a policy after its cold start: the right token has `bias` over
+    the others on average, and all vary by `spread`; with 0 and 0 the policy knows nothing."""
     q = spark.range(questions).withColumnRenamed("id", "qid")
     grid = q.select("qid", F.explode(F.sequence(F.lit(1), F.lit(slots))).alias("slot")).select("qid", "slot", F.explode(F.sequence(F.lit(0), F.lit(tokens - 1))).alias("token"))
     best = F.pmod(F.xxhash64(F.lit(seed), "qid", "slot"), F.lit(tokens))
-    return grid.withColumn("right", (F.col("token") == best).cast("int")).withColumn("logit", F.lit(0.0))
+    noise = (uniform("qid", "slot", "token", seed=seed) - 0.5) * 12**0.5
+    return grid.withColumn("right", (F.col("token") == best).cast("int")).withColumn("logit", bias * F.col("right") + spread * noise)
 
 
 def probabilities(policy: DataFrame) -> DataFrame:
