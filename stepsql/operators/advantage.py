@@ -22,14 +22,14 @@ def standardise(steps: DataFrame, std: str = "pop", unit: str = "step") -> DataF
     window, as groups may be large."""
     n = F.col("n_tokens").cast("double") if unit == "token" else F.lit(1.0)
     x = F.col("adv_raw")
-    moments = steps.groupBy("qid").agg(F.sum(n).alias("n_"), F.sum(n * x).alias("s_"), F.min(x).alias("low_"), F.max(x).alias("high_"))
-    centred = steps.join(moments, "qid").withColumn("mean_", F.col("s_") / F.col("n_"))
-    squares = centred.groupBy("qid").agg(F.sum(n * (x - F.col("mean_")) * (x - F.col("mean_"))).alias("q_"))
-    joined = centred.join(squares, "qid")
+    # squares about the mean: from Spark's own moment for steps, from weighted sums for tokens
+    squares = F.var_pop(x) * F.count(x) if unit == "step" else F.greatest(F.sum(n * x * x) - F.sum(n * x) * F.sum(n * x) / F.sum(n), F.lit(0.0))
+    moments = steps.groupBy("qid").agg(F.sum(n).alias("n_"), (F.sum(n * x) / F.sum(n)).alias("mean_"), squares.alias("q_"), F.min(x).alias("low_"), F.max(x).alias("high_"))
+    joined = steps.join(moments, "qid")
     freedom = F.col("n_") - (1 if std == "sample" else 0)
     flat = (F.col("high_") == F.col("low_")) | (freedom <= 0)
     adv = F.when(flat, F.lit(0.0)).otherwise((x - F.col("mean_")) / F.sqrt(F.col("q_") / freedom))
-    return joined.withColumn("adv", adv).drop("n_", "s_", "q_", "mean_", "low_", "high_")
+    return joined.withColumn("adv", adv).drop("n_", "q_", "mean_", "low_", "high_")
 
 
 def ratio(base: str = "ref") -> Column:

@@ -228,8 +228,10 @@ every AS (SELECT 'step reward' AS method, * FROM won UNION ALL SELECT 'outcome m
 
 
 def by_method(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """method, n, qid, outcome for every selection rule and budget."""
-    c = candidates(spark, sf_dir)
+    """method, n, qid, outcome for every selection rule and budget; the candidates are computed once."""
+    from stepsql.sources.shared import written
+
+    c = written(candidates(spark, sf_dir))
     own = c.select("qid", "cand", "outcome")
     parts = [
         sel.best_curve(c, BUDGETS).select(F.lit("step reward").alias("method"), "n", "qid", "outcome"),

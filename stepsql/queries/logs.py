@@ -14,8 +14,8 @@ from stepsql.operators import labels as mc
 from stepsql.operators import measures as ms
 from stepsql.operators import policy as pol
 from stepsql.operators import reward as rw
-from stepsql.sources.carriers import LINE_ORDER, document_lines, event_tokens, page_tags, trail_events, trail_orders, turn_steps
-from stepsql.sources.tables import table
+from stepsql.sources.carriers import LINE_ORDER, document_lines, event_tokens, page_tags, trail_events, trail_orders, turn_steps, within
+from stepsql.sources.tables import spread, table
 
 from .carrier_sql import EVENTS, LINES, ORDERS, TOKENS, rewards
 from .core import candidates, r6
@@ -280,7 +280,7 @@ def text_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Step texts for the bulk chain tools: one chain an order; the text of a step refers to the step before it, now and
     then to one that does not exist, and names repeat by rule."""
     o = Window.partitionBy("l_orderkey").orderBy(*LINE_ORDER)
-    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o)).where("no <= 9")
+    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o)).where(within(F.col("no"), 9))
     last = F.count("*").over(Window.partitionBy("l_orderkey"))
     name = F.concat(F.lit("s"), F.when(F.col("l_partkey") % 17 == 0, F.lit(1)).otherwise(F.col("no")).cast("string"))
     ref = F.when(F.col("no") == 1, F.lit("lineitem")).when(F.col("l_partkey") % 13 == 0, F.lit("missing")).otherwise(F.concat(F.lit("s"), (F.col("no") - 1).cast("string")))
@@ -342,7 +342,7 @@ f AS (SELECT *, row_number() OVER (PARTITION BY qid, traj_id, result_key ORDER B
 def digests(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Line items read as step digests: quantity as row count, part class as result."""
     o = Window.partitionBy("l_orderkey").orderBy(*LINE_ORDER)
-    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o)).where("no <= 9")
+    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o)).where(within(F.col("no"), 9))
     return t.select((F.col("l_orderkey") % 100).alias("qid"), F.col("l_orderkey").alias("traj_id"), "no", F.col("l_quantity").cast("int").alias("n_rows"), (F.col("l_partkey") % 7).cast("string").alias("result_key"), (0.05 + F.col("l_tax")).alias("h_step"))
 
 
@@ -402,16 +402,21 @@ d AS (SELECT doc_id, list_filter(string_split(lower(text), ' '), lambda x: x <>
 h AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 7], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM d))
 SELECT item_id, count(DISTINCT doc_id) AS documents, count(DISTINCT g) AS shared FROM g JOIN h USING (g) GROUP BY item_id""")
 def leak_check(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Benchmark items whose runs of eight words stand in documents. The benchmark side is the small one by nature; AQE
-    broadcasts it where its measured size allows."""
+    """Benchmark items whose runs of eight words stand in documents. Runs meet by hash and are then compared as words. The items'
+    runs are broadcast up to a counted bound; beyond it both sides are dealt out by hash."""
 
-    def grams(df: DataFrame, key: str) -> DataFrame:
+    def runs(df: DataFrame, key: str) -> DataFrame:
         w = df.select(key, F.filter(F.split(F.lower("text"), " "), lambda x: x != "").alias("w")).where(F.size("w") >= 8)
-        at = w.select(key, F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.array_join(F.slice("w", i, F.lit(8)), " ")).alias("g"))
-        return at.select(key, F.explode(F.array_distinct("g")).alias("g"))
-
-    hits = grams(table(spark, sf_dir, "benchmark"), "item_id").join(grams(table(spark, sf_dir, "documents"), "doc_id"), "g")
-    return hits.groupBy("item_id").agg(F.count_distinct("doc_id").alias("documents"), F.count_distinct("g").alias("shared"))
+        hashed = w.select(key, "w", F.transform("w", lambda x: F.xxhash64(x)).alias("k"))
+        at = F.transform(F.sequence(F.lit(0), F.size("w") - 8), lambda i: F.struct(i.alias("i"), F.xxhash64(*[F.get("k", i + j) for j in range(8)]).alias("h")))
+        return hashed.select(key, "w", F.explode(at).alias("r")).select(key, "w", F.col("r.h").alias("h"), F.col("r.i").alias("i"))
+
+    run = lambda w, i: F.slice(w, i + 1, F.lit(8))
+    items = runs(table(spark, sf_dir, "benchmark"), "item_id").select("item_id", "h", run("w", F.col("i")).alias("run")).distinct()
+    items = F.broadcast(items) if items.count() <= 1_000_000 else items
+    found = runs(spread(table(spark, sf_dir, "documents")), "doc_id").join(items, "h").where(run("w", F.col("i")) == F.col("run"))
+    hits = found.select("item_id", "doc_id", "run").distinct()
+    return hits.groupBy("item_id").agg(F.count_distinct("doc_id").alias("documents"), F.count_distinct("run").alias("shared"))
 
 
 @query(f"""WITH {_DIGESTS}, s(style) AS (VALUES ('filter-first'), ('join-first'), ('aggregate-first')),
