@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from stepsql.sources.tables import spread
+
 
 def pick(df: DataFrame, *names: str) -> DataFrame:
     """Just these columns, found by position: other columns, also ones whose names
@@ -28,7 +30,8 @@ def pick(df: DataFrame, *names: str) -> DataFrame:
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+    """A table of the given folder; a small one is dealt out to all cores."""
+    return spread(spark.read.parquet(f"{sf_dir}/{table}.parquet"))
 
 
 def shared_folder(spark: SparkSession) -> str:
