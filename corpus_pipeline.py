@@ -1,6 +1,9 @@
 """Corpus pipeline: language ID, quality classifier, exact dedup, SimHash near-dedup, best-fit packing.
 
-Each stage gets what the one before it kept, as `documents` rows, and its decisions take effect.
+Each stage gets what the one before it kept, as `documents` rows, and its decisions take effect. Columns beyond those of
+documents are left out. Null and empty texts have no letter and go in the first stage; labels that are null teach nothing. Of
+repeated rows exact dedup keeps one. A row without a doc_id can be named by no class of near copies and stays in that stage; rows that
+share a doc_id but not their text stay or go together there. Empty tables give empty results. Whole texts count, however long.
 """
 
 from __future__ import annotations
@@ -17,8 +20,9 @@ ORACLE_SQL = None
 
 
 def _keep(docs: DataFrame, decisions: DataFrame) -> DataFrame:
-    """Rows of docs whose doc_id is among the decisions' (one column, distinct)."""
-    return pick(docs, *COLUMNS).join(decisions, "doc_id", "left_semi").select(*COLUMNS)
+    """Rows of docs whose doc_id is among the decisions' (one column, distinct), and those without one."""
+    docs = pick(docs, *COLUMNS)
+    return docs.join(decisions, "doc_id", "left_semi").select(*COLUMNS).union(docs.where("doc_id is null"))
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

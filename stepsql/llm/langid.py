@@ -49,7 +49,7 @@ class Model:
 def _fold() -> np.ndarray:
     """Code point to lower-case letter, or a space."""
     out = np.full(0x110000, 32, np.uint32)
-    for c in range(0x30000):
+    for c in range(0x33000):  # no letters are assigned beyond
         if chr(c).isalpha():
             low = chr(c).lower()
             out[c] = ord(low) if len(low) == 1 else c

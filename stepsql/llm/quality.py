@@ -53,7 +53,7 @@ class Model:
 def _kinds() -> np.ndarray:
     """Kind of a code point: 0 other mark, 1 lower or uncased letter, 2 upper, 3 digit, 4 space, 5 usual mark, 6 bar."""
     out = np.zeros(0x110000, np.uint8)
-    for c in range(0x30000):
+    for c in range(0x33000):
         s = chr(c)
         out[c] = 2 if s.isupper() else 1 if s.isalpha() else 3 if s.isdigit() else 4 if s.isspace() else 5 if s in ".,;:?'\"-()" else 6 if s == "|" else 0
     return out
@@ -168,12 +168,13 @@ def score_features(x: np.ndarray, model: Model) -> np.ndarray:
 
 def fit(docs: DataFrame, labels: DataFrame, config: Config = Config()) -> Model | None:
     """A model from labelled rows outside fold 1 of 3; None if there are none of either class."""
-    marked = pick(labels, "doc_id", "quality").where("quality is not null and doc_id is not null").where(crc_mod("doc_id", 3) != 1)
+    wide = F.col("doc_id").cast("bigint").alias("doc_id")  # hashes depend on the type
+    marked = pick(labels, "doc_id", "quality").select(wide, "quality").where("quality is not null and doc_id is not null").where(crc_mod("doc_id", 3) != 1)
     n, space = marked.count(), 1 << 30
     near = marked.where(F.pmod(F.xxhash64(F.lit(config.seed), "doc_id"), F.lit(space)) < int(space * min(1.0, config.sample / max(n, 1))))
     near = near.groupBy("doc_id").agg(F.max("quality").alias("quality"))
     # the same hash bound on both sides of the join keeps the texts of other rows out of the shuffle
-    texts = pick(docs, "doc_id", "text").where(F.pmod(F.xxhash64(F.lit(config.seed), "doc_id"), F.lit(space)) < int(space * min(1.0, config.sample / max(n, 1))))
+    texts = pick(docs, "doc_id", "text").select(wide, "text").where(F.pmod(F.xxhash64(F.lit(config.seed), "doc_id"), F.lit(space)) < int(space * min(1.0, config.sample / max(n, 1))))
 
     def run(b: pa.RecordBatch) -> dict:
         return {"doc_id": b.column(0), "x": [measure(t or "") for t in b.column(1).to_pylist()]}
