@@ -17,7 +17,7 @@ def register(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = NAMES) -
         table(spark, sf_dir, name).createOrReplaceTempView(name)
 
 
-def spread(df: DataFrame, most: int = 64 << 20) -> DataFrame:
+def spread(df: DataFrame, most: int = 24 << 20) -> DataFrame:
     """A table of at most so many bytes, by the size that its files have, dealt out to all cores: small files often hold one row
     group, which one task would read and work on alone. Larger tables stay as their files split."""
     size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
