@@ -50,19 +50,6 @@ NOISE_ROLES = frozenset("navigation banner contentinfo complementary search form
 ARTICLE_WORDS = frozenset("article articlebody".split())
 ARTICLE_NOISE = frozenset("comment comments reply ad ads advert advertisement sponsored promo teaser related recommended".split())
 
-_MARKUP = re.compile(r"<!--.*?(?:-->|$)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
-_ATTRIBUTE = re.compile(r"([^\s=\"'>/]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
-_WORDS = frozenset(
-    "ad ads adv advert adverts advertisement advertising adsense banner sponsor sponsored promo promotion teaser cookie cookies consent gdpr notice notices "
-    "alert popup modal overlay sidebar side aside menu nav navbar navigation breadcrumb breadcrumbs footer foot comment comments reply replies "
-    "respond disqus related recommended share sharing social newsletter subscribe subscription signup login widget toolbar pagination pager "
-    "skip copyright masthead".split()
-)
-OUTER_WORDS = frozenset("header head top topbar".split())
-NOISE_ROLES = frozenset("navigation banner contentinfo complementary search form alert dialog menu menubar".split())
-ARTICLE_WORDS = frozenset("article articlebody".split())
-ARTICLE_NOISE = frozenset("comment comments reply ad ads advert advertisement sponsored promo teaser related recommended".split())
-
 _MARKUP = re.compile(r"<!--.*?(?:-->|$)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
 _ATTRIBUTE = re.compile(r"(?:^|[\s\"'])(class|id|role|hidden|aria-hidden)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?(?=[\s\"'/]|$)", re.I)
 _WORDS = re.compile(r"[a-z]+")
