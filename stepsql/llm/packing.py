@@ -221,6 +221,8 @@ def pack(docs: DataFrame, config: Config = Config()) -> DataFrame:
     ship(docs.sparkSession)
     rows = written(pieces(docs, config))
     cells = max(1, -(-rows.count() // config.cell))
-    cell = F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(cells))
+    # rows without a doc_id may all be alike: their place in the written table deals them out
+    salt = F.when(F.col("doc_id").isNull(), F.monotonically_increasing_id())
+    cell = F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", salt), F.lit(cells))
     schema = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint"
     return rows.withColumn("cell", cell).groupBy("cell").applyInArrow(_pack_cell(config.capacity, config.patience), schema)

@@ -490,3 +490,15 @@ def test_packing_of_odd_rows(spark):
     check_packing(rows)
     assert Counter(r.doc_id for r in rows if r.piece == 0) == Counter(d for d, _ in ODD)
     assert packing.pack(none(spark)).count() == 0
+
+
+def test_packing_spreads_rows_that_are_all_alike(spark):
+    docs = spark.range(400).selectExpr("cast(null as bigint) doc_id", "'same text' text").repartition(4)
+    rows = packing.pack(docs, packing.Config(cell=40)).collect()
+    assert len(rows) == 400 and len({r.sequence_id >> 32 for r in rows}) > 3
+    used = {}
+    for r in rows:
+        used.setdefault(r.sequence_id, []).append((r.offset, r.length))
+    for parts in used.values():
+        parts.sort()
+        assert all(o == sum(n for _, n in parts[:k]) for k, (o, _) in enumerate(parts)) and sum(n for _, n in parts) <= 2048
