@@ -82,3 +82,8 @@ def nested_reward(steps: Column, h_max: Column | None = None) -> Column:
         return F.struct(h.alias("h"), den.alias("den"), num.alias("num"), plain.alias("plain"), n.alias("n"), (a["reward"] + score).alias("reward"))
 
     return F.aggregate(steps, start, fold, lambda a: a["reward"])
+
+
+def graded_outcome(outcome: Column, ran: Column, partial: float = 0.1) -> Column:
+    """Outcome reward with partial credit: 1 if right, `partial` if the query ran, 0 if it failed (or is unknown)."""
+    return F.when(outcome == 1, F.lit(1.0)).when(ran, F.lit(partial)).otherwise(F.lit(0.0))

@@ -91,3 +91,26 @@ def error_confusion(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     bank.prepare(spark, sf_dir)
     return evaluate(spark, [q for q in bank.QUESTIONS if q.db == "catalog"][:4]).where("outcome = 0").groupBy("error_type", "inferred").agg(F.count("*").alias("n"))
+
+
+def _values(questions: list[bank.Question]) -> str:
+    return ", ".join("({}, '{}')".format(q.qid, q.question.replace("'", "''")) for q in questions)
+
+
+_ASKED, _SEEDS = [q for q in bank.QUESTIONS if q.split == "held out"], [q for q in bank.QUESTIONS if q.split == "train"]
+
+
+@query(f"""WITH q(held, qid, question) AS (
+  SELECT true, * FROM (VALUES {_values(_ASKED)}) UNION ALL SELECT false, * FROM (VALUES {_values(_SEEDS)})),
+w AS (SELECT held, qid, unnest(string_split_regex(lower(question), '[^a-z0-9]+')) AS word FROM q),
+c AS (SELECT held, qid, word, count(*)::DOUBLE AS c FROM w WHERE word <> '' GROUP BY ALL),
+n AS (SELECT *, c / sqrt(sum(c * c) OVER (PARTITION BY held, qid)) AS w FROM c),
+p AS (SELECT a.qid, b.qid AS seed, round(sum(a.w * b.w), 9) AS similarity FROM n a JOIN n b USING (word) WHERE a.held AND NOT b.held GROUP BY ALL)
+SELECT qid::BIGINT AS qid, seed::BIGINT AS seed, round(similarity, 6) + 0.0 AS similarity, row_number() OVER (PARTITION BY qid ORDER BY similarity DESC, seed)::INTEGER AS rank
+FROM p QUALIFY rank <= 5""")
+def few_shot_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Five examples for each held-out question: the training questions most like it, whose chains a prompt would show."""
+    from stepsql.operators.retrieve import nearest_examples
+
+    asked, seeds = (spark.createDataFrame([(q.qid, q.question) for q in part], "qid bigint, question string") for part in (_ASKED, _SEEDS))
+    return nearest_examples(asked, seeds).withColumn("similarity", F.round("similarity", 6) + 0.0)

@@ -214,6 +214,14 @@ def pairwise_select(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sel.pairwise_wins(candidates(spark, sf_dir)).withColumn("wins", F.col("wins").cast("bigint"))
 
 
+@query(f"""WITH {_CANDS}, g AS (SELECT qid, CASE WHEN outcome = 1 THEN 1.0 WHEN result_key IS NOT NULL THEN 0.1 ELSE 0.0 END::DOUBLE AS grade FROM cands)
+SELECT qid, count(*) AS candidates, round(sum(grade), 6) + 0.0 AS total_grade, count(DISTINCT grade) AS grades FROM g GROUP BY qid""")
+def graded_outcome(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Outcomes with partial credit for queries that run, a question at a time."""
+    graded = candidates(spark, sf_dir).withColumn("grade", rw.graded_outcome(F.col("outcome"), F.col("result_key").isNotNull()))
+    return r6(graded.groupBy("qid").agg(F.count("*").alias("candidates"), F.sum("grade").alias("total_grade"), F.count_distinct("grade").alias("grades")))
+
+
 def _accuracy_sql(rule: str) -> str:
     return f"WITH {_CANDS}, b(n) AS (VALUES {', '.join(f'({n})' for n in BUDGETS)}), {rule}"
 

@@ -161,6 +161,21 @@ def chain_vs_flat_runtime(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t.withColumn("overhead", 100 * (F.col("chain") / F.col("flat") - 1))
 
 
+@query()
+def cost_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of the jobs that run once before any question is answered: prefix labels and the fit of the score model."""
+    import time
+
+    from .registry import QUERIES
+
+    rows = []
+    for stage, name in (("label search", "mc_sigma"), ("score model", "scorer_fit")):
+        began = time.perf_counter()
+        QUERIES[name](spark, sf_dir).write.format("noop").mode("overwrite").save()
+        rows.append((stage, name, time.perf_counter() - began))
+    return spark.createDataFrame(rows, "stage string, job string, seconds double")
+
+
 @query()
 def schema_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Links of question words to schema names for every wording of the bank: how many names each wording still reaches."""

@@ -157,3 +157,19 @@ def test_entry_runs(spark):
 
     assert e.entry(spark).count() > 0
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_nearest_examples(spark):
+    from stepsql.operators.retrieve import nearest_examples
+
+    asked = spark.createDataFrame([(1, "Which parts are large?"), (2, "zzz"), (3, None)], "qid bigint, question string")
+    seeds = spark.createDataFrame([(10, "Which parts are large?"), (11, "Which parts are small"), (12, "parts"), (13, "")], "qid bigint, question string")
+    rows = {(r.qid, r.rank): (r.seed, r.similarity) for r in nearest_examples(asked, seeds, 2).collect()}
+    assert rows == {(1, 1): (10, 1.0), (1, 2): (11, 0.75)}
+
+
+def test_graded_outcome(spark):
+    from stepsql.operators.reward import graded_outcome
+
+    rows = spark.createDataFrame([(1, True), (0, True), (0, False), (None, None)], "o int, ran boolean")
+    assert [r.g for r in rows.select(graded_outcome(F.col("o"), F.col("ran")).alias("g")).collect()] == [1.0, 0.1, 0.0, 0.0]
