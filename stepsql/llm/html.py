@@ -6,10 +6,11 @@ entropy of the texts seen there, each over the logarithm of the number of pages
 that all pages agree and 1 that all differ. A branch whose importance is low, in both, is boilerplate of
 the site and is cut from every page.
 
-Entropy alone errs where a menu differs on every page or an article is copied to many, so what
-HTML itself says comes first: elements that name a role (nav, footer, aside, form, ...; class or id words
-such as ad, menu, comments) are never main text, and text in article or main elements is never cut
-for being common. The style tree decides on all else.
+Entropy alone errs where a menu differs on every page or an article is copied to many, so elements that name a
+role (nav, footer, aside, form, ...; class or id words such as ad, menu, comments) are never main text. The style
+tree judges all else, inside and outside article elements; only an article that would lose more than half of
+its text is a copy as a whole and stays. A page read without its site's tree has its markup alone: its
+articles, or all that is not noise.
 """
 
 from __future__ import annotations
@@ -182,23 +183,22 @@ def key_of(text: str) -> int:
 
 
 def style_nodes(page: str | None) -> list[tuple[int, int, int]]:
-    """(path, kind, value) of the style nodes of one page: kind 0 child sequences, kind 1 texts. What is
-    said to be an article keeps its standing anyway and gives its presentation only."""
+    """(path, kind, value) of the style nodes of one page: kind 0 child sequences, kind 1 texts."""
     shapes: dict[str, list[str]] = {}
     texts: dict[str, list[str]] = {}
     for event, e, _ in parse(page or ""):
         if event == "end":
             run = [c for i, c in enumerate(e.children) if i == 0 or c != e.children[i - 1]]
             shapes.setdefault(e.path, []).append(",".join(run))
-            if e.texts and not e.article:
+            if e.texts:
                 texts.setdefault(e.path, []).extend(e.texts)
     return [(key_of(p), kind, key_of("\n".join(v))) for kind, found in ((0, shapes), (1, texts)) for p, v in found.items()]
 
 
-def main_text(page: str | None, cut: frozenset[int] = frozenset()) -> str:
-    """Main text of one page, given the style-tree branches that its host cuts. Where these would leave nothing, the page is a copy
-    of others as a whole, and nothing is cut."""
-    inside, outside, common, has_article = [], [], [], False
+def main_text(page: str | None, cut: frozenset[int] | None = None) -> str:
+    """Main text of one page, in page order, given the style-tree branches that its host cuts (none known: None). Where these would leave
+    nothing, the page is a copy of others as a whole, and nothing is cut; likewise an article that they would take more than half of."""
+    found: list[tuple[str, bool, bool]] = []
     low: dict[str, bool] = {}
 
     def is_low(path: str) -> bool:
@@ -207,16 +207,17 @@ def main_text(page: str | None, cut: frozenset[int] = frozenset()) -> str:
             low[path] = bool(above) and is_low(above) or key_of(path) in cut
         return low[path]
 
+    has_article = False
     for event, e, text in parse(page or ""):
         has_article |= e.article
         if event == "text" and not e.noise:
-            if e.article:
-                inside.append(text)
-            else:
-                common.append(text)
-                if not cut or not is_low(e.path):
-                    outside.append(text)
-    return "\n".join(inside if has_article else outside or common)
+            found.append((text, e.article, bool(cut) and is_low(e.path)))
+    if cut is None:
+        return "\n".join(text for text, article, _ in found if article or not has_article)
+    whole = sum(len(text) for text, article, _ in found if article)
+    copied = 2 * sum(len(text) for text, article, common in found if article and common) > whole
+    kept = [text for text, article, common in found if not common or article and copied]
+    return "\n".join(kept or [text for text, _, _ in found])
 
 
 def importance(pages: DataFrame) -> DataFrame:
