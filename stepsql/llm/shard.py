@@ -2,7 +2,8 @@
 
 Rows of equal texts form a group that no shard boundary cuts. Groups with a large share of all bytes
 are packed one by one; the many small ones first join parcels by hash, so what reaches the driver is
-bounded by the two parameters and not by the data. Parcels and large groups enter, from the largest down, the bin with
+bounded by the two parameters and not by the data. With a fixed capacity, large groups and parcels are measured by
+it as well: a parcel beyond it is cut by order of hash, so units stay in proportion to the shards that come out. Parcels and large groups enter, from the largest down, the bin with
 the tightest remaining capacity that holds them, found in a balanced tree. With a fixed number of
 shards, the smallest capacity that needs no more bins is found by bisection, which makes sizes near
 equal; with a fixed capacity, the number of shards is what the packing needs.
@@ -24,6 +25,7 @@ class Config:
     shards: int = 8
     parcels: int = 4096  # parcels of small groups
     large: int = 4096  # a group is large from 1 / large of all bytes on, so there are at most so many
+    fine: int = 64  # with a capacity, a group is large from 1 / fine of it on, and parcels hold less than twice that
     unit: int = 512  # rows that a numbered part has at least, in expectation, before a unit is split
     parts: int = 65_536  # parts that all units together are split into at most, beside one each
 
@@ -120,10 +122,26 @@ def shard(docs: DataFrame, config: Config = Config(), capacity: int | None = Non
     groups = written(rows.groupBy("group").agg(F.sum("size").alias("bytes"), F.count("*").alias("rows")))
     total = groups.agg(F.coalesce(F.sum("bytes"), F.lit(0)).alias("b")).first().b
     least = max(1, -(-total // config.large))
-    # at most config.large groups, and at most config.parcels parcels
+    parcels = config.parcels
+    if capacity:
+        least = max(1, min(least, capacity // config.fine))
+        parcels = max(parcels, -(-total // least))
+    # at most total / least groups, and as many parcels, beside those of the parameter
     units = [(r.group, True, r.bytes, r.rows) for r in groups.where(F.col("bytes") >= least).collect()] if total else []
-    parcel = F.pmod("group", F.lit(config.parcels))
-    units += [(r.parcel, False, r.bytes, r.rows) for r in groups.where(F.col("bytes") < least).groupBy(parcel.alias("parcel")).agg(F.sum("bytes").alias("bytes"), F.sum("rows").alias("rows")).collect()]
+    parcel = F.pmod("group", F.lit(parcels))
+    small = groups.where(F.col("bytes") < least).withColumn("parcel", parcel)
+    if capacity:
+        # groups that begin in the same stretch of `least` bytes: less than two stretches together
+        so_far = Window.partitionBy("parcel").orderBy("group").rowsBetween(Window.unboundedPreceding, -1)
+        small = small.withColumn("stretch", F.floor(F.coalesce(F.sum("bytes").over(so_far), F.lit(0)) / least))
+    else:
+        small = small.withColumn("stretch", F.lit(0))
+    # a parcel is named by its first group
+    cut = small.groupBy("parcel", "stretch").agg(F.min("group").alias("first"), F.sum("bytes").alias("bytes"), F.sum("rows").alias("rows")).collect()
+    units += [(r["first"], False, r.bytes, r.rows) for r in cut]
+    firsts: dict[int, list[int]] = {}
+    for r in cut:
+        firsts.setdefault(r.parcel, []).append(r["first"])
     units.sort()
     sizes = [u[2] for u in units]
     bins = best_fit_decreasing(sizes, capacity) if capacity else into_bins(sizes, config.shards)
@@ -133,10 +151,13 @@ def shard(docs: DataFrame, config: Config = Config(), capacity: int | None = Non
     fields = "key bigint, large boolean, shard int, parts bigint"
     places = F.broadcast(spark.createDataFrame(placed, fields))
     big = F.broadcast(spark.createDataFrame([(u[0],) for u in units if u[1]], "big bigint"))
+    names = F.broadcast(spark.createDataFrame(list(firsts.items()), "parcel bigint, firsts array<bigint>"))
     dealt = (
         rows.join(big, rows["group"] == big["big"], "left")
+        .withColumn("parcel", parcel)
+        .join(names, "parcel", "left")
         .withColumn("large", F.col("big").isNotNull())
-        .withColumn("key", F.when(F.col("large"), F.col("group")).otherwise(parcel))
+        .withColumn("key", F.when(F.col("large"), F.col("group")).otherwise(F.array_max(F.filter("firsts", lambda first: first <= F.col("group")))))
         .join(places, ["key", "large"])
         .withColumn("part", F.pmod(F.xxhash64(F.coalesce("doc_id", F.lit(-1))), F.col("parts")))
         .select("doc_id", "size", "text_crc32", "shard", "key", "large", "part")

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from stepsql.llm import html
+from pyspark.sql import functions as F
+
+from stepsql.llm import html, shard
 
 
 def texts_of(spark, pages):
@@ -20,3 +22,15 @@ def test_style_tree_judges_around_and_in_articles(spark):
     assert all(got[k] == f"Title {k}\nA long enough text, number {k}" for k in range(20))
     got = texts_of(spark, [f'<body><div class="strap">Welcome</div><article><h1>Title {k}</h1><p>A passage that is copied to every page</p></article></body>' for k in range(20)])
     assert all(got[k] == f"Title {k}\nA passage that is copied to every page" for k in range(20))
+
+
+def test_parcels_beyond_a_capacity(spark):
+    """Small groups whose parcels would pass the capacity: every shard keeps to it, and few are part empty."""
+    docs = spark.range(3000).selectExpr("id doc_id", "concat(id, repeat(' x', int(id % 40))) text")
+    docs = docs.unionByName(docs.where("doc_id < 50"))
+    for capacity in (2000, 4000):
+        rows = shard.shard(docs, shard.Config(parcels=8, large=16), capacity)
+        got = rows.groupBy("shard").agg(F.sum("size").alias("s"), F.count("*").alias("n"), F.max("slot").alias("last")).collect()
+        assert sum(r.n for r in got) == 3050 and all(r.last == r.n - 1 for r in got)
+        assert all(r.s <= capacity for r in got) and len(got) <= 1.05 * sum(r.s for r in got) / capacity + 1
+    assert rows.groupBy("doc_id").agg(F.countDistinct("shard").alias("n")).where("n > 1").count() == 0
