@@ -3,8 +3,9 @@
 Documents longer than a sequence are cut into pieces, the first of which may be shorter. Pieces are dealt by
 hash into cells of bounded size. In a cell, best-fit-decreasing gives the first packing; the local
 search then exchanges pieces between underfull bins, one for one, two for one or one for two, or moves
-them, so that every step raises the sum of squared fills, until bins are empty and go. A cell loses
-less than one sequence to its neighbours.
+them, so that every step raises the sum of squared fills, until bins are empty and go. Lengths are few
+(no more than a sequence has places), so every search is over all lengths at once: sets of lengths are bits of
+an integer, and each length keeps the bins that hold it by their fill. A cell loses less than one sequence to its neighbours.
 """
 
 from __future__ import annotations
@@ -14,9 +15,8 @@ import functools
 import re
 import zlib
 from array import array
-from bisect import bisect_left, bisect_right
+from bisect import bisect_left, insort
 from dataclasses import dataclass
-from itertools import combinations
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -32,7 +32,6 @@ class Config:
     vocabulary: str | None = None  # path of a tokenizers file; None: the installed byte_bpe_50k.json
     ranks: str | None = None  # path of the same vocabulary as ranks; None: the installed file
     cell: int = 8192  # pieces in a cell, in expectation
-    patience: int = 30  # rounds of the search over a cell's bins at most
 
 
 #: Texts of these characters only are split alike by both libraries, whatever their Unicode version.
@@ -104,100 +103,146 @@ def best_fit(lengths: list[int], capacity: int) -> list[list[int]]:
     return bins
 
 
-def improve(bins: list[list[int]], lengths: list[int], capacity: int, patience: int = 30, reach: int = 48) -> list[list[int]]:
+def _sums_of_two(counts: dict[int, int]) -> int:
+    """Bit set of the lengths that two different pieces have together, given how many pieces each length has."""
+    present = sum(1 << n for n in counts)
+    sums = 0
+    for n, c in counts.items():
+        sums |= (present if c > 1 else present & ~(1 << n)) << n
+    return sums
+
+
+def _two_of(counts: dict[int, int], total: int) -> tuple[int, int]:
+    return next((n, total - n) for n in counts if counts.get(total - n, 0) > (2 * n == total))
+
+
+def improve(bins: list[list[int]], lengths: list[int], capacity: int) -> list[list[int]]:
     """Local search over underfull bins; returns the bins left, each a list of item numbers.
 
     Every step raises the sum of squared fills by bringing a bin nearer to full at the cost of one that is no fuller:
     it takes a longer piece for one of its own, one piece for two, or two for one, or a piece moves into its room.
     Slack so gathers in few bins, whose pieces then move elsewhere until they are empty and go. The
-    search ends at the least number of bins that the lengths allow, when a round over all bins changes
-    nothing, or after `patience` rounds; for one exchange it looks at `reach` pieces of fitting lengths at most."""
-    total = sum(lengths)
-    least = -(-total // capacity)
-    bins = [list(b) for b in bins]
+    search ends at the least number of bins that the lengths allow, or when a round over all bins changes
+    nothing: then no such exchange between any two bins is left."""
+    least = -(-sum(lengths) // capacity)
     fill = [sum(lengths[i] for i in b) for b in bins]
     live = sum(1 for b in bins if b)
-    owner = [0] * len(lengths)
+    #: items of a bin by length; and by length the underfull bins that hold it, as (fill, bin) in order
+    held: list[dict[int, list[int]]] = [{} for _ in bins]
+    holders: list[list[tuple[int, int]]] = [[] for _ in range(capacity + 1)]
+    present = 0
     for k, b in enumerate(bins):
         for i in b:
-            owner[i] = k
-    # lengths never change, so one sorted list serves every search; only owners do
-    ranked = sorted((i for k, b in enumerate(bins) if fill[k] < capacity for i in b), key=lambda i: lengths[i])
-    keys = [lengths[i] for i in ranked]
-
-    def take(a: int, gone: list[int], b: int, got: list[int]) -> None:
-        for i in gone:
-            bins[a].remove(i)
-            bins[b].append(i)
-            owner[i] = b
-        for i in got:
-            bins[b].remove(i)
-            bins[a].append(i)
-            owner[i] = a
-        moved = sum(lengths[i] for i in got) - sum(lengths[i] for i in gone)
-        fill[a] += moved
-        fill[b] -= moved
-
-    def longer(a: int, held: int, slack: int) -> int:
-        """The longest piece over `held` by at most the slack, of a bin that is no fuller than a; -1 without one."""
-        at = bisect_right(keys, held + slack) - 1
-        for p in range(at, max(-1, at - reach), -1):
-            if keys[p] <= held:
-                break
-            k = owner[ranked[p]]
-            if k != a and fill[k] <= fill[a]:
-                return ranked[p]
-        return -1
-
-    def fuller(b: int, held: int) -> int:
-        """A piece shorter than `held` whose bin is no emptier than b and has room for the difference; -1 without one."""
-        at = bisect_left(keys, held) - 1
-        for p in range(at, max(-1, at - reach), -1):
-            k = owner[ranked[p]]
-            if k != b and fill[b] <= fill[k] and fill[k] + held - keys[p] <= capacity:
-                return ranked[p]
-        return -1
-
-    for _ in range(patience):
+            held[k].setdefault(lengths[i], []).append(i)
+        if fill[k] < capacity:
+            for n in held[k]:
+                holders[n].append((fill[k], k))
+                present |= 1 << n
+    for h in holders:
+        h.sort()
+
+    def leave(k: int) -> None:
+        nonlocal present
+        for n in held[k]:
+            del holders[n][bisect_left(holders[n], (fill[k], k))]
+            if not holders[n]:
+                present &= ~(1 << n)
+
+    def enter(k: int) -> None:
+        nonlocal present
+        if fill[k] < capacity:
+            for n in held[k]:
+                insort(holders[n], (fill[k], k))
+                present |= 1 << n
+
+    def swap(a: int, gone: tuple[int, ...], b: int, got: tuple[int, ...]) -> None:
+        """Pieces of the lengths `gone` go from a to b, those of `got` from b to a."""
+        leave(a)
+        leave(b)
+        moved = []
+        for k, to, part in ((a, b, gone), (b, a, got)):
+            for n in part:
+                moved.append((to, n, held[k][n].pop()))
+                if not held[k][n]:
+                    del held[k][n]
+        for to, n, i in moved:
+            held[to].setdefault(n, []).append(i)
+        more = sum(got) - sum(gone)
+        fill[a] += more
+        fill[b] -= more
+        enter(a)
+        enter(b)
+
+    def first(n: int, other: int, at: int = 0) -> tuple[int, int] | None:
+        """The emptiest underfull bin but `other` that holds a piece of length n and is filled to `at` or more."""
+        h = holders[n]
+        p = bisect_left(h, (at, -1)) if at else 0
+        if p < len(h) and h[p][1] == other:
+            p += 1
+        return h[p] if p < len(h) else None
+
+    def longer(a: int) -> tuple[tuple[int, ...], int, int] | None:
+        """For none, one or two pieces of a, the piece of a bin that is no fuller which gains most: (lengths given, bin, length got)."""
+        counts = {n: len(v) for n, v in held[a].items()}
+        ways = (1, sum(1 << n for n in counts), _sums_of_two(counts))
+        open_, known = present, 0
+        for gain in range(capacity - fill[a], 0, -1):
+            for pieces_, sums in enumerate(ways):
+                fits = (sums << gain) & open_
+                while fits:
+                    n = fits.bit_length() - 1
+                    if not known >> n & 1:
+                        k = first(n, a)
+                        if k is None or k[0] > fill[a]:
+                            open_ &= ~(1 << n)
+                            fits &= ~(1 << n)
+                            continue
+                        known |= 1 << n
+                    gone = ((), (n - gain,))[pieces_] if pieces_ < 2 else _two_of(counts, n - gain)
+                    return gone, first(n, a)[1], n
+        return None
+
+    def fuller(b: int) -> tuple[tuple[int, int], int, int] | None:
+        """Two pieces of b for a shorter one whose bin is no emptier and has room for the difference: (lengths given, bin, length got)."""
+        counts = {n: len(v) for n, v in held[b].items()}
+        sums, open_ = _sums_of_two(counts), present
+        room: dict[int, tuple[int, int]] = {}
+        for more in range(1, capacity - fill[b] + 1):
+            fits = (sums >> more) & open_
+            while fits:
+                n = fits.bit_length() - 1
+                if n not in room:
+                    k = first(n, b, fill[b])
+                    room[n] = (capacity - k[0], k[1]) if k else (0, -1)
+                if more <= room[n][0]:
+                    return _two_of(counts, n + more), room[n][1], n
+                open_ &= ~(1 << n)
+                fits &= ~(1 << n)
+        return None
+
+    changed = True
+    while changed and live > least:
         changed = False
-        if live <= least:
-            break
-        for a in sorted((k for k in range(len(bins)) if bins[k] and fill[k] < capacity), key=lambda k: (-fill[k], k)):
-            slack = capacity - fill[a]
-            while slack > 0 and bins[a]:
-                best, move = 0, None
-                own = bins[a] if len(bins[a]) <= 24 else bins[a][:24]
-                for gone in ([], *([i] for i in own), *(list(pair) for pair in combinations(own, 2))):
-                    held = sum(lengths[i] for i in gone)
-                    y = longer(a, held, slack)
-                    if y >= 0 and lengths[y] - held > best:
-                        best, move = lengths[y] - held, (gone, y)
-                if move is None:
-                    break
-                take(a, move[0], owner[move[1]], [move[1]])
-                slack -= best
+        for a in sorted((k for k in range(len(bins)) if held[k] and fill[k] < capacity), key=lambda k: (-fill[k], k)):
+            while held[a] and fill[a] < capacity and (found := longer(a)):
+                swap(a, found[0], found[1], (found[2],))
                 changed = True
-        for b in sorted((k for k in range(len(bins)) if bins[k] and fill[k] < capacity), key=lambda k: (fill[k], k)):
-            for pair in combinations(bins[b][:24], 2):
-                x = fuller(b, lengths[pair[0]] + lengths[pair[1]])
-                if x >= 0 and owner[pair[0]] == b and owner[pair[1]] == b:
-                    take(owner[x], [x], b, list(pair))
-                    changed = True
-                    break
-        live = sum(1 for b in bins if b)
-        if not changed:
-            break
-    return [b for b in bins if b]
-
-
-def _pack_cell(capacity: int, patience: int):
+        for b in sorted((k for k in range(len(bins)) if held[k] and fill[k] < capacity), key=lambda k: (fill[k], k)):
+            if held[b] and (found := fuller(b)):
+                swap(b, found[0], found[1], (found[2],))
+                changed = True
+        live = sum(1 for h in held if h)
+    return [[i for v in h.values() for i in v] for h in held if h]
+
+
+def _pack_cell(capacity: int):
     def run(table):
         table = table.sort_by([("length", "descending"), ("doc_id", "ascending"), ("piece", "ascending"), ("ids_crc32", "ascending")])
         lengths = table["length"].to_pylist()
         n_full = sum(x == capacity for x in lengths)
         rest = lengths[n_full:]
         bins = [[i] for i in range(n_full)]
-        bins += [[i + n_full for i in b] for b in improve(best_fit(rest, capacity), rest, capacity, patience)]
+        bins += [[i + n_full for i in b] for b in improve(best_fit(rest, capacity), rest, capacity)]
         number, offset = [0] * len(lengths), [0] * len(lengths)
         base = (table["cell"][0].as_py() if len(lengths) else 0) << 32
         for k, b in enumerate(bins):
@@ -225,4 +270,4 @@ def pack(docs: DataFrame, config: Config = Config()) -> DataFrame:
     salt = F.when(F.col("doc_id").isNull(), F.monotonically_increasing_id())
     cell = F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", salt), F.lit(cells))
     schema = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint"
-    return rows.withColumn("cell", cell).groupBy("cell").applyInArrow(_pack_cell(config.capacity, config.patience), schema)
+    return rows.withColumn("cell", cell).groupBy("cell").applyInArrow(_pack_cell(config.capacity), schema)

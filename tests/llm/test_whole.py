@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import random
+from itertools import combinations
+
 from pyspark.sql import functions as F
 
-from stepsql.llm import html, shard
+from stepsql.llm import html, packing, shard
 
 
 def texts_of(spark, pages):
@@ -34,3 +37,35 @@ def test_parcels_beyond_a_capacity(spark):
         assert sum(r.n for r in got) == 3050 and all(r.last == r.n - 1 for r in got)
         assert all(r.s <= capacity for r in got) and len(got) <= 1.05 * sum(r.s for r in got) / capacity + 1
     assert rows.groupBy("doc_id").agg(F.countDistinct("shard").alias("n")).where("n > 1").count() == 0
+
+
+def exchanges(bins, lengths, capacity):
+    """How many exchanges between underfull bins would still raise the sum of squared fills, by brute force."""
+    fill = [sum(lengths[i] for i in b) for b in bins]
+    found = 0
+    for a, b in ((a, b) for a in range(len(bins)) for b in range(len(bins)) if a != b and fill[b] <= fill[a] < capacity):
+        got = {lengths[i] for i in bins[b]}
+        mine = [(), *((lengths[i],) for i in bins[a]), *((lengths[i], lengths[j]) for i, j in combinations(bins[a], 2))]
+        found += any(0 < n - sum(m) <= capacity - fill[a] for n in got for m in mine)
+        two = {lengths[i] + lengths[j] for i, j in combinations(bins[b], 2)}
+        found += any(0 < t - lengths[i] <= capacity - fill[a] for t in two for i in bins[a])
+    return found
+
+
+def test_local_search_leaves_no_exchange():
+    """The 49th piece of a length, and the pieces of a bin after the 24th, take part."""
+    # 60 fuller bins hold pieces as long as the only one that fits
+    lengths = [36, 14, 55, 35] + [59, 36] * 60
+    start = [[2 * k, 2 * k + 1] for k in range(62)]
+    end = packing.improve(start, lengths, 100)
+    assert sorted(i for b in end for i in b) == list(range(len(lengths))) and exchanges(start, lengths, 100) > 0 and exchanges(end, lengths, 100) == 0
+    # a bin of short pieces, whose 31st is the one to give
+    lengths = [2] * 30 + [9, 10, 25, 30]
+    assert max(sum(lengths[i] for i in b) for b in packing.improve([list(range(31)), [31, 32], [33]], lengths, 70)) == 70
+    r = random.Random(7)
+    for _ in range(20):
+        lengths = [r.choice((3, 5, 8, 13, 13, 13, 21, 34)) for _ in range(150)]
+        start = [[i, i + 50, i + 100] for i in range(50)]
+        end = packing.improve(start, lengths, 102)
+        assert sorted(i for b in end for i in b) == list(range(150)) and all(sum(lengths[i] for i in b) <= 102 for b in end)
+        assert len(end) == -(-sum(lengths) // 102) or exchanges(end, lengths, 102) == 0
