@@ -5,7 +5,8 @@ template has two) is joined by hash to the positions of that 2-gram in
 the templates; equal hashes are checked by the words themselves. A hit votes for the diagonal
 `word position - template position`. Votes are summed by diagonal; diagonals of one template
 that lie close together (words put in or left out) are merged; a merged span counts if it is
-complete enough and not too long. For a base phrase all of its 2-grams must vote on one diagonal,
+complete enough and not too long; one that is too long (copies close by, or chance hits beside a
+copy) is split into its diagonals that are complete and its runs of others that meet the rule. For a base phrase all of its 2-grams must vote on one diagonal,
 which is the case exactly where its words stand consecutively.
 
 The joined side is the template table, whose size is fixed by the templates given. All rows of a
@@ -90,7 +91,7 @@ def scan(docs: DataFrame, config: Config = Config()) -> DataFrame:
     n_base counts every place of every base phrase, overlapping ones too; first_word and last_word are
     the smallest and largest start (null without one); labels adds those of the notices found;
     score is the largest share of a notice's or phrase's 2-grams that one accepted span holds (0 without
-    any); spans lists the accepted spans as (label, first word, words, share).
+    any); spans lists the accepted spans as (label, first word, 2-grams, share), where parts of one that was too long may overlap.
     Null and empty texts have no words and no labels. Repeated rows give repeated results, also
     under one doc_id or none. Whole texts count, however long. Other columns are ignored.
     """
@@ -118,23 +119,44 @@ def scan(docs: DataFrame, config: Config = Config()) -> DataFrame:
         .repartition(F.col("row"))
     )
     votes = hits.groupBy("row", "doc_id", "n_words", "template", "base", "label", "grams", (F.col("at") - F.col("position")).alias("diagonal")).agg(
-        F.count("*").alias("votes"), F.min("at").alias("begin"), F.max("at").alias("end")
+        F.count("*").alias("votes"), F.min("at").alias("begin"), F.max("at").alias("end"),
+        F.collect_set(F.when(~F.col("base") & (F.col("template") >= 0), F.col("position"))).alias("positions"),
     )
     # base phrases: a merged span is one diagonal; notices: diagonals within the slack
     line = Window.partitionBy("row", "template").orderBy("diagonal")
     gap = F.col("diagonal") - F.lag("diagonal").over(line)
     opens = F.when(gap.isNull() | F.col("base") | (gap > config.slack), 1).otherwise(0)
-    spans = (
+    length = config.longest * F.col("grams") + config.slack
+    # parts of a span, in case it is too long: a complete diagonal alone, and from each other one the run of such that is not too long:
+    # diagonals d to d + k hold k + grams 2-grams. In a run a 2-gram of the template counts once, so one phrase said over and over
+    # is no notice. Half a diagonal more keeps rounding away from the border
+    complete = F.col("votes") == F.col("grams")
+    run = "OVER (PARTITION BY row, template, span ORDER BY place RANGE BETWEEN CURRENT ROW AND 1D FOLLOWING)"
+    pieces = (
         votes.withColumn("opens", opens)
         .withColumn("span", F.sum("opens").over(line.rowsBetween(Window.unboundedPreceding, 0)))
+        .withColumn("place", F.col("diagonal") / (F.floor(length - F.col("grams")) + 0.5))
+        .withColumn("run_votes", F.size(F.array_distinct(F.flatten(F.expr(f"collect_list(IF(votes = grams, NULL, positions)) {run}")))))
+        .withColumn("run_begin", F.expr(f"min(IF(votes = grams, NULL, begin)) {run}"))
+        .withColumn("run_end", F.expr(f"max(IF(votes = grams, NULL, end)) {run}"))
+    )
+    part = F.when(complete, F.struct("label", F.col("begin").alias("first"), F.col("grams").alias("grams"), F.lit(1.0).alias("share"))).when(
+        F.col("run_votes") >= config.least * F.col("grams"),
+        F.struct("label", F.col("run_begin").alias("first"), (F.col("run_end") - F.col("run_begin") + 1).alias("grams"), F.least(F.lit(1.0), F.col("run_votes") / F.col("grams")).alias("share")),
+    )
+    spans = (
+        pieces.withColumn("part", F.when((F.col("template") >= 0) & ~F.col("base"), part))
         .groupBy("row", "doc_id", "n_words", "template", "base", "label", "grams", "span")
-        .agg(F.sum("votes").alias("votes"), F.min("begin").alias("begin"), F.max("end").alias("end"))
+        .agg(F.sum("votes").alias("votes"), F.min("begin").alias("begin"), F.max("end").alias("end"), F.collect_list("part").alias("parts"))
         .withColumn("share", F.least(F.lit(1.0), F.col("votes") / F.col("grams")))
     )
     found = F.col("template") >= 0
     whole = found & F.col("base") & (F.col("votes") == F.col("grams"))
-    near = found & ~F.col("base") & (F.col("share") >= config.least) & (F.col("end") - F.col("begin") + 1 <= config.longest * F.col("grams") + config.slack)
+    short = F.col("end") - F.col("begin") + 1 <= length
+    one = F.array(F.struct("label", F.col("begin").alias("first"), (F.col("end") - F.col("begin") + 1).alias("grams"), "share"))
+    near = found & ~F.col("base") & F.when(short, F.col("share") >= config.least).otherwise(F.size("parts") > 0)
     taken = whole | near
+    accepted = F.when(F.col("base") | short, one).otherwise(F.array_distinct("parts"))
     joined = lambda c: F.array_join(F.array_sort(F.collect_set(F.when(c, F.col("label")))), ",")
     return (
         spans.groupBy("row", "doc_id", "n_words")
@@ -144,8 +166,8 @@ def scan(docs: DataFrame, config: Config = Config()) -> DataFrame:
             F.max(F.when(whole, F.col("begin").cast("bigint"))).alias("last_word"),
             joined(whole).alias("base_labels"),
             joined(taken).alias("labels"),
-            F.coalesce(F.max(F.when(taken, F.col("share"))), F.lit(0.0)).alias("score"),
-            F.array_sort(F.collect_list(F.when(taken, F.struct("label", F.col("begin").alias("first"), (F.col("end") - F.col("begin") + 1).alias("grams"), "share")))).alias("spans"),
+            F.coalesce(F.max(F.when(taken, F.array_max(F.transform(accepted, lambda x: x["share"])))), F.lit(0.0)).alias("score"),
+            F.array_sort(F.flatten(F.collect_list(F.when(taken, accepted)))).alias("spans"),
         )
         .drop("row")
     )

@@ -7,7 +7,7 @@ from itertools import combinations
 
 from pyspark.sql import functions as F
 
-from stepsql.llm import html, packing, shard
+from stepsql.llm import html, license, packing, shard
 
 
 def texts_of(spark, pages):
@@ -69,3 +69,12 @@ def test_local_search_leaves_no_exchange():
         end = packing.improve(start, lengths, 102)
         assert sorted(i for b in end for i in b) == list(range(150)) and all(sum(lengths[i] for i in b) <= 102 for b in end)
         assert len(end) == -(-sum(lengths) // 102) or exchanges(end, lengths, 102) == 0
+
+
+def test_notices_close_together_keep_their_label(spark):
+    line, broken = "released under the mit license", "released under the new mit license"
+    texts = ["; ".join([line] * 3), "; ".join([line, "licensed under the mit license x"] * 900), f"{line} mit license mit license mit license mit license", ". ".join([broken] * 4), "mit license " * 9]
+    got = {r.doc_id: r for r in license.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")).collect()}
+    assert [got[k].labels for k in range(5)] == ["mit", "mit", "mit", "mit", ""] and got[4].score == 0
+    assert [got[k].score for k in range(3)] == [1.0, 1.0, 1.0] and got[3].labels == "mit" and got[3].score >= 0.6
+    assert [(x["first"], x["grams"], x["share"]) for x in got[0].spans if x["share"] == 1 and x["grams"] == 4][:3] == [(0, 4, 1.0), (5, 4, 1.0), (10, 4, 1.0)]
