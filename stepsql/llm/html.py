@@ -60,8 +60,7 @@ _WORDS = re.compile(r"[a-z]+")
 class Config:
     least: float = 0.25  # branches under this importance are cut
     support: int = 3  # pages a branch needs on its host before it can be cut
-    share: float = 0.01  # and the share of the host's pages; bounds the number of branches kept a host
-    broadcast_rows: int = 200_000  # cut branches up to which they are broadcast
+    broadcast_rows: int = 200_000  # cut branches up to which they are broadcast; more are joined to the pages' own branches by a shuffle
 
 
 @dataclass
@@ -195,7 +194,7 @@ def style_nodes(page: str | None) -> list[tuple[int, int, int]]:
     return [(key_of(p), kind, key_of("\n".join(v))) for kind, found in ((0, shapes), (1, texts)) for p, v in found.items()]
 
 
-def main_text(page: str | None, cut: frozenset[int] | None = None) -> str:
+def main_text(page: str | None, cut: frozenset[int] | set[int] | None = None) -> str:
     """Main text of one page, in page order, given the style-tree branches that its host cuts (none known: None). Where these would leave
     nothing, the page is a copy of others as a whole, and nothing is cut; likewise an article that they would take more than half of."""
     found: list[tuple[str, bool, bool]] = []
@@ -243,6 +242,15 @@ def importance(pages: DataFrame) -> DataFrame:
     )
 
 
+def _branches(b: pa.RecordBatch) -> dict:
+    out: dict[str, list] = {"host": [], "page": [], "path": []}
+    for host, page, text in zip(*(c.to_pylist() for c in b.columns)):
+        for path in {e.path for event, e, _ in parse(text or "") if event == "end"}:
+            for name, v in zip(out, (host, page, key_of(path))):
+                out[name].append(v)
+    return out
+
+
 def extract(pages: DataFrame, config: Config = Config()) -> DataFrame:
     """page_id, url, text, n_chars for every row of pages.
 
@@ -254,16 +262,23 @@ def extract(pages: DataFrame, config: Config = Config()) -> DataFrame:
         "page_id", "url", "html", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1)).alias("host")
     )
     nodes = importance(rows)
-    total = rows.groupBy("host").agg(F.count("*").alias("total"))
     # only nodes that hold text themselves are judged; their branches go with them
-    low = nodes.where((F.col("pages") >= config.support) & (F.col("content") < config.least) & (F.col("presentation") < config.least))
-    low = written(low.join(total, "host").where(F.col("pages") >= config.share * F.col("total")).select("host", "path"))
-    small = low.count() <= config.broadcast_rows
-    cuts = low.groupBy("host").agg(F.collect_list("path").alias("cut"))
-    joined = rows.join(F.broadcast(cuts) if small else cuts, "host", "left").select("page_id", "url", "html", "cut")
+    low = written(nodes.where((F.col("pages") >= config.support) & (F.col("content") < config.least) & (F.col("presentation") < config.least)).select("host", "path"))
+    sets: dict[str, set[int]] = {}
+    if low.count() <= config.broadcast_rows:
+        for r in low.collect():
+            sets.setdefault(r.host, set()).add(r.path)
+        joined = rows.select("page_id", "url", "html", "host", F.lit(None).cast("array<bigint>").alias("cut"))
+    else:
+        # a page gets those of its own branches that its host cuts, however many these are; pages that are alike have them in common
+        rows = rows.withColumn("page", F.coalesce(F.md5("html"), F.lit("")))
+        own = map_batches(rows.select("host", "page", "html"), _branches, "host string, page string, path bigint", rows=128)
+        cuts = own.join(low, ["host", "path"]).groupBy("host", "page").agg(F.collect_set("path").alias("cut"))
+        joined = rows.join(cuts, ["host", "page"], "left").select("page_id", "url", "html", "host", "cut")
+    held = rows.sparkSession.sparkContext.broadcast(sets)
 
     def run(b: pa.RecordBatch) -> dict:
-        texts = [main_text(p, frozenset(c or ())) for p, c in zip(b.column(2).to_pylist(), b.column(3).to_pylist())]
+        texts = [main_text(p, frozenset(c) if c else held.value.get(h, frozenset())) for p, h, c in zip(*(b.column(k).to_pylist() for k in (2, 3, 4)))]
         return {"page_id": b.column(0), "url": b.column(1), "text": texts, "n_chars": [len(t) for t in texts]}
 
     return map_batches(joined.withColumn("page_id", F.col("page_id").cast("bigint")), run, "page_id bigint, url string, text string, n_chars bigint", rows=128)

@@ -10,9 +10,9 @@ from pyspark.sql import functions as F
 from stepsql.llm import html, license, packing, shard
 
 
-def texts_of(spark, pages):
+def texts_of(spark, pages, config=html.Config()):
     df = spark.createDataFrame([(k, f"http://h.example/{k}", p) for k, p in enumerate(pages)], "page_id bigint, url string, html string")
-    return {r.page_id: r.text for r in html.extract(df).collect()}
+    return {r.page_id: r.text for r in html.extract(df, config).collect()}
 
 
 def test_style_tree_judges_around_and_in_articles(spark):
@@ -78,3 +78,10 @@ def test_notices_close_together_keep_their_label(spark):
     assert [got[k].labels for k in range(5)] == ["mit", "mit", "mit", "mit", ""] and got[4].score == 0
     assert [got[k].score for k in range(3)] == [1.0, 1.0, 1.0] and got[3].labels == "mit" and got[3].score >= 0.6
     assert [(x["first"], x["grams"], x["share"]) for x in got[0].spans if x["share"] == 1 and x["grams"] == 4][:3] == [(0, 4, 1.0), (5, 4, 1.0), (10, 4, 1.0)]
+
+
+def test_straps_of_a_small_section_are_cut_on_a_large_host(spark):
+    """Three pages of 400, also where the cut branches are too many to broadcast."""
+    pages = [f'<body><div class="rare">Section strap</div><div class="c"><p>Text {k}</p></div></body>' if k < 3 else f'<body><div class="c"><p>Text {k}</p></div></body>' for k in range(400)]
+    for config in (html.Config(), html.Config(broadcast_rows=0)):
+        assert texts_of(spark, [*pages, None], config) == {k: f"Text {k}" for k in range(400)} | {400: ""}
