@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-from stepsql.sources.carriers import LINE_ORDER, LONGEST
+from stepsql.sources.carriers import LINE_ORDER
 
 ORDERS = f"""
 numbered AS (SELECT *, row_number() OVER (PARTITION BY l_orderkey ORDER BY {", ".join(LINE_ORDER)})::INTEGER AS step_no FROM lineitem),
 trail AS (
   SELECT o_custkey AS qid, o_orderkey AS traj_id, step_no, (1 + l_quantity::INTEGER % 5)::INTEGER AS n_tokens,
     greatest(0.01, least(0.99, 1 - 5 * l_discount)) AS score, 0.05 + l_tax AS h_step, (o_orderstatus = 'F')::INTEGER AS outcome
-  FROM numbered JOIN orders ON l_orderkey = o_orderkey WHERE step_no <= {LONGEST})"""
+  FROM numbered JOIN orders ON l_orderkey = o_orderkey)"""
 
 TOKENS = """
 e AS (
@@ -33,9 +33,9 @@ trail AS (
     (last_value(last) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) = 'purchase')::INTEGER AS outcome
   FROM days WINDOW w AS (PARTITION BY qid, traj_id ORDER BY day))"""
 
-LINES = f"""
+LINES = """
 completions AS (
-  SELECT source AS qid, d.doc_id AS traj_id, string_split(text, chr(10))[1:{LONGEST}] AS steps, quality AS outcome
+  SELECT source AS qid, d.doc_id AS traj_id, string_split(text, chr(10)) AS steps, quality AS outcome
   FROM documents d JOIN labels USING (doc_id)),
 places AS (SELECT qid, traj_id, outcome, steps, unnest(range(1, len(steps) + 1)) AS depth FROM completions),
 visits AS (SELECT qid, traj_id, outcome, depth, array_to_string(steps[1:depth], chr(31)) AS prefix, depth = len(steps) AS leaf FROM places)"""

@@ -14,7 +14,7 @@ from stepsql.operators import labels as mc
 from stepsql.operators import measures as ms
 from stepsql.operators import policy as pol
 from stepsql.operators import reward as rw
-from stepsql.sources.carriers import LINE_ORDER, document_lines, event_tokens, page_tags, trail_events, trail_orders, turn_steps, within
+from stepsql.sources.carriers import LINE_ORDER, document_lines, event_tokens, page_tags, trail_events, trail_orders, turn_steps
 from stepsql.sources.tables import spread, table
 
 from .carrier_sql import EVENTS, LINES, ORDERS, TOKENS, rewards
@@ -185,14 +185,16 @@ def pair_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- prefix trees ------------------------------------------------------------------------------
 
 
-@query(f"WITH {LINES} SELECT qid, depth::INTEGER AS depth, md5(prefix) AS node, count(*) AS visits, sum(outcome)::BIGINT AS wins FROM visits GROUP BY ALL")
+_WORDS = ", ".join(f"sum(('0x' || substr(h, {8 * i + 1}, 8))::BIGINT) OVER chain" for i in range(4))
+
+
+@query(f"""WITH {LINES}, s AS (SELECT qid, traj_id, outcome, unnest(range(len(steps))) AS place, unnest(steps) AS step FROM completions),
+h AS (SELECT *, md5(place || chr(31) || step) AS h FROM s),
+k AS (SELECT *, md5(concat_ws('-', {_WORDS})) AS node FROM h WINDOW chain AS (PARTITION BY qid, traj_id ORDER BY place ROWS UNBOUNDED PRECEDING))
+SELECT qid, (place + 1)::INTEGER AS depth, node, count(*) AS visits, sum(outcome)::BIGINT AS wins FROM k GROUP BY ALL""")
 def prefix_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Nodes of the tree of document lines, named by the digest of the whole prefix so that SQL can name them too."""
-    lines = document_lines(spark, sf_dir)
-    at = lines.select("qid", "outcome", "steps", F.explode(F.sequence(F.lit(1), F.size("steps"))).alias("depth"))
-    return at.groupBy("qid", "depth", F.md5(F.array_join(F.slice("steps", F.lit(1), F.col("depth")), "\x1f")).alias("node")).agg(
-        F.count("*").alias("visits"), F.sum("outcome").cast("bigint").alias("wins")
-    )
+    """Nodes of the tree of document lines, named by running digests that SQL can form too."""
+    return mc.prefix_tree(document_lines(spark, sf_dir)).select("qid", "depth", F.col("prefix_key").alias("node"), "visits", "wins")
 
 
 @query(f"WITH {LINES}, n AS (SELECT qid, prefix, depth, count(*) AS v, sum(outcome) AS w, avg(outcome) AS s FROM visits GROUP BY ALL) SELECT qid, depth::INTEGER AS depth, count(*) AS nodes, sum(v)::BIGINT AS visits, sum(w)::BIGINT AS wins, count(*) FILTER (v > 1) AS shared, count(*) FILTER (s > 0 AND s < 1) AS mixed, round(avg(s), 6) + 0.0 AS mean_sigma FROM n GROUP BY ALL")
@@ -280,7 +282,7 @@ def text_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Step texts for the bulk chain tools: one chain an order; the text of a step refers to the step before it, now and
     then to one that does not exist, and names repeat by rule."""
     o = Window.partitionBy("l_orderkey").orderBy(*LINE_ORDER)
-    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o)).where(within(F.col("no"), 9))
+    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o))
     last = F.count("*").over(Window.partitionBy("l_orderkey"))
     name = F.concat(F.lit("s"), F.when(F.col("l_partkey") % 17 == 0, F.lit(1)).otherwise(F.col("no")).cast("string"))
     ref = F.when(F.col("no") == 1, F.lit("lineitem")).when(F.col("l_partkey") % 13 == 0, F.lit("missing")).otherwise(F.concat(F.lit("s"), (F.col("no") - 1).cast("string")))
@@ -294,7 +296,7 @@ def text_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _TEXTS = f"""
 n AS (SELECT *, row_number() OVER (PARTITION BY l_orderkey ORDER BY {", ".join(LINE_ORDER)})::INTEGER AS no FROM lineitem),
-m AS (SELECT *, count(*) OVER (PARTITION BY l_orderkey) AS last FROM n WHERE no <= 9),
+m AS (SELECT *, count(*) OVER (PARTITION BY l_orderkey) AS last FROM n),
 texts AS (
   SELECT l_orderkey % 100 AS qid, l_orderkey AS traj_id, no, 's' || CASE WHEN l_partkey % 17 = 0 THEN 1 ELSE no END AS name, 'take part ' || l_partkey AS rationale,
     CASE WHEN l_partkey % 29 = 0 THEN 'SELECT count(* FROM ' ELSE 'SELECT * FROM ' END || CASE WHEN no = 1 THEN 'lineitem' WHEN l_partkey % 13 = 0 THEN 'missing' ELSE 's' || (no - 1) END AS sql,
@@ -335,14 +337,14 @@ def corpus_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _DIGESTS = f"""
 n AS (SELECT *, row_number() OVER (PARTITION BY l_orderkey ORDER BY {", ".join(LINE_ORDER)})::INTEGER AS no FROM lineitem),
-d AS (SELECT l_orderkey % 100 AS qid, l_orderkey AS traj_id, no, l_quantity::INTEGER AS n_rows, (l_partkey % 7)::VARCHAR AS result_key, 0.05 + l_tax AS h_step FROM n WHERE no <= 9),
+d AS (SELECT l_orderkey % 100 AS qid, l_orderkey AS traj_id, no, l_quantity::INTEGER AS n_rows, (l_partkey % 7)::VARCHAR AS result_key, 0.05 + l_tax AS h_step FROM n),
 f AS (SELECT *, row_number() OVER (PARTITION BY qid, traj_id, result_key ORDER BY no) > 1 AS repeats_result, coalesce(n_rows = lag(n_rows) OVER (PARTITION BY qid, traj_id ORDER BY no), false) AS keeps_all_rows FROM d)"""
 
 
 def digests(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Line items read as step digests: quantity as row count, part class as result."""
     o = Window.partitionBy("l_orderkey").orderBy(*LINE_ORDER)
-    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o)).where(within(F.col("no"), 9))
+    t = table(spark, sf_dir, "lineitem").withColumn("no", F.row_number().over(o))
     return t.select((F.col("l_orderkey") % 100).alias("qid"), F.col("l_orderkey").alias("traj_id"), "no", F.col("l_quantity").cast("int").alias("n_rows"), (F.col("l_partkey") % 7).cast("string").alias("result_key"), (0.05 + F.col("l_tax")).alias("h_step"))
 
 

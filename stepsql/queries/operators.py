@@ -11,7 +11,8 @@ from pyspark.sql import functions as F
 
 from stepsql.sources.tables import register, table
 
-from .core import r6
+from .carrier_sql import EVENTS, ORDERS, rewards
+from .core import OFF, r6, r8
 from .registry import query
 
 W = Window
@@ -68,13 +69,13 @@ def op_partitioned_write(spark: SparkSession, d: str) -> DataFrame:
     return spark.read.parquet(path).where("o_orderstatus = 'F'").select("o_orderkey", "o_custkey", "o_totalprice")
 
 
-@query()
+@query(f"WITH {ORDERS} SELECT qid, count(*) AS steps, round(avg(score) + {OFF}, 8) + 0.0 AS mean_score FROM trail GROUP BY qid")
 def op_bucketed_log(spark: SparkSession, d: str) -> DataFrame:
     """The step log as a table bucketed by question, whose group statistics need no exchange."""
     from stepsql.sources.logs import bucketed
 
     log = bucketed(spark, d)
-    return log.groupBy("qid").agg(F.count("*").alias("steps"), F.avg("score").alias("mean_score"))
+    return r8(log.groupBy("qid").agg(F.count("*").alias("steps"), F.avg("score").alias("mean_score")))
 
 
 same("op_temp_view", "SELECT n_regionkey, count(*) AS n FROM nation GROUP BY n_regionkey", "nation")
@@ -129,10 +130,10 @@ def op_distinct(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _join(how: str, sql: str) -> None:
-    @query(f"WITH o AS (SELECT o_orderkey, o_custkey FROM orders WHERE o_orderkey % 5 = 0), c AS (SELECT c_custkey, c_name FROM customer WHERE c_custkey % 2 = 0) SELECT o_orderkey, c_name FROM c {sql} JOIN o ON c_custkey = o_custkey", f"op_join_{how}")
+    @query(f"SELECT o_orderkey, c_name FROM customer {sql} JOIN orders ON c_custkey = o_custkey", f"op_join_{how}")
     def run(spark: SparkSession, d: str) -> DataFrame:
-        o = t(spark, d, "orders", "o_orderkey", "o_custkey").where("o_orderkey % 5 = 0")
-        c = t(spark, d, "customer", "c_custkey", "c_name").where("c_custkey % 2 = 0")
+        o = t(spark, d, "orders", "o_orderkey", "o_custkey")
+        c = t(spark, d, "customer", "c_custkey", "c_name")
         return c.join(o, F.col("c_custkey") == F.col("o_custkey"), how).select("o_orderkey", "c_name")
 
 
@@ -391,9 +392,9 @@ same("op_str_basic", "SELECT p_partkey, upper(p_name) AS u, substr(p_brand, 1, 4
 same("op_hash", "SELECT doc_id, md5(text) AS m FROM documents", "documents")
 
 
-@query("SELECT doc_id, regexp_extract(text, '[A-Za-z]+@[a-z.]+', 0) AS mail, regexp_replace(left(text, 40), '[0-9]', '#', 'g') AS masked, len(regexp_extract_all(text, '[0-9]+')) AS numbers FROM documents")
+@query("SELECT doc_id, regexp_extract(text, '[A-Za-z]+@[a-z.]+', 0) AS mail, regexp_replace(text, '[0-9]', '#', 'g') AS masked, len(regexp_extract_all(text, '[0-9]+')) AS numbers FROM documents")
 def op_str_regex(spark: SparkSession, d: str) -> DataFrame:
-    return t(spark, d, "documents").select("doc_id", F.regexp_extract("text", "[A-Za-z]+@[a-z.]+", 0).alias("mail"), F.regexp_replace(F.left("text", F.lit(40)), "[0-9]", "#").alias("masked"), F.size(F.regexp_extract_all("text", F.lit("[0-9]+"), F.lit(0))).cast("bigint").alias("numbers"))
+    return t(spark, d, "documents").select("doc_id", F.regexp_extract("text", "[A-Za-z]+@[a-z.]+", 0).alias("mail"), F.regexp_replace("text", "[0-9]", "#").alias("masked"), F.size(F.regexp_extract_all("text", F.lit("[0-9]+"), F.lit(0))).cast("bigint").alias("numbers"))
 
 
 same("op_str_distance", "SELECT p_partkey, CAST(levenshtein(p_name, 'blue steel') AS BIGINT) AS d FROM part", "part")
@@ -492,26 +493,29 @@ def op_pandas_udf(spark: SparkSession, d: str) -> DataFrame:
     return r6(p.select("user_id", entropy("p").alias("entropy")))
 
 
-@query()
+@query(f"WITH {rewards(EVENTS)}, l AS (SELECT qid, traj_id, max_by(reward, step_no) AS reward FROM rewarded GROUP BY ALL) SELECT qid, traj_id, round(reward + {OFF}, 8) + 0.0 AS reward FROM l")
 def op_udaf(spark: SparkSession, d: str) -> DataFrame:
     """Running reward as a grouped aggregate: a fold over the collected steps."""
     from stepsql.operators.reward import nest, nested_reward
     from stepsql.sources.carriers import trail_events
 
-    return nest(trail_events(spark, d)).select("qid", "traj_id", nested_reward(F.col("steps")).alias("reward"))
+    return r8(nest(trail_events(spark, d)).select("qid", "traj_id", nested_reward(F.col("steps")).alias("reward")))
 
 
-@query()
+@query("SELECT doc_id, depth::INTEGER AS depth, list_reduce(list_prepend('', steps[1:depth]), lambda held, step: md5(held || chr(31) || step)) AS prefix_key FROM (SELECT doc_id, steps, unnest(range(1, len(steps) + 1)) AS depth FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS steps FROM documents))")
 def op_udtf(spark: SparkSession, d: str) -> DataFrame:
-    """A chain to its prefixes, by a table function."""
+    """A chain to the digests of its prefixes, by a table function."""
 
-    @F.udtf(returnType="depth int, prefix string")
+    @F.udtf(returnType="depth int, prefix_key string")
     class Prefixes:
         def eval(self, text: str):
-            parts = (text or "").split("\n")[:9]
-            for k in range(1, len(parts) + 1):
-                yield k, "\n".join(parts[:k])
+            import hashlib
+
+            held = ""
+            for depth, step in enumerate((text or "").split("\n"), 1):
+                held = hashlib.md5(f"{held}\x1f{step}".encode("utf-8", "surrogatepass")).hexdigest()
+                yield depth, held
 
     spark.udtf.register("chain_prefixes", Prefixes)
     t(spark, d, "documents", "doc_id", "text").createOrReplaceTempView("chain_texts")
-    return spark.sql("SELECT doc_id, depth, prefix FROM chain_texts, LATERAL chain_prefixes(text)")
+    return spark.sql("SELECT doc_id, depth, prefix_key FROM chain_texts, LATERAL chain_prefixes(text)")

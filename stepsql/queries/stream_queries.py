@@ -11,7 +11,8 @@ from stepsql.sources.carriers import trail_orders
 from stepsql.sources.tables import table
 from stepsql.streaming import rewards as st
 
-from .core import r6
+from .carrier_sql import ORDERS, rewards
+from .core import OFF, r8
 from .operators import sessions
 from .registry import query
 
@@ -68,14 +69,14 @@ def op_stream_stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return st.drain(j.select("view_id", "purchase_id"))
 
 
-@query()
+@query(f"WITH {rewards(ORDERS, scope='corpus')} SELECT qid, traj_id, step_no, round(prefix_score + {OFF}, 8) + 0.0 AS prefix_score, round(reward + {OFF}, 8) + 0.0 AS reward FROM rewarded")
 def op_stream_reward(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Running rewards of the order log as its steps arrive; tests hold them against the batch form."""
     log = trail_orders(spark, sf_dir)
     path = st.split_log(log, "step_no")
     top = step_reward(log, RewardConfig(norm_scope="corpus")).agg(F.max("h_prefix").alias("m")).first().m
     s = st.stream_of(spark, path, "qid bigint, traj_id bigint, step_no int, n_tokens int, score double, h_step double, outcome int")
-    return r6(st.drain(st.reward_stream(s, top)))
+    return r8(st.drain(st.reward_stream(s, top)))
 
 
 @query()

@@ -6,25 +6,18 @@ by every column, so that other engines number steps alike.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .tables import table
 
-LONGEST = 9  # steps of the longest chain in the reported corpus
 LINE_ORDER = ("l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_quantity", "l_discount", "l_tax", "l_shipdate", "l_returnflag", "l_linestatus")
 
 
-def within(number: Column, most: int) -> Column:
-    """number <= most, in a form that Spark does not turn into a limit by group before the exchange: nearly all groups are
-    shorter, so that limit would only sort every row once more, in as few tasks as the scan has."""
-    return F.least(number, F.lit(most + 1)) < most + 1
-
-
 def trail_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Customers as questions, their orders as trajectories, line items as steps."""
+    """Customers as questions, their orders as trajectories, line items as steps, however many."""
     order = Window.partitionBy("l_orderkey").orderBy(*LINE_ORDER)
-    lines = table(spark, sf_dir, "lineitem").withColumn("step_no", F.row_number().over(order)).where(within(F.col("step_no"), LONGEST))
+    lines = table(spark, sf_dir, "lineitem").withColumn("step_no", F.row_number().over(order))
     orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderstatus")
     return lines.join(orders, lines.l_orderkey == orders.o_orderkey).select(
         F.col("o_custkey").alias("qid"),
@@ -85,9 +78,9 @@ def event_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def document_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Labelled documents as completions: qid = source, steps = up to nine lines, outcome = quality."""
+    """Labelled documents as completions: qid = source, steps = all lines, outcome = quality."""
     docs = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels").select("doc_id", "quality"), "doc_id")
-    return docs.select(F.col("source").alias("qid"), F.col("doc_id").alias("traj_id"), F.slice(F.split("text", "\n"), 1, LONGEST).alias("steps"), F.col("quality").alias("outcome"))
+    return docs.select(F.col("source").alias("qid"), F.col("doc_id").alias("traj_id"), F.split("text", "\n").alias("steps"), F.col("quality").alias("outcome"))
 
 
 def turn_steps(spark: SparkSession, sf_dir: str) -> DataFrame:

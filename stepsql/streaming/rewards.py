@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -41,16 +42,15 @@ def reward_stream(steps: DataFrame, h_max: float) -> DataFrame:
 
     def run(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         h, den, num, plain, n, acc = state.get if state.exists else (0.0, 0.0, 0.0, 0.0, 0, 0.0)
-        rows = []
-        for r in pd.concat(list(parts)).sort_values("step_no").itertuples():
-            h += r.h_step
-            w = 1 - h / h_max if h_max > 0 else 1.0
-            den, num, plain, n = den + w, num + w * r.score, plain + r.score, n + 1
-            score = num / den if den > 0 else plain / n
-            acc += score
-            rows.append((*key, r.step_no, score, acc))
-        state.update((h, den, num, plain, n, acc))
-        yield pd.DataFrame(rows, columns=["qid", "traj_id", "step_no", "prefix_score", "reward"])
+        new = pd.concat(list(parts)).sort_values("step_no")
+        entropy = h + new.h_step.cumsum().to_numpy()
+        weight = 1 - entropy / h_max if h_max > 0 else np.ones(len(new))
+        score = new.score.to_numpy()
+        mass, weighted, sums, counts = den + weight.cumsum(), num + (weight * score).cumsum(), plain + score.cumsum(), n + np.arange(1, len(new) + 1)
+        prefix = np.where(mass > 0, weighted / np.where(mass > 0, mass, 1.0), sums / counts)
+        reward = acc + prefix.cumsum()
+        state.update(tuple(map(float, (entropy[-1], mass[-1], weighted[-1], sums[-1]))) + (int(counts[-1]), float(reward[-1])))
+        yield pd.DataFrame({"qid": key[0], "traj_id": key[1], "step_no": new.step_no.to_numpy(), "prefix_score": prefix, "reward": reward})
 
     return steps.groupBy("qid", "traj_id").applyInPandasWithState(
         run, "qid bigint, traj_id bigint, step_no int, prefix_score double, reward double", "h double, den double, num double, plain double, n bigint, acc double", "append", GroupStateTimeout.NoTimeout

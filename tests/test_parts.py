@@ -35,6 +35,15 @@ def test_prefix_labels(spark):
     assert root.wins == kids[root.prefix_key] + 0 and root.visits == 4
 
 
+def test_prefix_labels_of_a_long_chain(spark):
+    n = 10_000
+    rows = [("q", 0, [f"step {i}" for i in range(n)], 1), ("q", 1, [f"step {i}" for i in range(n - 1)] + ["other"], 0), ("q", 2, [], 1)]
+    nodes = mc.prefix_tree(spark.createDataFrame(rows, "qid string, traj_id int, steps array<string>, outcome int"))
+    got = nodes.groupBy("visits").agg({"*": "count", "depth": "max"}).collect()
+    assert sorted((r.visits, r["count(1)"], r["max(depth)"]) for r in got) == [(1, 2, n), (2, n - 1, n - 1)]
+    assert nodes.join(nodes.selectExpr("prefix_key as parent_key"), "parent_key", "left_anti").count() == 1  # the root step
+
+
 def test_weighted_labels(spark):
     rows = [("q", 1, ["a", "b"], 1, -1.0), ("q", 2, ["a", "b"], 1, -1.0), ("q", 3, ["a", "c"], 0, -2.0)]
     got = mc.weighted_sigma(spark.createDataFrame(rows, "qid string, traj_id int, steps array<string>, outcome int, logp double")).collect()
