@@ -65,34 +65,38 @@ _FOLDED = f"translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}')"
 
 def _license_sql() -> str:
     config = license.Config()
-    rows = ", ".join(f"('{x} {y}', {t}, {str(b).lower()}, '{label}', {p}, {n})" for x, y, t, b, label, p, n in license.template_rows(config))
+    rows = ", ".join(f"('{x} {y}', {t}, {p})" for x, y, t, p in license.template_rows(config))
+    kinds = ", ".join(f"({n}, '{label}', {len(words) - 1}, {str(n < len(config.base)).lower()}, {need or '[]'}::INTEGER[][])" for n, (words, label, need) in enumerate(config.templates))
     return f"""
 WITH texts AS (
   SELECT doc_id, row_number() OVER () AS row, regexp_extract_all({_FOLDED}, '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS w FROM documents),
-templates(gram, template, base, label, position, grams) AS (VALUES {rows}),
+templates(gram, template, position) AS (VALUES {rows}),
+kinds(template, label, grams, base, need) AS (VALUES {kinds}),
 places AS (SELECT row, unnest(range(len(w) - 1)) AS place, w FROM texts WHERE len(w) >= 2),
-grams AS (SELECT row, place, w[place + 1] || ' ' || w[place + 2] AS gram FROM places),
-votes AS (
-  SELECT row, template, base, label, grams, place - position AS diagonal, count(*) AS votes, min(place) AS begin, max(place) AS ending
-  FROM grams JOIN templates USING (gram) GROUP BY ALL),
-marked AS (
-  SELECT *, CASE WHEN base OR coalesce(diagonal - lag(diagonal) OVER line > {config.slack}, true) THEN 1 ELSE 0 END AS starts
-  FROM votes WINDOW line AS (PARTITION BY row, template ORDER BY diagonal)),
-numbered AS (SELECT *, sum(starts) OVER (PARTITION BY row, template ORDER BY diagonal) AS span FROM marked),
-spans AS (
-  SELECT row, template, base, label, grams, span, sum(votes) AS votes, min(begin) AS begin, max(ending) AS ending,
-    least(1.0::DOUBLE, sum(votes)::DOUBLE / grams) AS share
-  FROM numbered GROUP BY row, template, base, label, grams, span),
-taken AS (
-  SELECT *, base AND votes = grams AS whole,
-    (base AND votes = grams) OR (NOT base AND share >= {config.least} AND ending - begin + 1 <= {config.longest} * grams + {config.slack}) AS accepted
-  FROM spans)
-SELECT t.doc_id, len(any_value(t.w))::BIGINT AS n_words, count(*) FILTER (whole)::BIGINT AS n_base,
-  min(begin) FILTER (whole)::BIGINT AS first_word, max(begin) FILTER (whole)::BIGINT AS last_word,
-  coalesce(string_agg(DISTINCT label, ',' ORDER BY label) FILTER (whole), '') AS base_labels,
-  coalesce(string_agg(DISTINCT label, ',' ORDER BY label) FILTER (accepted), '') AS labels,
-  coalesce(max(share) FILTER (accepted), 0.0)::DOUBLE AS score
-FROM texts t LEFT JOIN taken USING (row) GROUP BY t.row, t.doc_id"""
+words AS (SELECT row, place, w[place + 1] || ' ' || w[place + 2] AS gram FROM places),
+hits AS (SELECT row, template, place, position, place - position AS diagonal FROM words JOIN templates USING (gram)),
+votes AS (SELECT row, template, diagonal, count(*) AS n FROM hits GROUP BY ALL),
+based AS (SELECT row, label, diagonal AS first FROM votes JOIN kinds USING (template) WHERE base AND n = grams),
+near AS (SELECT a.row, a.template, a.diagonal AS anchor, b.diagonal, b.n
+  FROM votes a JOIN votes b ON a.row = b.row AND a.template = b.template AND b.diagonal BETWEEN a.diagonal AND a.diagonal + {config.slack}
+  WHERE NOT (SELECT any_value(base) FROM kinds k WHERE k.template = a.template)),
+chosen AS (
+  SELECT n.row, n.template, anchor, position, arg_max(place, (n, -n_.diagonal)) AS place
+  FROM (SELECT *, diagonal AS d FROM near) n JOIN hits n_ ON n_.row = n.row AND n_.template = n.template AND n_.diagonal = n.d GROUP BY ALL),
+kept AS (SELECT * FROM chosen QUALIFY place > coalesce(max(place) OVER (PARTITION BY row, template, anchor ORDER BY position ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), -1)),
+spans AS (SELECT row, template, anchor, list(position) AS positions, list(place) AS places, count(*) AS n FROM kept GROUP BY ALL),
+verified AS (
+  SELECT row, template, anchor, places, label, grams, n::DOUBLE / grams AS share FROM spans JOIN kinds USING (template)
+  WHERE n >= {config.least} * grams AND len(list_filter(need, lambda held: NOT list_has_any(held, positions))) = 0),
+claims AS (SELECT row, template, anchor, label, grams, share, unnest(places) AS place FROM verified),
+judged AS (SELECT *, first_value(label) OVER (PARTITION BY row, place ORDER BY share DESC, grams DESC, label DESC) = label AS won FROM claims),
+stands AS (SELECT row, template, anchor, label, share FROM judged GROUP BY row, template, anchor, label, share, grams HAVING count(*) FILTER (won) >= {config.least} * grams),
+every AS (SELECT row, label, first, 1.0::DOUBLE AS share, true AS base FROM based UNION ALL SELECT row, label, anchor, share, false FROM stands)
+SELECT t.doc_id, len(any_value(t.w))::BIGINT AS n_words, count(*) FILTER (base)::BIGINT AS n_base,
+  min(first) FILTER (base)::BIGINT AS first_word, max(first) FILTER (base)::BIGINT AS last_word,
+  coalesce(string_agg(DISTINCT label, ',' ORDER BY label) FILTER (base), '') AS base_labels,
+  coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS labels, coalesce(max(share), 0.0)::DOUBLE AS score
+FROM texts t LEFT JOIN every USING (row) GROUP BY t.row, t.doc_id"""
 
 
 ORACLE_SQL = {
