@@ -7,6 +7,7 @@ import random
 import re
 import zlib
 from collections import Counter, defaultdict
+from fractions import Fraction
 
 import numpy as np
 import pytest
@@ -355,11 +356,12 @@ def slow_top(rows, k=5):
     q = {}
     for i, v in rows:
         if i is not None and v is not None and all(x is not None and np.isfinite(x) for x in v):
-            q.setdefault(i, []).append(np.floor(256 * np.array(v, float)).astype(int))
+            q.setdefault(i, []).append([int(256 * Fraction(x) // 1) for x in v])
     out = []
     for i, own in q.items():
         if i % 50 == 0:
-            scores = sorted((-int((own[0][: len(v)] * v[: len(own[0])]).sum()), j) for j, vs in q.items() if j != i for v in vs)
+            scores = sorted((-sum(a * b for a, b in zip(min(own), v)), j) for j, vs in q.items() if j != i for v in vs)
+            scores = [x for x in scores if -(2**63) <= -x[0] < 2**63]
             out += [(i, n + 1, j, -s) for n, (s, j) in enumerate(scores[:k])]
     return sorted(out)
 
@@ -369,9 +371,8 @@ def test_top_k_equals_brute_force(spark, spread):
     r = np.random.default_rng(6)
     rows = [(k, [float(x) for x in r.normal(0, spread, 16)]) for k in range(400)]
     rows += [(k, rows[7][1]) for k in range(400, 460)]  # ties
-    rows += [(500, None), (501, [float("nan")] * 16), (502, [None] + [0.1] * 15), (503, [float("inf")] * 16), (None, [1.0] * 16), (504, [0.5] * 9), (505, []), (550, [0.0] * 16), (600, [1e30] * 16)]
+    rows += [(500, None), (501, [float("nan")] * 16), (502, [None] + [0.1] * 15), (503, [float("inf")] * 16), (None, [1.0] * 16), (504, [0.5] * 9), (505, []), (550, [0.0] * 16), (600, [1e30] * 16), (601, [600_000.0] + [0.1] * 15), (650, [5e6, -3.5] + [0.2] * 14), (50, [None] + [0.5] * 15), (700, [float("nan")]), (700, [0.25] * 16)]
     df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>").withColumn("rank", F.lit(1)).withColumn("Score", F.lit(2))
-    rows.pop()  # a component beyond the limit takes no part
     got = topk.top_k(df, df.where("vec_id % 50 = 0"), topk.Config(queries=4, rows=100))
     assert sorted(map(tuple, got.select("query_id", "rank", "vec_id", "score").collect())) == slow_top(rows)
 
