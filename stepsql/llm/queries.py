@@ -104,7 +104,7 @@ ORACLE_SQL = {
     "op2_exact_dedup": f"""
 WITH n AS (SELECT doc_id, {_FOLDED} AS t FROM documents),
 g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM n GROUP BY t)
-SELECT n.doc_id, g.keep_id, g.group_size, n.doc_id = g.keep_id AS kept, sha256(n.t) AS text_sha256 FROM n JOIN g USING (t)""",
+SELECT n.doc_id, g.keep_id, g.group_size, row_number() OVER (PARTITION BY n.t ORDER BY n.doc_id DESC NULLS LAST) = 1 AS kept, sha256(n.t) AS text_sha256 FROM n JOIN g USING (t)""",
     "op8_exact_topk": """
 WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS q FROM embeddings),
 pairs AS (

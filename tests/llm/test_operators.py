@@ -86,19 +86,23 @@ def test_license_plan_is_native(spark, data):
 # --- 2 exact dedup ----------------------------------------------------------------------------
 
 
-def test_quotient_filters_merge_without_loss():
+@pytest.mark.parametrize("block_bits", [1, 3, 8])
+def test_quotient_filters_merge_without_loss(block_bits):
     r = np.random.default_rng(1)
-    parts = [r.integers(0, 2**64, 500, np.uint64) for _ in range(4)]
-    parts.append(np.concatenate([parts[0][:50], parts[1][:20], parts[0][:10]]))
+    parts = [r.integers(0, 2**64, n, np.uint64) for n in (500, 3, 1, 2000)]
+    parts.append(np.concatenate([parts[0][:50], parts[3][:20], parts[0][:10], np.full(100_000, 7, np.uint64), np.array([0, 0, 2**64 - 1, 2**64 - 1], np.uint64)]))
+    parts.append(np.uint64(5 << 56) + r.integers(0, 40, 3000, np.uint64))  # one home, a long run
     runs = defaultdict(list)
     for p in parts:
-        for block, run in exact.filter_of(p).items():
-            runs[block].append(run)
+        for block, f in exact.filters_of(p, block_bits).items():
+            row = exact.to_row(block, f)
+            runs[block].append(exact.from_row(*row[1:]))
+            assert f.occupied.sum() == f.last.sum() and len(f.slots) >= len(f.occupied)
     got = Counter()
     for block, held in runs.items():
-        rest, count = exact.merge(held)
-        assert (np.diff(rest.astype(np.float64)) >= 0).all()
-        got.update({int(v) | block << exact.REMAINDER_BITS: int(c) for v, c in zip(rest, count)})
+        value, count = exact.merge(held)
+        assert (value[1:] > value[:-1]).all() and ((value >> np.uint64(64 - block_bits)) == block).all()
+        got.update(dict(zip(value.tolist(), count.tolist())))
     assert got == Counter(int(v) for p in parts for v in p)
 
 
@@ -106,13 +110,27 @@ def test_dedup_of_odd_rows(spark):
     got = exact.dedup(odd(spark)).collect()
     assert len(got) == len(ODD)
     abc = [r for r in got if r.text_sha256 == hashlib.sha256(b"abc abc").hexdigest()]
-    assert {(r.doc_id, r.keep_id, r.group_size, r.kept) for r in abc} == {(3, 4, 4, False), (4, 4, 4, True), (None, 4, 4, False)}
+    # one row of a group stays, also where its doc_id repeats
+    assert Counter((r.doc_id, r.keep_id, r.group_size, r.kept) for r in abc) == Counter([(3, 4, 4, False), (4, 4, 4, True), (4, 4, 4, False), (None, 4, 4, False)])
     empty = [r for r in got if r.text_sha256 == hashlib.sha256(b"").hexdigest()]
     assert {(r.doc_id, r.keep_id, r.group_size, r.kept) for r in empty} == {(1, 2, 3, False), (2, 2, 3, True), (None, 2, 3, False)}
     assert all(r.kept and r.group_size == 1 for r in got if r.doc_id in (5, 6, 7))
     assert exact.dedup(none(spark)).count() == 0
 
 
+def test_dedup_and_keep_have_one_law(spark):
+    rows = [(None, "a b"), (None, "A b"), (None, "a B"), (7, "same"), (7, "same"), (7, "Same"), (None, "alone"), (3, "x"), (5, "X")]
+    df = spark.createDataFrame(rows, DOCS)
+    got = exact.dedup(df).collect()
+    by = defaultdict(list)
+    for r in got:
+        by[r.text_sha256].append(r)
+    assert all(sum(r.kept for r in held) == 1 and len(held) == held[0].group_size for held in by.values())
+    assert {r.keep_id for r in got} == {None, 7, 5}
+    kept = exact.keep(df).collect()
+    assert sorted((r.doc_id or 0, r.text.lower()) for r in kept) == [(0, "a b"), (0, "alone"), (5, "x"), (7, "same")]
+
+
 def test_colliding_prints_are_told_apart_by_bytes(spark, monkeypatch):
     monkeypatch.setattr(exact, "fingerprint", lambda digest: 7)
     rows = [(k, f"text {k % 3}") for k in range(9)]
