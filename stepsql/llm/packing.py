@@ -264,10 +264,9 @@ def pack(docs: DataFrame, config: Config = Config()) -> DataFrame:
     rows. Other columns are ignored.
     """
     ship(docs.sparkSession)
-    rows = written(pieces(docs, config))
+    # a piece's place in this table deals it out, as ids may repeat or lack
+    rows = written(pieces(docs, config).withColumn("row", F.monotonically_increasing_id()))
     cells = max(1, -(-rows.count() // config.cell))
-    # rows without a doc_id may all be alike: their place in the written table deals them out
-    salt = F.when(F.col("doc_id").isNull(), F.monotonically_increasing_id())
-    cell = F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", salt), F.lit(cells))
+    cell = F.pmod(F.xxhash64("row"), F.lit(cells))
     schema = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint"
-    return rows.withColumn("cell", cell).groupBy("cell").applyInArrow(_pack_cell(config.capacity), schema)
+    return rows.withColumn("cell", cell).drop("row").groupBy("cell").applyInArrow(_pack_cell(config.capacity), schema)

@@ -117,6 +117,8 @@ def shard(docs: DataFrame, config: Config = Config(), capacity: int | None = Non
             (F.octet_length(text) + 1).cast("bigint").alias("size"),
             F.crc32(text.cast("binary")).alias("text_crc32"),
             F.xxhash64(text).alias("group"),
+            # its place in this table deals a row out, as ids may repeat or lack
+            F.monotonically_increasing_id().alias("row"),
         )
     )
     groups = written(rows.groupBy("group").agg(F.sum("size").alias("bytes"), F.count("*").alias("rows")))
@@ -159,7 +161,7 @@ def shard(docs: DataFrame, config: Config = Config(), capacity: int | None = Non
         .withColumn("large", F.col("big").isNotNull())
         .withColumn("key", F.when(F.col("large"), F.col("group")).otherwise(F.array_max(F.filter("firsts", lambda first: first <= F.col("group")))))
         .join(places, ["key", "large"])
-        .withColumn("part", F.pmod(F.xxhash64(F.coalesce("doc_id", F.lit(-1))), F.col("parts")))
+        .withColumn("part", F.pmod(F.xxhash64("row"), F.col("parts")))
         .select("doc_id", "size", "text_crc32", "shard", "key", "large", "part")
     )
     counts = dealt.groupBy("shard", "key", "large", "part").count()

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from collections import Counter, defaultdict
+
 import pytest
 
-from stepsql.llm import license
+from stepsql.llm import langid, license, packing, quality, shard
 
 DOCS = "doc_id long, text string"
 
@@ -77,3 +79,36 @@ def test_license_labels_equal_a_plain_search(spark):
         rows.append((i, " ".join(words)))
     got = {r.doc_id: set(r.labels.split(",")) - {""} for r in license.scan(spark.createDataFrame(rows, DOCS)).collect()}
     assert got == {i: _plain_labels(text) for i, text in rows}
+
+
+@pytest.mark.parametrize("ids", ["cast(5 as bigint)", "cast(null as bigint)", "id % 3"])
+def test_packing_deals_out_rows_whose_ids_repeat(spark, ids):
+    docs = spark.range(400).selectExpr(f"{ids} doc_id", "'same text' text").repartition(4)
+    rows = packing.pack(docs, packing.Config(cell=40)).collect()
+    assert len(rows) == 400 and max(Counter(r.sequence_id >> 32 for r in rows).values()) < 120
+    used = defaultdict(list)
+    for r in rows:
+        used[r.sequence_id].append((r.offset, r.length))
+    for parts in used.values():
+        parts.sort()
+        assert all(o == sum(n for _, n in parts[:k]) for k, (o, _) in enumerate(parts)) and sum(n for _, n in parts) <= 2048
+
+
+@pytest.mark.parametrize("ids", ["cast(5 as bigint)", "cast(null as bigint)", "id"])
+def test_shards_number_rows_whose_ids_repeat(spark, ids):
+    docs = spark.range(3000).selectExpr(f"{ids} doc_id", "if(id % 2 = 0, '', concat('text ', id % 7)) text").repartition(4)
+    got = shard.shard(docs, shard.Config(unit=16))
+    slots = defaultdict(list)
+    for r in got.select("shard", "slot").collect():
+        slots[r.shard].append(r.slot)
+    assert sum(map(len, slots.values())) == 3000 and all(sorted(s) == list(range(len(s))) for s in slots.values())
+
+
+def test_samples_are_bounded_where_ids_repeat(spark):
+    # 0: an id in neither held-out fold
+    docs = spark.range(2000).selectExpr("cast(0 as bigint) doc_id", "concat('some words here ', id % 900) text", "'en' lang")
+    assert len(langid.sample(docs, langid.Config(sample=50))) < 200
+    copies = spark.range(5000).selectExpr("cast(0 as bigint) doc_id", "'one text' text", "'en' lang")
+    assert len(langid.sample(copies, langid.Config(sample=10_000))) == 1
+    marks = spark.createDataFrame([(0, 1), (8, 0)], "doc_id long, quality int")
+    assert quality.fit(docs.select("doc_id", "text"), marks) is None  # one row to learn from, one class
