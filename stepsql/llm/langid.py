@@ -116,12 +116,12 @@ def train(rows: list[tuple[np.ndarray, np.ndarray, str]], config: Config = Confi
 
 
 def sample(docs: DataFrame, config: Config) -> list[tuple[np.ndarray, np.ndarray, str]]:
-    """Hashed counts of about config.sample labelled rows, drawn by a hash of doc_id."""
+    """Hashed counts of about config.sample labelled rows, drawn by a hash of doc_id and text; rows that are alike count once."""
     labelled = pick(docs, "doc_id", "text", "lang").where("lang is not null and text is not null")
     labelled = labelled.where(crc_mod("doc_id", 4) != 2)
     n = labelled.select("doc_id").count()
     space = 1 << 30
-    near = labelled.where(F.pmod(F.xxhash64(F.lit(config.seed), F.coalesce("doc_id", F.lit(-1))), F.lit(space)) < int(space * min(1.0, config.sample / max(n, 1))))
+    near = labelled.where(F.pmod(F.xxhash64(F.lit(config.seed), "doc_id", "text"), F.lit(space)) < int(space * min(1.0, config.sample / max(n, 1))))
 
     def run(b: pa.RecordBatch) -> dict:
         found = [subwords(t) for t in b.column(1).to_pylist()]
@@ -133,7 +133,7 @@ def sample(docs: DataFrame, config: Config) -> list[tuple[np.ndarray, np.ndarray
             "counts": [f[a].astype("<u4").tobytes() if f is not None else b"" for f, a in zip(found, at)],
         }
 
-    rows = map_batches(near, run, "doc_id bigint, lang string, hashes binary, counts binary").where("length(hashes) > 0").collect()
+    rows = map_batches(near, run, "doc_id bigint, lang string, hashes binary, counts binary").where("length(hashes) > 0").distinct().collect()
     rows.sort(key=lambda r: (r.doc_id is None, r.doc_id, r.lang, r.hashes))
     return [(np.frombuffer(r.hashes, "<u2"), np.frombuffer(r.counts, "<u4").astype(np.float64), r.lang) for r in rows]
 

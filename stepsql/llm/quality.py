@@ -177,9 +177,11 @@ def fit(docs: DataFrame, labels: DataFrame, config: Config = Config()) -> Model
     texts = pick(docs, "doc_id", "text").select(wide, "text").where(F.pmod(F.xxhash64(F.lit(config.seed), "doc_id"), F.lit(space)) < int(space * min(1.0, config.sample / max(n, 1))))
 
     def run(b: pa.RecordBatch) -> dict:
-        return {"doc_id": b.column(0), "x": [measure(t or "") for t in b.column(1).to_pylist()]}
+        return {"doc_id": b.column(0), "x": [measure(t or "") for t in b.column(1).to_pylist()], "place": b.column(2)}
 
-    rows = map_batches(texts, run, "doc_id bigint, x array<double>").join(near, "doc_id").select("doc_id", "x", "quality").collect()
+    # rows that share a doc_id teach once, so there are no more rows than labels drawn
+    once = map_batches(texts.withColumn("place", F.xxhash64("text")), run, "doc_id bigint, x array<double>, place bigint").groupBy("doc_id").agg(F.min(F.struct("place", "x")).alias("own"))
+    rows = once.join(near, "doc_id").select("doc_id", F.col("own.x").alias("x"), "quality").collect()
     rows.sort(key=lambda r: (r.doc_id, r.x))
     y = np.array([float(r.quality > 0) for r in rows])
     if len(y) == 0 or y.min() == y.max():
