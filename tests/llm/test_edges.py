@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import math
+import time
 from collections import Counter, defaultdict
 
 import pytest
 
-from stepsql.llm import langid, license, packing, quality, shard
+from stepsql.llm import html, langid, license, packing, quality, shard
 
 DOCS = "doc_id long, text string"
 
@@ -112,3 +114,92 @@ def test_samples_are_bounded_where_ids_repeat(spark):
     assert len(langid.sample(copies, langid.Config(sample=10_000))) == 1
     marks = spark.createDataFrame([(0, 1), (8, 0)], "doc_id long, quality int")
     assert quality.fit(docs.select("doc_id", "text"), marks) is None  # one row to learn from, one class
+
+
+PAGES = "page_id long, url string, html string"
+
+
+@pytest.mark.parametrize(
+    "page",
+    ["<a " * 350_000, "<div>" * 100_000 + "x" + "</i>" * 100_000 + "</div>" * 100_000, "<p><tr>" + "<b>" * 50_000 + "<hr>" * 50_000, "<!" * 300_000, "<a '" * 250_000, '<a "' * 250_001, "<script>" * 100_000, "<ul>" + "<li>a" * 100_000],
+    ids=["tags without end", "nested", "rules in deep text", "declarations", "odd quotes", "even quotes", "raw", "list"],
+)
+def test_long_pages_take_linear_time(page):
+    began = time.perf_counter()
+    html.main_text(page, frozenset({3}))
+    html.style_nodes(page)
+    assert time.perf_counter() - began < 20
+
+
+def test_deep_pages_are_read_through_spark(spark):
+    deep = ["<div>" * 20_000 + f"deep text {i}" + "</div>" * 20_000 for i in range(4)]
+    rows = [(i, "http://h.example/", f"<body><div class=strap>all alike</div>{deep[i]}{i}</body>") for i in range(4)]
+    assert {r.text for r in html.extract(spark.createDataFrame(rows, PAGES)).collect()} == {f"deep text {i}\n{i}" for i in range(4)}
+
+
+def test_the_tree_overrules_names(spark):
+    """Large branches stay though their class names a role; small ones of the same name go."""
+    story = " ".join(f"word{k}" for k in range(60))
+    rows = [
+        (i, "http://h.example/", f'<body><nav><a href=x>menu {i}</a></nav><div class="top-story"><p>{story} {i}</div><div class="side-content"><p>{story} b{i}</div><div class="alert-text"><p>{story} c{i}</div>'
+         f'<div class="ad">Buy number {i}</div><footer>Foot {i}</footer></body>')
+        for i in range(12)
+    ]
+    got = {r.page_id: r.text for r in html.extract(spark.createDataFrame(rows, PAGES)).collect()}
+    assert got == {i: f"{story} {i}\n{story} b{i}\n{story} c{i}" for i in range(12)}
+
+
+def test_straps_inside_articles_go(spark):
+    rows = [(i, f"http://{h}.example/", f"<body><article><div class=strap>Read more from us</div><h1>Title {i}{h}</h1><p>Body {i} of {h} in words</p></article></body>") for h in "ab" for i in range(6)]
+    got = {r.text for r in html.extract(spark.createDataFrame(rows, PAGES)).collect()}
+    assert got == {f"Title {i}{h}\nBody {i} of {h} in words" for h in "ab" for i in range(6)}
+
+
+def test_comments_go_however_long(spark):
+    rows = [(i, "http://h.example/", f"<body><article><p>Short text {i}</p></article><div id=comments>{' '.join(f'remark{k}' for k in range(300))} {i}</div></body>") for i in range(5)]
+    assert {r.text for r in html.extract(spark.createDataFrame(rows, PAGES)).collect()} == {f"Short text {i}" for i in range(5)}
+
+
+def _plain_importance(pages: list[tuple[str, str]]) -> dict:
+    """Entropies and shares of the style tree, node by node."""
+    config = html.Config()
+    seen = defaultdict(list)
+    for host, page in pages:
+        for path, role, _, shape, mark, words, around in html.style_nodes(page):
+            seen[host, path].append((role, shape, mark, words, around))
+
+    def entropy(values):
+        values = [v for v in values if v is not None]
+        m = len(values)
+        return None if not m else 1.0 if m == 1 else -sum(c / m * math.log(c / m) for c in Counter(values).values()) / math.log(m)
+
+    every = defaultdict(list)
+    for (_, path), rows in seen.items():
+        if max(r[0] for r in rows):
+            every[path] += rows
+    out = {}
+    for (host, path), rows in seen.items():
+        role, look, content = max(r[0] for r in rows), entropy([r[1] for r in rows]), entropy([r[2] for r in rows])
+        if not role:
+            out[host, path] = max(1.0 if content is None else content, look)
+            continue
+        mean = lambda k: sum(r[k] for r in every[path]) / len(every[path])  # noqa: B023, E731
+        around = sum(r[4] for r in rows) + config.pages * mean(4)
+        share = (sum(r[3] for r in rows) + config.pages * mean(3)) / around if around else 0.0
+        known = 1.0 if len(rows) < config.support or content is None else content
+        out[host, path] = known * (config.prior + (config.comment_weight if role == 2 else config.weight) * share)
+    return out
+
+
+def test_importance_equals_a_plain_tree(spark, data):
+    pages = spark.read.parquet(f"{data}/pages.parquet").selectExpr("parse_url(url, 'HOST') host", "html")
+    want = _plain_importance([tuple(r) for r in pages.collect()])
+    got = {(r.host, r.path): r.importance for r in html.importance(pages).collect()}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-9 for k in want)
+
+
+def test_the_tree_decides_on_the_given_pages(spark, data):
+    pages = spark.read.parquet(f"{data}/pages.parquet")
+    cut = {r.page_id: r.text for r in html.extract(pages).collect()}
+    uncut = {r.page_id: r.text for r in html.extract(pages, html.Config(least=0.0)).collect()}
+    assert all(len(cut[k]) < len(uncut[k]) for k in cut)
