@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
-
 import pandas as pd
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from stepsql.sources.shared import new_folder
 from stepsql.sources.tables import register, table
 
 from .carrier_sql import EVENTS, ORDERS, rewards
@@ -44,19 +43,11 @@ def _roundtrip(kind: str) -> None:
     @query("SELECT n_nationkey, n_name, n_regionkey FROM nation", f"op_{kind}_roundtrip")
     def run(spark: SparkSession, d: str) -> DataFrame:
         df = t(spark, d, "nation", "n_nationkey", "n_name", "n_regionkey")
-        path = f"{_folder(spark)}/nation.{kind}"
+        path = f"{new_folder(spark)}/nation.{kind}"
         df.write.mode("overwrite").format(kind).save(path)
         return spark.read.schema(df.schema).format(kind).load(path)
 
 
-def _folder(spark: SparkSession) -> str:
-    """A new folder in the shared checkpoint folder, or a temporary one in local runs that have none."""
-    import uuid
-
-    shared = spark.conf.get("spark.checkpoint.dir", None)
-    return f"{shared.rstrip('/')}/io/{uuid.uuid4().hex}" if shared else tempfile.mkdtemp(prefix="stepsql-io-")
-
-
 for _kind in ("csv", "json", "orc", "parquet"):
     _roundtrip(_kind)
 
@@ -64,7 +55,7 @@ for _kind in ("csv", "json", "orc", "parquet"):
 @query("SELECT o_orderkey, o_custkey, o_totalprice FROM orders WHERE o_orderstatus = 'F'")
 def op_partitioned_write(spark: SparkSession, d: str) -> DataFrame:
     """Orders written by status; one partition is read again."""
-    path = f"{_folder(spark)}/orders"
+    path = f"{new_folder(spark)}/orders"
     t(spark, d, "orders", "o_orderkey", "o_custkey", "o_totalprice", "o_orderstatus").write.partitionBy("o_orderstatus").parquet(path)
     return spark.read.parquet(path).where("o_orderstatus = 'F'").select("o_orderkey", "o_custkey", "o_totalprice")
 

@@ -17,8 +17,12 @@ def register(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = NAMES) -
         table(spark, sf_dir, name).createOrReplaceTempView(name)
 
 
-def spread(df: DataFrame, most: int = 24 << 20) -> DataFrame:
-    """A table of at most so many bytes, by the size that its files have, dealt out to all cores: small files often hold one row
-    group, which one task would read and work on alone. Larger tables stay as their files split."""
+def spread(df: DataFrame) -> DataFrame:
+    """A table of fewer files than there are cores, and of less than a split a core, dealt out to all cores: a small file often
+    holds one row group, which one task would read and work on alone. Other tables stay as their files split."""
+    spark = df.sparkSession
+    cores = spark.sparkContext.defaultParallelism
     size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    return df.repartition(df.sparkSession.sparkContext.defaultParallelism) if size <= most else df
+    split = int(spark._jsparkSession.sessionState().conf().filesMaxPartitionBytes())
+    # files are only listed for tables that small
+    return df.repartition(cores) if size <= cores * split and len(df.inputFiles()) < cores else df
