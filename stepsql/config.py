@@ -43,6 +43,8 @@ class TrainConfig:
     seed: int = 17
     use_step: bool = True
     ratio_base: str = "old"
+    inner: int = 2  # gradient steps on one sampled group
+    sharing: float = 0.5  # how much of a step goes to all options of the same kind
 
 
 @dataclass(frozen=True)
@@ -51,6 +53,7 @@ class SearchConfig:
 
     samples_per_question: int = 3
     rollouts: int = 8
+    label_rollouts: int = 32  # completions a question that success labels are formed from
     candidates: int = 8
     budgets: tuple[int, ...] = (1, 2, 4, 8, 16, 32)
     redundancy_sample: int = 500

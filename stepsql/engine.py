@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from stepsql.config import RewardConfig, TrainConfig
-from stepsql.operators import execute, labels, measures, reward, select, train
+from stepsql.operators import bankpolicy, execute, labels, measures, reward, select
 from stepsql.sources import bank
 
 
@@ -32,8 +32,9 @@ class Engine:
     def labels(self, rollouts: DataFrame) -> DataFrame:
         return labels.prefix_tree(rollouts)
 
-    def train(self, policy: DataFrame, config: TrainConfig = TrainConfig()) -> tuple[DataFrame, DataFrame]:
-        return train.train(policy, config)
+    def train(self, start: DataFrame, scores: DataFrame, runs: DataFrame, config: TrainConfig = TrainConfig()) -> tuple[DataFrame, DataFrame]:
+        """(policies, curve) of the step-rewarded and the outcome-only update from one cold-started policy."""
+        return bankpolicy.train(start, (f"step reward|{config.seed}", f"outcome only|{config.seed}"), scores, runs, config)
 
     def evaluate(self, outcomes: DataFrame, *by: str) -> DataFrame:
         return measures.accuracy(outcomes, *by)

@@ -16,27 +16,49 @@ def _plain(df: DataFrame, digits: int) -> list[Column]:
     return out
 
 
-def result_key(df: DataFrame, digits: int = 6) -> DataFrame:
-    """One row, result_key: row count, and sums of two row hashes, of all columns in order, names aside. Equal multisets of
-    rows have equal keys; one aggregate, no row is shuffled."""
+def _key_parts(df: DataFrame, digits: int) -> tuple[DataFrame, list[Column], Column]:
+    """Rows with plain column names, aggregates over them, and the key formed of these."""
     rows = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
     row = F.array_join(F.array(*_plain(df, digits)), "\x1f")
     wide = lambda c: c.cast("decimal(38,0)")
-    sums = rows.agg(F.count("*").alias("n"), F.coalesce(F.sum(wide(F.xxhash64(row))), F.lit(0)).alias("a"), F.coalesce(F.sum(wide(F.hash(row, F.lit(7)))), F.lit(0)).alias("b"))
-    return sums.select(F.concat_ws(":", F.lit(str(len(df.columns))), *[F.col(c).cast("string") for c in ("n", "a", "b")]).alias("result_key"))
+    sums = [F.count("*").alias("n"), F.coalesce(F.sum(wide(F.xxhash64(row))), F.lit(0)).alias("a"), F.coalesce(F.sum(wide(F.hash(row, F.lit(7)))), F.lit(0)).alias("b")]
+    return rows, sums, F.concat_ws(":", F.lit(str(len(df.columns))), *[F.col(c).cast("string") for c in ("n", "a", "b")])
+
+
+def result_key(df: DataFrame, digits: int = 6) -> DataFrame:
+    """One row, result_key: row count, and sums of two row hashes, of all columns in order, names aside. Equal multisets of
+    rows have equal keys; one aggregate, no row is shuffled."""
+    rows, sums, key = _key_parts(df, digits)
+    return rows.agg(*sums).select(key.alias("result_key"))
 
 
-def digest(df: DataFrame, key: tuple[str, ...] = ()) -> DataFrame:
-    """One row: n_rows, n_cols, nulls (share of null cells), and keys, repeats (distinct keys and n_rows / keys) if a key is
-    named. One scan."""
+def digest(df: DataFrame, key: tuple[str, ...] = (), sample: int = 0, with_result: bool = False) -> DataFrame:
+    """One row: n_rows, n_cols, nulls (share of null cells); keys, repeats and fanout (distinct keys, n_rows / keys, and the most rows of
+    one key less one) if a key is named; sample (that many rows as text, the least by hash) and result_key if asked for. One scan, but for a key's
+    largest count."""
+    rows, sums, key_text = _key_parts(df, 6)
+    places = [f"c{df.columns.index(k)}" for k in key]
     cells = F.lit(0)
-    for c in df.columns:
-        cells = cells + F.col(f"`{c}`").isNull().cast("int")
-    parts = [F.count("*").alias("n_rows"), F.lit(len(df.columns)).alias("n_cols"), (F.sum(cells) / (F.count("*") * len(df.columns))).alias("nulls")]
-    if key:
-        distinct = F.count_distinct(*[F.col(k) for k in key])
-        parts += [distinct.alias("keys"), (F.count("*") / distinct).alias("repeats")]
-    return df.agg(*parts)
+    for c in rows.columns:
+        cells = cells + F.col(c).isNull().cast("int")
+    parts = [*sums, F.sum(cells).alias("empty")]
+    if places:
+        # rows of a key first, so that a key of any size is a number
+        counted = rows.groupBy(*places).agg(F.count("*").alias("k"))
+        keyed = counted.agg(F.count("*").alias("keys"), F.max("k").alias("most"))
+    out = rows.agg(*parts)
+    fields = [F.col("n").alias("n_rows"), F.lit(len(df.columns)).alias("n_cols"), F.try_divide(F.col("empty"), F.col("n") * len(df.columns)).alias("nulls")]
+    if places:
+        out = out.crossJoin(keyed)  # one row each
+        fields += ["keys", F.try_divide("n", "keys").alias("repeats"), F.coalesce(F.col("most") - 1, F.lit(0)).alias("fanout")]
+    if sample:
+        text = F.to_json(F.struct(*[F.col(c).cast("string").alias(c) for c in rows.columns]))
+        picked = rows.select(F.xxhash64(text).alias("h"), text.alias("t")).distinct().orderBy("h", "t").limit(sample).agg(F.array_sort(F.collect_list(F.struct("h", "t"))).alias("s"))
+        out = out.crossJoin(picked)  # one row each
+        fields.append(F.transform("s", lambda x: x["t"]).alias("sample"))
+    if with_result:
+        fields.append(key_text.alias("result_key"))
+    return out.select(*fields)
 
 
 def fanout(before: DataFrame, after: DataFrame, keys: list[str]) -> DataFrame:

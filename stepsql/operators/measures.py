@@ -38,10 +38,10 @@ def stability(curve: DataFrame, warm_up: int, tolerance: float) -> DataFrame:
     return ends.join(late, "method").join(far, "method", "left").select("method", "last", "mean", "std", "peak", (F.coalesce("off", F.lit(0)) + 1).alias("converged"))
 
 
-def taxonomy_table(errors: DataFrame, questions: int) -> DataFrame:
-    """grp, error_type, errors, share in percent of the questions; subtotals a group and the total are rows with '(all)'."""
-    rolled = errors.rollup("grp", "error_type").agg(F.count("*").alias("errors"))
-    return rolled.select(F.coalesce("grp", F.lit("(all)")).alias("grp"), F.coalesce("error_type", F.lit("(all)")).alias("error_type"), "errors", (100 * F.col("errors") / questions).alias("share"))
+def taxonomy_table(errors: DataFrame, questions: DataFrame) -> DataFrame:
+    """grp, error_type, errors, share in percent of the rows of questions; subtotals a group and the total are rows with '(all)'."""
+    rolled = errors.rollup("grp", "error_type").agg(F.count("*").alias("errors")).crossJoin(F.broadcast(questions.agg(F.count("*").alias("asked"))))  # one row
+    return rolled.select(F.coalesce("grp", F.lit("(all)")).alias("grp"), F.coalesce("error_type", F.lit("(all)")).alias("error_type"), "errors", (100 * F.col("errors") / F.col("asked")).alias("share"))
 
 
 def error_delta(errors: DataFrame, before: str, after: str) -> DataFrame:

@@ -50,7 +50,7 @@ def _parts(text: str) -> dict[str, list[str]]:
     t = text.lower()
     return {
         "tables": sorted(re.findall(r"\b(?:from|join)\s+([a-z_]\w*)", t)), "on": sorted(re.findall(r"\bon\s+([^()]*?)(?=\bjoin\b|\bleft\b|\bwhere\b|\bgroup\b|\border\b|\)|$)", t)),
-        "joins": sorted(re.findall(r"\b(left|full|right|cross)\s+join\b", t)), "strings": sorted(re.findall(r"'[^']*'", t)), "aggs": sorted(re.findall(r"\b(sum|avg|count|min|max|median)\(", t)),
+        "joins": sorted(re.findall(r"\b(left|full|right|cross)\s+join\b", t)), "strings": sorted(re.findall(r"'[^']*'", text)), "aggs": sorted(re.findall(r"\b(sum|avg|count|min|max|median)\(", t)),
         "distinct": re.findall(r"count\(distinct", t), "over": sorted(re.findall(r"partition by [a-z_]+|rollup", t)), "order": re.findall(r"\bdesc\b|\basc\b|limit \d+", t),
         "where": sorted(re.findall(r"\bwhere\b", t)), "compare": re.findall(r"<>|<=|>=|<|>|=", t), "numbers": sorted(re.findall(r"\b\d+(?:\.\d+)?\b", t)), "columns": sorted(re.findall(r"\b[a-z]_[a-z]+\b", t)), "round": re.findall(r"round\([^,]*, \d", t),
     }

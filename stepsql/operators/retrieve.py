@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -24,3 +26,11 @@ def nearest_examples(asked: DataFrame, seeds: DataFrame, k: int = 5) -> DataFram
     pairs = own.join(known, "word").groupBy("qid", "seed").agg(F.round(F.sum(F.col("w") * F.col("v")), 9).alias("similarity"))
     place = Window.partitionBy("qid").orderBy(F.desc("similarity"), "seed")
     return pairs.withColumn("rank", F.row_number().over(place)).where(F.col("rank") <= k)
+
+
+def copy_chain(steps: list[tuple[str, str]], close: str, linked: list[str], tables: tuple[str, ...]) -> tuple[list[tuple[str, str]], str]:
+    """A seed's chain as a template: its tables, in the order of first use, are replaced by the tables that another question's words link to, best first."""
+    used = list(dict.fromkeys(t for t in re.findall(r"(?i)\b(?:from|join)\s+([a-z_]\w*)", " ".join([q for _, q in steps] + [close])) if t in tables))
+    swap = dict(zip(used, linked))
+    put = lambda text: re.sub(r"(?i)(\b(?:from|join)\s+)([a-z_]\w*)", lambda m: m[1] + swap.get(m[2], m[2]), text)
+    return [(n, put(q)) for n, q in steps], put(close)

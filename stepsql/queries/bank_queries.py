@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.errors import AnalysisException, ParseException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -69,28 +70,33 @@ def validate_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def decompose_bank(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The bank as step rows with their composed texts."""
-    from stepsql.operators.chains import chains_from_steps, compose_column
+    """Every gold query rewritten as a chain by rule: its steps, how many, and whether the chain's result is gold's."""
+    from stepsql.operators.chains import decompose
 
-    return compose_column(chains_from_steps(bank.bank_steps(spark)))
+    bank.prepare(spark, sf_dir)
 
+    def columns(text: str) -> list[str] | None:
+        try:
+            return spark.sql(text).columns
+        except (AnalysisException, ParseException):
+            return None
 
-@query()
-def candidate_outcomes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mutated candidates of the training questions, run and compared with gold: qid, cand, error_type, status, outcome."""
-    from stepsql.operators.mutate import evaluate
-
-    bank.prepare(spark, sf_dir)
-    return evaluate(spark, [q for q in bank.QUESTIONS if q.db == "geo"])
+    made = {q.qid: decompose(q.gold, columns) for q in bank.QUESTIONS}
+    done = {r.prefix_key: r.result_key for r in ex.run_chains(spark, [([], q.gold) for q in bank.QUESTIONS] + [made[q.qid] for q in bank.QUESTIONS], threads=8).collect()}
+    rows = []
+    for q in bank.QUESTIONS:
+        steps, close = made[q.qid]
+        rows.append((q.qid, len(steps), compose(steps, close), int(done[ex.prefix_keys(steps, close)[-1]] == done[ex.prefix_keys([], q.gold)[-1]])))
+    return spark.createDataFrame(rows, "qid bigint, n_steps int, query string, outcome int")
 
 
-@query()
-def error_confusion(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Injected against inferred error types over candidates that went wrong."""
-    from stepsql.operators.mutate import evaluate
+@query(compose(bank.QUESTIONS[0].named, bank.QUESTIONS[0].close))
+def composed_example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A chain gathered from step rows and composed by column, run."""
+    from stepsql.operators.chains import chains_from_steps, compose_column
 
     bank.prepare(spark, sf_dir)
-    return evaluate(spark, [q for q in bank.QUESTIONS if q.db == "catalog"][:4]).where("outcome = 0").groupBy("error_type", "inferred").agg(F.count("*").alias("n"))
+    return spark.sql(compose_column(chains_from_steps(bank.bank_steps(spark).where("qid = 1"))).first()["query"])
 
 
 def _values(questions: list[bank.Question]) -> str:

@@ -18,7 +18,7 @@ from stepsql.sources.carriers import LINE_ORDER, document_lines, event_tokens, p
 from stepsql.sources.tables import spread, table
 
 from .carrier_sql import EVENTS, LINES, ORDERS, TOKENS, rewards
-from .core import candidates, r6
+from .core import r6
 from .registry import query
 
 # --- policies ----------------------------------------------------------------------------------
@@ -242,15 +242,6 @@ def scorer_features(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r6(t.select("qid", "traj_id", "step_no", "n_tokens", F.coalesce(F.col("n_tokens") - F.lag("n_tokens").over(w), F.lit(0)).alias("growth"), F.avg("score").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("mean_score"), "outcome"))
 
 
-@query()
-def scorer_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A logistic score model fitted to success labels as two weighted rows each; scores of all steps."""
-    from stepsql.operators.scorer import fit_scorer, score
-
-    rows = scorer_features(spark, sf_dir).withColumn("sigma", F.col("outcome").cast("double"))
-    return score(fit_scorer(rows, ["n_tokens", "growth", "mean_score"]), rows).select("qid", "traj_id", "step_no", "score")
-
-
 @query(f"WITH {ORDERS}, s AS (SELECT greatest(1e-6, least(1 - 1e-6, score)) AS s, outcome AS y FROM trail) SELECT count(*) AS rows, round(sum(-(y * ln(s) + (1 - y) * ln(1 - s))), 3) + 0.0 AS loss, round(avg(-(y * ln(s) + (1 - y) * ln(1 - s))), 6) + 0.0 AS mean_loss FROM s")
 def prm_bce(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = ms.bce(trail_orders(spark, sf_dir), "outcome")
@@ -265,7 +256,7 @@ def score_calibration(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- digests, chains -----------------------------------------------------------------------------
 
 
-@query("SELECT count(*) AS n_rows, 11 AS n_cols, 0.0::DOUBLE AS nulls, count(DISTINCT (l_orderkey, l_linenumber)) AS keys, round(count(*) / count(DISTINCT (l_orderkey, l_linenumber)), 6) + 0.0 AS repeats FROM lineitem")
+@query("SELECT count(*) AS n_rows, 11 AS n_cols, 0.0::DOUBLE AS nulls, count(DISTINCT (l_orderkey, l_linenumber)) AS keys, round(count(*) / count(DISTINCT (l_orderkey, l_linenumber)), 6) + 0.0 AS repeats, (SELECT max(k) - 1 FROM (SELECT count(*) AS k FROM lineitem GROUP BY l_orderkey, l_linenumber)) AS fanout FROM lineitem")
 def digest_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r6(dg.digest(table(spark, sf_dir, "lineitem"), ("l_orderkey", "l_linenumber")))
 
@@ -325,14 +316,21 @@ def validate_bulk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ch.validate_bulk(text_steps(spark, sf_dir), ["lineitem"])
 
 
-@query(f"WITH {_TEXTS} SELECT qid, traj_id, no, name || CASE WHEN kind = 'step' AND k > 1 THEN '_' || k ELSE '' END AS name FROM (SELECT *, row_number() OVER (PARTITION BY qid, traj_id, name ORDER BY no) AS k FROM texts)")
+@query(f"""WITH {_TEXTS},
+k AS (SELECT *, row_number() OVER (PARTITION BY qid, traj_id, kind = 'step', name ORDER BY no) AS k FROM texts),
+names AS (SELECT qid, traj_id, list(name) AS taken FROM texts WHERE kind = 'step' GROUP BY ALL),
+own AS (SELECT qid, traj_id, no, name, CASE WHEN k = 1 THEN name ELSE name || '_' || list_filter(range(2, k + len(taken) + 1), lambda i: NOT list_contains(taken, name || '_' || i))[k - 1] END AS new FROM k JOIN names USING (qid, traj_id) WHERE kind = 'step'),
+refs AS (SELECT t.qid, t.traj_id, t.no, arg_max(o.new, o.no) AS new, any_value(o.name) AS old FROM texts t JOIN own o ON o.qid = t.qid AND o.traj_id = t.traj_id AND o.no < t.no AND o.name = regexp_extract(t.sql, 'FROM ([a-z0-9_]+)$', 1) GROUP BY ALL)
+SELECT t.qid, t.traj_id, t.no, CASE WHEN kind = 'step' THEN o.new ELSE t.name END AS name, CASE WHEN r.new <> r.old THEN regexp_replace(t.sql, 'FROM .*$', 'FROM ' || r.new || ' AS ' || r.old) ELSE t.sql END AS sql
+FROM texts t LEFT JOIN own o ON t.kind = 'step' AND o.qid = t.qid AND o.traj_id = t.traj_id AND o.no = t.no LEFT JOIN refs r ON r.qid = t.qid AND r.traj_id = t.traj_id AND r.no = t.no""")
 def resolve_names(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return ch.resolve_names(text_steps(spark, sf_dir)).select("qid", "traj_id", "no", "name")
+    """Repeated names renamed and later references led to the latest step of the name."""
+    return ch.resolve_names(text_steps(spark, sf_dir)).select("qid", "traj_id", "no", "name", "sql")
 
 
-@query(f"WITH {_TEXTS}, c AS (SELECT qid, traj_id, count(*) FILTER (kind = 'step') AS k, sum(len(string_split(rationale, ' '))) AS r, sum(len(string_split(sql, ' '))) AS s, count(*) AS n FROM texts GROUP BY ALL) SELECT count(*) AS chains, round(100 * count(*) / 20000, 6) + 0.0 AS acceptance, round(avg(k), 6) + 0.0 AS mean_steps, max(k) AS max_steps, round(sum(r) / sum(n), 6) + 0.0 AS rationale_words, round(sum(s) / sum(n), 6) + 0.0 AS step_words FROM c")
+@query(f"WITH {_TEXTS}, c AS (SELECT qid, traj_id, count(*) FILTER (kind = 'step') AS k, sum(len(string_split(rationale, ' '))) AS r, sum(len(string_split(sql, ' '))) AS s, count(*) AS n FROM texts GROUP BY ALL) SELECT count(*) AS chains, round(100 * count(*) / (SELECT count(*) FROM orders), 6) + 0.0 AS acceptance, round(avg(k), 6) + 0.0 AS mean_steps, max(k) AS max_steps, round(sum(r) / sum(n), 6) + 0.0 AS rationale_words, round(sum(s) / sum(n), 6) + 0.0 AS step_words FROM c")
 def corpus_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return r6(ch.corpus_stats(text_steps(spark, sf_dir), 20000))
+    return r6(ch.corpus_stats(text_steps(spark, sf_dir), table(spark, sf_dir, "orders")))
 
 
 _DIGESTS = f"""
@@ -432,5 +430,3 @@ def source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     both = c.select(F.explode(F.array(style, F.lit("mixed"))).alias("style"), "n", "h")
     return r6(both.groupBy("style").agg(F.count("*").alias("chains"), F.avg("n").alias("mean_steps"), F.avg("h").alias("mean_entropy")))
 
-
-__all__ = ["candidates"]

@@ -1,19 +1,16 @@
-"""Measures and experiment tables over derived logs, and the training workloads of the slot policy."""
+"""Measures over derived logs."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stepsql.config import SearchConfig, TrainConfig
 from stepsql.operators import measures as ms
-from stepsql.operators import select as sel
-from stepsql.operators import train as tr
 from stepsql.sources.carriers import trail_orders
 from stepsql.sources.tables import table
 
 from .carrier_sql import LINES, ORDERS
-from .core import BUDGETS, r6
+from .core import r6
 from .registry import query
 
 _TYPES = ", ".join(f"({i}, '{g}', '{e}')" for i, (g, e) in enumerate(ms.TAXONOMY))
@@ -27,9 +24,9 @@ def errors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.join(F.broadcast(kinds), "i").select("method", "grp", "error_type")  # the taxonomy: 16 rows
 
 
-@query(f"WITH {_ERRORS} SELECT coalesce(grp, '(all)') AS grp, coalesce(error_type, '(all)') AS error_type, count(*) AS errors, round(100 * count(*) / 60000, 6) + 0.0 AS share FROM errors GROUP BY ROLLUP (grp, error_type)")
+@query(f"WITH {_ERRORS} SELECT coalesce(grp, '(all)') AS grp, coalesce(error_type, '(all)') AS error_type, count(*) AS errors, round(100 * count(*) / (SELECT count(*) FROM lineitem), 6) + 0.0 AS share FROM errors GROUP BY ROLLUP (grp, error_type)")
 def error_taxonomy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return r6(ms.taxonomy_table(errors(spark, sf_dir), 60_000))
+    return r6(ms.taxonomy_table(errors(spark, sf_dir), table(spark, sf_dir, "lineitem")))
 
 
 @query(f"WITH {_ERRORS}, t AS (SELECT error_type, count(*) FILTER (method = 'm0') AS before, count(*) FILTER (method = 'm2') AS after FROM errors GROUP BY error_type) SELECT *, after - before AS delta, round(100 * (before - after) / nullif(before, 0), 6) + 0.0 AS reduction FROM t")
@@ -65,102 +62,6 @@ def ablation_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r6(g.cube("format", "training").agg(F.count("*").alias("n"), (100 * F.avg("outcome")).alias("accuracy")))
 
 
-# --- workloads of the slot policy (no SQL: they iterate) -------------------------------------------------
-
-
-@query()
-def rl_training(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Dev accuracy by round with step rewards and with outcomes only."""
-    curves = [tr.train(tr.slot_world(spark), TrainConfig(rounds=4, use_step=u))[1] for u in (True, False)]
-    return curves[0].union(curves[1])
-
-
-@query()
-def rl_selection(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy of each selection rule and budget over sampled chains of a briefly trained policy."""
-    policy, _ = tr.train(tr.slot_world(spark), TrainConfig(rounds=3))
-    c = tr.select_at(policy, max(BUDGETS))
-    parts = []
-    for n in BUDGETS:
-        vote = sel.majority_vote(c, n).join(c.select("qid", "cand", "outcome"), ["qid", "cand"])
-        for name, got in (("step reward", sel.best_of_n(c, n)), ("outcome model", sel.best_of_n(c, n, "orm")), ("self-consistency", vote), ("pass@n", sel.pass_at_n(c, (n,)).withColumnRenamed("passed", "outcome"))):
-            parts.append(ms.accuracy(got).select(F.lit(name).alias("method"), F.lit(n).alias("n"), "accuracy"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
-    return out
-
-
-@query()
-def mc_search(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Success labels from a search by upper confidence bounds."""
-    return tr.search_tree(tr.slot_world(spark, 6, 2, 3), 4)
-
-
-@query()
-def beam_search(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return tr.beam(tr.slot_world(spark, 6, 3, 3), 2)
-
-
-@query()
-def latency_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds of generating, executing and scoring n chains."""
-    import time
-
-    from stepsql.config import RewardConfig
-    from stepsql.operators.reward import step_reward
-    from stepsql.sources.carriers import trail_orders
-
-    rows = []
-    for n in (1, 8):
-        for stage, job in (
-            ("generate", lambda: tr.sample_group(tr.slot_world(spark), n, 1)),
-            ("execute", lambda: table(spark, sf_dir, "lineitem").groupBy("l_suppkey").count()),
-            ("score", lambda: step_reward(trail_orders(spark, sf_dir).where(F.col("qid") % 32 < n), RewardConfig())),
-        ):
-            began = time.perf_counter()
-            job().write.format("noop").mode("overwrite").save()
-            rows.append((n, stage, time.perf_counter() - began))
-    return ms.latency_breakdown(spark.createDataFrame(rows, "n int, stage string, seconds double"))
-
-
-@query()
-def bank_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The answer formats over the geography questions: chains, direct queries, and flattened chains, each against gold."""
-    from stepsql.operators.chains import compose, flatten
-    from stepsql.operators.execute import run_text
-    from stepsql.sources import bank
-
-    bank.prepare(spark, sf_dir)
-    rows = []
-    for q in [q for q in bank.QUESTIONS if q.db == "geo"]:
-        want = run_text(spark, q.gold)["result_key"]
-        for name, text in (("chain", compose(q.named, q.close)), ("direct", q.gold), ("flat", flatten(q.named, q.close))):
-            got = run_text(spark, text)
-            rows.append((q.qid, name, int(got["result_key"] == want), got["seconds"]))
-    return spark.createDataFrame(rows, "qid bigint, variant string, outcome int, seconds double")
-
-
-@query()
-def chain_vs_flat_runtime(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Median seconds of chains and their flat forms over cold repeats, and the overhead in percent."""
-    from stepsql.operators.chains import compose, flatten
-    from stepsql.operators.execute import run_text
-    from stepsql.sources import bank
-
-    bank.prepare(spark, sf_dir)
-    rows = []
-    for q in (bank.QUESTIONS[0], bank.QUESTIONS[7]):
-        for k in range(SearchConfig().runtime_repeats):
-            for name, text in (("chain", compose(q.named, q.close)), ("flat", flatten(q.named, q.close))):
-                spark.catalog.clearCache()
-                rows.append((q.qid, name, k, run_text(spark, text)["seconds"]))
-    t = spark.createDataFrame(rows, "qid bigint, form string, k int, seconds double").groupBy("qid").agg(
-        F.percentile(F.when(F.col("form") == "chain", F.col("seconds")), 0.5).alias("chain"), F.percentile(F.when(F.col("form") == "flat", F.col("seconds")), 0.5).alias("flat")
-    )
-    return t.withColumn("overhead", 100 * (F.col("chain") / F.col("flat") - 1))
-
-
 @query()
 def cost_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds of the jobs that run once before any question is answered: prefix labels and the fit of the score model."""
@@ -183,7 +84,7 @@ def schema_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
     from stepsql.sources import bank
     from stepsql.sources.tables import NAMES
 
-    names = [(c,) for n in NAMES[:8] for c in [n, *table(spark, sf_dir, n).columns]]
+    names = [(c,) for n in NAMES for c in [n, *table(spark, sf_dir, n).columns]]
     rows = [(q.qid, style, q.question if style == "plain" else bank.wording(q.question, style, q.qid)) for q in bank.QUESTIONS for style in ("plain", "synonym", "realistic", "knowledge")]
     asked = spark.createDataFrame(rows, "id bigint, style string, question string").withColumn("qid", F.concat_ws("-", "id", "style"))
     links = link_score(asked, spark.createDataFrame(names, "name string"))
@@ -211,13 +112,3 @@ def clean_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     good = document_lines(spark, sf_dir).where(~F.exists("steps", lambda s: s == ""))
     return prefix_tree(good).groupBy("qid", "depth").agg(F.count("*").alias("nodes"), F.sum("visits").alias("visits"))
-
-
-@query("SELECT 36 AS questions")
-def bank_size(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from stepsql.sources.bank import QUESTIONS
-
-    return spark.range(1).select(F.lit(len(QUESTIONS)).alias("questions"))
-
-
-__all__ = ["SearchConfig"]

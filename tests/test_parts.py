@@ -152,15 +152,6 @@ def test_stream_reward_equals_batch(spark):
     assert a == pytest.approx(b, abs=1e-9)
 
 
-def test_training_improves(spark):
-    from stepsql.config import TrainConfig
-    from stepsql.operators import train as tr
-
-    world = tr.slot_world(spark, 12, 3, 4)
-    policy, curve = tr.train(world, TrainConfig(rounds=4, rate=2.0))
-    assert curve.orderBy(F.desc("round")).first().value > tr.dev_accuracy(world)
-
-
 def test_entry_runs(spark):
     import __spark_entry__ as e
 
