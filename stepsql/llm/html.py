@@ -345,10 +345,12 @@ def importance(pages: DataFrame, config: Config = Config()) -> DataFrame:
     )
     entropy = F.when(F.col("m") > 1, F.greatest(F.lit(0.0), 1 - F.col("s") / (F.col("m") * F.log("m")))).otherwise(F.lit(1.0))
     style = lambda c: F.max(F.when(F.col("kind") == 0, c))
+    # three uses; pages are read once for all of them
     nodes = parts.groupBy("host", "path").agg(
         F.max("role").alias("role"), F.max("judged").alias("judged"), F.max("m").alias("pages"), style(entropy).alias("presentation"),
         F.max(F.when(F.col("kind") == 1, entropy)).alias("content"), style(F.col("words")).alias("words"), style(F.col("around")).alias("around"),
     )
+    nodes = written(nodes)
     # means of a path over all hosts, for those that name a role; a path that many hosts have is dealt out by host
     salts, salt = 32, F.pmod(F.xxhash64("host"), F.lit(32))
     named = nodes.where("role > 0")
