@@ -204,7 +204,8 @@ def dedup(docs: DataFrame) -> DataFrame:
     groups = routed.groupBy("print", "folded").agg(F.count("*").alias("size"), F.max("text_sha256").alias("text_sha256"))
     best = F.max(F.struct("doc_id", (-F.col("row")).alias("less")))
     stays = prints.join(repeated.select("print"), "print", "left_semi").groupBy("text_sha256").agg(best.alias("best"))
-    verified = groups.select("text_sha256", "size").join(stays, "text_sha256")
+    # a table of its own, so that the join below can split a group of any size
+    verified = written(groups.select("text_sha256", "size").join(stays, "text_sha256"))
     out = prints.join(verified, "text_sha256", "left")
     return out.select(
         "doc_id",
