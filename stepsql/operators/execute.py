@@ -66,26 +66,54 @@ def run_text(spark: SparkSession, text: str) -> dict:
         return {"status": kind, "condition": condition(e), "n_rows": None, "n_cols": None, "nulls": None, "result_key": None, "seconds": time.perf_counter() - began}
 
 
-def run_chains(spark: SparkSession, chains: list[tuple[list[tuple[str, str]], str]], prune_failed: bool = True, threads: int = 4) -> DataFrame:
+def _keep(spark: SparkSession, text: str, key: str) -> str | None:
+    """The result of a prefix as a table and a view of this name; None where it cannot be written (columns of one name, or of no storable type)."""
+    name = f"kept_{key[:24]}"
+    try:
+        written(spark.sql(text)).createOrReplaceTempView(name)
+    except PySparkException:
+        return None
+    return name
+
+
+def run_chains(spark: SparkSession, chains: list[tuple[list[tuple[str, str]], str]], prune_failed: bool = True, threads: int = 4, keep: bool = False) -> DataFrame:
     """DIGEST rows of every distinct prefix of the chains (steps, close), closing queries included. Prefixes go level by level; the
-    descendants of one that failed are not run (status `pruned`). Jobs of a level run side by side."""
-    levels: dict[int, dict[str, tuple[str, str | None]]] = {}
+    descendants of one that failed are not run (status `pruned`). Jobs of a level run side by side.
+
+    With keep, the result of every step that others follow is written once and read by all of them, so a chain of k steps runs k queries of one
+    step each. Without it a prefix is composed from its texts, which leaves the optimizer the whole query; that is cheaper where steps are
+    large and later ones narrow them."""
+    levels: dict[int, dict[str, tuple[list[tuple[str, str]], list[str], str | None]]] = {}
     for steps, close in chains:
         keys = prefix_keys(steps, close)
         for k, key in enumerate(keys, 1):
-            text = compose(steps, close) if k > len(steps) else compose(steps, upto=k)
-            levels.setdefault(k, {})[key] = (text, keys[k - 2] if k > 1 else None)
+            levels.setdefault(k, {})[key] = (steps[:k], keys[:k], close if k > len(steps) else None)
     done: dict[str, dict] = {}
+    views: dict[str, str] = {}
+
+    def run(key: str, steps: list[tuple[str, str]], keys: list[str], close: str | None) -> dict:
+        held = [(name, f"SELECT * FROM {views[k]}" if k in views else text) for k, (name, text) in zip(keys, steps)]
+        text = compose(held, close) if close is not None else compose(held, upto=len(held))
+        began = time.perf_counter()
+        view = _keep(spark, text, key) if keep and close is None else None
+        if view is None:
+            return run_text(spark, text)
+        views[key] = view
+        return run_text(spark, f"SELECT * FROM {view}") | {"seconds": time.perf_counter() - began}
+
     with ThreadPoolExecutor(threads) as pool:
         for k in sorted(levels):
             waiting = {}
-            for key, (text, parent) in levels[k].items():
+            for key, (steps, keys, close) in levels[k].items():
+                parent = keys[-2] if k > 1 else None
                 if prune_failed and parent and done[parent]["status"] != "ok":
                     done[key] = {"status": "pruned", "condition": done[parent]["condition"], "n_rows": None, "n_cols": None, "nulls": None, "result_key": None, "seconds": 0.0, "depth": k}
                 else:
-                    waiting[key] = pool.submit(run_text, spark, text)
+                    waiting[key] = pool.submit(run, key, steps, keys, close)
             for key, job in waiting.items():
                 done[key] = job.result() | {"depth": k}
+    for view in views.values():
+        spark.catalog.dropTempView(view)
     rows = [(key, d["depth"], d["status"], d["condition"], d["n_rows"], d["n_cols"], d["nulls"], d["result_key"], d["seconds"]) for key, d in done.items()]
     return spark.createDataFrame(rows, DIGEST)
 

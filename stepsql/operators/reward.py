@@ -47,7 +47,12 @@ def step_reward(steps: DataFrame, config: RewardConfig = RewardConfig()) -> Data
     if not config.include_final:
         last = F.max("step_no").over(Window.partitionBy(*TRAJECTORY))
         steps = steps.withColumn("last", last).where("step_no < last").drop("last")
-    scored = certainty_weight(steps, config)
+    return accumulate(certainty_weight(steps, config), config)
+
+
+def accumulate(weighted: DataFrame, config: RewardConfig = RewardConfig()) -> DataFrame:
+    """The second half of step_reward, for steps that have their weight w already."""
+    scored = weighted
     s = F.col("score") if config.use_score else F.lit(1.0)
     run = _running()
     mass = F.sum("w").over(run)

@@ -48,10 +48,10 @@ def flat_vs_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("WITH a AS (SELECT o_custkey, o_totalprice FROM orders WHERE year(o_orderdate) = 1996), b AS (SELECT o_custkey FROM a GROUP BY o_custkey) SELECT 1 AS depth, count(*) AS n_rows, 2 AS n_cols FROM a UNION ALL SELECT 2, count(*), 2 FROM b UNION ALL SELECT 3, count(*), 2 FROM b UNION ALL SELECT 4, count(*), 2 FROM b UNION ALL SELECT 5, least(count(*), 5), 3 FROM b")
 def step_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Row counts of every prefix of the worked example."""
+    """Row counts of every prefix of the worked example, each step run once on the kept results of those before it."""
     bank.prepare(spark, sf_dir)
     q = bank.QUESTIONS[0]
-    return ex.run_chains(spark, [(q.named, q.close)]).select("depth", "n_rows", "n_cols")
+    return ex.run_chains(spark, [(q.named, q.close)], keep=True).select("depth", "n_rows", "n_cols")
 
 
 @query()

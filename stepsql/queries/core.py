@@ -88,6 +88,26 @@ def entropy_slope(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r6(per.groupBy("outcome").agg(F.count("slope").alias("chains"), F.avg("slope").alias("mean_slope")))
 
 
+#: One chain of four steps as (step, score, weight): the first step's score and weight and the last one's weight are reported values, the others lie between.
+WALK = ((1, 0.88, 0.78), (2, 0.84, 0.83), (3, 0.86, 0.88), (4, 0.9, 0.93))
+
+
+@query(f"""WITH w(step_no, score, w) AS (VALUES {", ".join(f"({n}, {s}::DOUBLE, {w}::DOUBLE)" for n, s, w in WALK)}),
+p AS (SELECT a.step_no, a.score, a.w, sum(b.score * b.w) / sum(b.w) AS prefix_score FROM w a JOIN w b ON b.step_no <= a.step_no GROUP BY ALL)
+SELECT a.step_no, a.score, a.w, round(a.prefix_score, 6) + 0.0 AS prefix_score, round(sum(b.prefix_score), 6) + 0.0 AS reward FROM p a JOIN p b ON b.step_no <= a.step_no GROUP BY ALL""")
+def reward_walkthrough(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Step rewards of one chain from given scores and weights, step by step."""
+    steps = spark.createDataFrame([(1, 1, *row) for row in WALK], "qid int, traj_id int, step_no int, score double, w double")
+    return r6(rw.accumulate(steps).select("step_no", "score", "w", "prefix_score", "reward"))
+
+
+@query(f"WITH {ORDERS}, n AS (SELECT *, row_number() OVER (PARTITION BY qid, traj_id ORDER BY step_no) AS k FROM trail) SELECT qid, traj_id, step_no, 1.0::DOUBLE AS prefix_score, k::DOUBLE AS reward FROM n")
+def reward_no_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ablation without scores: weights alone leave every prefix at one, so a reward counts steps."""
+    got = rw.step_reward(trail_orders(spark, sf_dir), RewardConfig(use_score=False))
+    return r6(got.select("qid", "traj_id", "step_no", "prefix_score", "reward"))
+
+
 # --- advantages -------------------------------------------------------------------------------
 
 _RAW = f"""{rewards(scope="corpus")},

@@ -187,6 +187,22 @@ def scorer_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scores(spark, sf_dir).select("qid", "chain", "split", "score", "orm", "sigma", "visits")
 
 
+@query()
+def bank_input(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What a score model would read of every chain of the menus: the question, and each fragment with what it gave when run, a checkpoint mark after each."""
+    result = F.when(F.col("status") == "ok", F.concat(F.col("n_rows").cast("string"), F.lit(" rows, "), F.col("n_cols").cast("string"), F.lit(" columns"))).otherwise(F.concat_ws(": ", "status", "condition"))
+    part = F.concat(F.col("name"), F.lit(": "), F.col("sql"), F.lit(" -> "), result, F.lit(" <step>"))
+    chains = runs(spark, sf_dir).groupBy("qid", "whole").agg(F.array_sort(F.collect_list(F.struct("slot", part.alias("t")))).alias("parts"), F.max("outcome").alias("outcome"))
+    return chains.join(questions(spark).select("qid", "question"), "qid").select("qid", F.col("whole").alias("chain"), F.concat_ws("\n", "question", F.concat_ws("\n", F.transform("parts", lambda x: x["t"]))).alias("input"), "outcome")
+
+
+@query()
+def bank_diversity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Distinct chains among the sampled completions of each question, and the share of duplicates."""
+    whole = rollouts(spark, sf_dir).groupBy("qid", "cand").agg(F.max_by("chain", "step_no").alias("chain"))
+    return whole.groupBy("qid").agg(F.count("*").alias("completions"), F.count_distinct("chain").alias("paths")).withColumn("duplicate_share", 1 - F.col("paths") / F.col("completions"))
+
+
 @query()
 def scorer_holdout(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cross-entropy and area under the curve of step scores against the outcomes of sampled chains, for training and held-out questions."""

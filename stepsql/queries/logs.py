@@ -124,13 +124,15 @@ clipped AS (SELECT *, least(rho * adv, least(greatest(rho, 0.8), 1.2) * adv) AS
 
 
 def surrogate_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Events with the standardised advantage of their step (the user's day)."""
+    """Events with the standardised advantage of their step (the user's day); the closing query has as many tokens as the last step."""
     from stepsql.config import RewardConfig
 
     steps = adv.standardise(adv.raw(rw.step_reward(trail_events(spark, sf_dir), RewardConfig(norm_scope="corpus"))))
+    own = Window.partitionBy("qid", "traj_id")
+    steps = steps.withColumn("final_tokens", F.max(F.struct("step_no", "n_tokens")).over(own).getField("n_tokens"))
     tokens = event_tokens(spark, sf_dir)
     day = F.dense_rank().over(Window.partitionBy("qid", "traj_id").orderBy("day"))
-    return tokens.withColumn("step_no", day).join(steps.select("qid", "traj_id", "step_no", "adv"), ["qid", "traj_id", "step_no"])
+    return tokens.withColumn("step_no", day).join(steps.select("qid", "traj_id", "step_no", "adv", "final_tokens"), ["qid", "traj_id", "step_no"])
 
 
 @query(f"WITH {_SURROGATE} SELECT event_id, round(s, 5) + 0.0 AS surrogate FROM clipped")
@@ -139,9 +141,9 @@ def clipped_surrogate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("event_id", (F.round(adv.surrogate(adv.ratio("ref"), F.col("adv")), 5) + 0.0).alias("surrogate"))
 
 
-@query(f"WITH {_SURROGATE}, c AS (SELECT qid, traj_id, sum(s) / count(*) AS term, avg(k3) AS kl FROM clipped GROUP BY ALL) SELECT qid, round(avg(term) - 0.02 * avg(kl), 5) + 0.0 AS loss, round(avg(kl), 5) + 0.0 AS kl FROM c GROUP BY qid")
+@query(f"WITH {_SURROGATE}, y AS (SELECT qid, traj_id, arg_max(n_tokens, step_no) AS y FROM trail GROUP BY ALL), c AS (SELECT qid, traj_id, sum(s) / (count(*) + any_value(y)) AS term, avg(k3) AS kl FROM clipped JOIN y USING (qid, traj_id) GROUP BY ALL) SELECT qid, round(avg(term) - 0.02 * avg(kl), 5) + 0.0 AS loss, round(avg(kl), 5) + 0.0 AS kl FROM c GROUP BY qid")
 def group_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
-    got = adv.group_loss(surrogate_tokens(spark, sf_dir))
+    got = adv.group_loss(surrogate_tokens(spark, sf_dir), final_tokens="final_tokens")
     return got.select("qid", (F.round("loss", 5) + 0.0).alias("loss"), (F.round("kl", 5) + 0.0).alias("kl"))
 
 
@@ -405,16 +407,20 @@ def leak_check(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Benchmark items whose runs of eight words stand in documents. Runs meet by hash and are then compared as words. The items'
     runs are broadcast up to a counted bound; beyond it both sides are dealt out by hash."""
 
-    def runs(df: DataFrame, key: str) -> DataFrame:
+    def runs(df: DataFrame, key: str, with_run: bool) -> DataFrame:
         w = df.select(key, F.filter(F.split(F.lower("text"), " "), lambda x: x != "").alias("w")).where(F.size("w") >= 8)
-        hashed = w.select(key, "w", F.transform("w", lambda x: F.xxhash64(x)).alias("k"))
-        at = F.transform(F.sequence(F.lit(0), F.size("w") - 8), lambda i: F.struct(i.alias("i"), F.xxhash64(*[F.get("k", i + j) for j in range(8)]).alias("h")))
-        return hashed.select(key, "w", F.explode(at).alias("r")).select(key, "w", F.col("r.h").alias("h"), F.col("r.i").alias("i"))
+        hashed = w.select(key, F.transform("w", lambda x: F.xxhash64(x)).alias("k"), *(["w"] if with_run else []))
+        at = F.transform(F.sequence(F.lit(0), F.size("k") - 8), lambda i: F.struct(i.alias("i"), F.xxhash64(*[F.get("k", i + j) for j in range(8)]).alias("h"), *([run("w", i).alias("run")] if with_run else [])))
+        return hashed.select(key, F.inline(at))
 
     run = lambda w, i: F.slice(w, i + 1, F.lit(8))
-    items = runs(table(spark, sf_dir, "benchmark"), "item_id").select("item_id", "h", run("w", F.col("i")).alias("run")).distinct()
+    words = lambda: F.filter(F.split(F.lower("text"), " "), lambda x: x != "")
+    items = runs(table(spark, sf_dir, "benchmark"), "item_id", True).select("item_id", "h", "run").distinct()
     items = F.broadcast(items) if items.count() <= 1_000_000 else items
-    found = runs(spread(table(spark, sf_dir, "documents")), "doc_id").join(items, "h").where(run("w", F.col("i")) == F.col("run"))
+    # documents send a hash and a place a run, however long they are; their words are looked at again where hashes met
+    docs = spread(table(spark, sf_dir, "documents"))
+    met = runs(docs, "doc_id", False).join(items, "h").select("doc_id", "i", "item_id", "run").distinct()
+    found = docs.select("doc_id", words().alias("w")).join(met, "doc_id").where(run("w", F.col("i")) == F.col("run"))
     hits = found.select("item_id", "doc_id", "run").distinct()
     return hits.groupBy("item_id").agg(F.count_distinct("doc_id").alias("documents"), F.count_distinct("run").alias("shared"))
 

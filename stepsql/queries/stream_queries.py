@@ -13,7 +13,6 @@ from stepsql.streaming import rewards as st
 
 from .carrier_sql import ORDERS, rewards
 from .core import OFF, r8
-from .operators import sessions
 from .registry import query
 
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
@@ -40,8 +39,10 @@ def op_stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) <= INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events) SELECT user_id, sum(new)::BIGINT AS sessions, count(*) AS n FROM g GROUP BY user_id")
 def op_stream_session(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Batch twin of session windows: sessions and events a user."""
-    return sessions(spark, sf_dir).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("n"))
+    """Sessions with pauses of up to six hours, streamed: how many and how many events a user; the complete table stands at the end."""
+    pause = "21600 seconds 1 microsecond"  # a pause of just six hours is within
+    s = events(spark, sf_dir).groupBy(F.session_window("ts", pause).alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return st.drain_table(s.select("user_id", "n")).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("n"))
 
 
 @query("SELECT count(DISTINCT event_id) AS events FROM events")
@@ -79,10 +80,15 @@ def op_stream_reward(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r8(st.drain(st.reward_stream(s, top)))
 
 
-@query()
+@query("""WITH c AS (SELECT date_trunc('day', ts)::TIMESTAMP AS start, count(*) FILTER (event_id % 50 <> 0) AS n, count(*) FILTER (event_id % 50 = 0) AS late FROM events GROUP BY ALL),
+seen AS (SELECT max(ts) - INTERVAL 1 HOUR AS mark FROM events WHERE event_id % 50 <> 0)
+SELECT start, CASE WHEN start + INTERVAL 1 DAY <= mark THEN n END AS n, CASE WHEN start + INTERVAL 1 DAY <= mark THEN late END AS late FROM c, seen""")
 def op_stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Daily counts under a watermark of one hour when the earliest rows arrive last: those are dropped."""
+    """Daily counts under a watermark of one hour when every fiftieth event arrives last: how many of a day counted, and how many came too late."""
     e = table(spark, sf_dir, "events").withColumn("s_", F.unix_seconds(F.col("ts").cast("timestamp")))
     path = st.split_log(e.withColumn("s_", F.when(F.col("event_id") % 50 == 0, F.lit(2_000_000_000)).otherwise(F.col("s_"))), "s_")
     s = st.stream_of(spark, path, EVENTS).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
-    return st.drain(s.select(F.col("window.start").alias("start"), "n"))
+    kept = st.drain(s.select(F.col("window.start").alias("start"), "n"))
+    every = e.groupBy(F.window(F.col("ts").cast("timestamp"), "1 day").alias("w")).agg(F.count("*").alias("all")).select(F.col("w.start").alias("start"), "all")
+    # days that no watermark has passed are still open
+    return every.join(kept, "start", "left").select(F.col("start").cast("timestamp_ntz").alias("start"), "n", (F.col("all") - F.col("n")).alias("late"))

@@ -182,6 +182,14 @@ def test_outcomes_of_menus_are_exact(spark, data):
             assert r.outcome == 1 or any(o.kind for o in picks)
 
 
+def test_kept_steps_give_the_same_digests(spark, data):
+    bank.prepare(spark, data)
+    chains = [(q.named, q.close) for q in bank.QUESTIONS if q.qid in (1, 8, 26)] + [([("x", "SELECT 1 AS a, 2 AS a"), ("y", "SELECT 3 AS b FROM x")], "SELECT nope FROM y")]
+    fields = ("prefix_key", "depth", "status", "condition", "n_rows", "n_cols", "nulls", "result_key")
+    assert sorted(map(str, ex.run_chains(spark, chains).select(*fields).collect())) == sorted(map(str, ex.run_chains(spark, chains, keep=True).select(*fields).collect()))
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("kept_")]
+
+
 def test_ordered_outcome_keeps_the_order(spark, data):
     bank.prepare(spark, data)
     up, down = "SELECT o_orderkey FROM orders ORDER BY o_orderkey", "SELECT o_orderkey FROM orders ORDER BY o_orderkey DESC"
