@@ -71,9 +71,9 @@ def _liking(habits: Habits) -> Column:
     return out
 
 
-def sample(policy: DataFrame, n: int, salt: int, temperature: float = 1.0, greedy: bool = False) -> DataFrame:
+def sample(policy: DataFrame, n: int, salt: int, temperature: float = 1.0, greedy: bool = False, paired: bool = False) -> DataFrame:
     """run, qid, cand, step_no, token, state, p, h_step, chain: n chains a question, a row a step; chain is the options so far. One fold a chain over
-    its question's options, so no loop over steps."""
+    its question's options, so no loop over steps. Paired policies meet the same draws."""
     heat = softmax(policy if temperature == 1.0 else policy.withColumn("logit", F.col("logit") / temperature))
     spots = heat.groupBy(*CONTEXT).agg(F.array_sort(F.collect_list(F.struct("token", "p"))).alias("t"), F.max("entropy").alias("h"))
     grid = spots.groupBy("run", "qid").agg(F.max("slot").alias("slots"), F.map_from_entries(F.collect_list(F.struct((F.col("slot") * 2 + F.col("state")).alias("k"), F.struct("t", "h").alias("v")))).alias("grid"))
@@ -82,7 +82,7 @@ def sample(policy: DataFrame, n: int, salt: int, temperature: float = 1.0, greed
     def pick(slot: Column, spot: Column) -> Column:
         if greedy:
             return F.array_max(F.transform(spot["t"], lambda x: F.struct(x["p"].alias("p"), (-x["token"]).alias("o"), x.alias("x"))))["x"]
-        u = uniform("run", "qid", "cand", slot, F.lit(salt))
+        u = uniform(*([] if paired else ["run"]), "qid", "cand", slot, F.lit(salt))
         found = F.aggregate(
             spot["t"], F.struct(F.lit(0.0).alias("sum"), F.lit(None).cast("struct<token:int,p:double>").alias("x")),
             lambda a, x: F.struct((a["sum"] + x["p"]).alias("sum"), F.when(a["x"].isNull() & (a["sum"] + x["p"] > u), x).otherwise(a["x"]).alias("x")),
@@ -246,26 +246,28 @@ def update(policy: DataFrame, scores: DataFrame, runs: DataFrame, config: TrainC
     return written(policy)
 
 
-def greedy_accuracy(policy: DataFrame, runs: DataFrame) -> DataFrame:
-    """run, split, accuracy of the likeliest chains."""
-    best = sample(policy, 1, 0, greedy=True).groupBy("run", "qid").agg(F.max_by("chain", "step_no").alias("chain"))
-    return best.join(runs.where("slot = slots").select("qid", "chain", "split", "outcome"), ["qid", "chain"]).groupBy("run", "split").agg((100 * F.avg("outcome")).alias("accuracy"))
+def dev_accuracy(policy: DataFrame, runs: DataFrame, n: int = 8) -> DataFrame:
+    """run, split, protocol, accuracy: of the likeliest chains (`greedy`), and on average over n samples at temperature one, the same draws for every policy and round (`sampled`)."""
+    ends = runs.where("slot = slots").select("qid", "chain", "split", "outcome")
+    both = sample(policy, 1, 0, greedy=True).withColumn("protocol", F.lit("greedy")).unionByName(sample(policy, n, 777, paired=True).withColumn("protocol", F.lit("sampled")))
+    whole = both.groupBy("run", "protocol", "qid", "cand").agg(F.max_by("chain", "step_no").alias("chain"))
+    return whole.join(ends, ["qid", "chain"]).groupBy("run", "split", "protocol").agg((100 * F.avg("outcome")).alias("accuracy"))
 
 
 def train(start: DataFrame, names: tuple[str, ...], scores: DataFrame, runs: DataFrame, config: TrainConfig = TrainConfig()) -> tuple[DataFrame, DataFrame]:
-    """(policies, curve of method, seed, round, split, accuracy) from one cold-started policy: every name (method|seed) is a run of its own, side by side."""
+    """(policies, curve of method, seed, round, split, protocol, accuracy) from one cold-started policy: every name (method|seed) is a run of its own, side by side."""
     spark = start.sparkSession
     runs_ = spark.createDataFrame([(n,) for n in names], "name string")
     policy = written(start.crossJoin(F.broadcast(runs_)).select(F.col("name").alias("run"), "qid", "slot", "state", "token", "error_type", F.col("logit").alias("ref"), "logit"))  # a row a run
-    points = [written(greedy_accuracy(policy, runs).withColumn("round", F.lit(0)))]
+    points = [written(dev_accuracy(policy, runs).withColumn("round", F.lit(0)))]
     for number in range(1, config.rounds + 1):
         policy = update(policy, scores, runs, config, number)
-        points.append(written(greedy_accuracy(policy, runs).withColumn("round", F.lit(number))))
+        points.append(written(dev_accuracy(policy, runs).withColumn("round", F.lit(number))))
     curve = points[0]
     for p in points[1:]:
         curve = curve.unionByName(p)
     parts = F.split("run", r"\|")
-    return policy, curve.select(parts[0].alias("method"), parts[1].cast("int").alias("seed"), "round", "split", "accuracy")
+    return policy, curve.select(parts[0].alias("method"), parts[1].cast("int").alias("seed"), "round", "split", "protocol", "accuracy")
 
 
 def chosen(cands: DataFrame, n: int, by: str) -> DataFrame:

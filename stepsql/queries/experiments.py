@@ -363,14 +363,14 @@ def source_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def rl_training(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Greedy accuracy by round with step rewards, with outcomes only and with partial credit, over three seeds."""
+    """Greedy and sampled accuracy by round with step rewards, with outcomes only and with partial credit, over three seeds."""
     return trained(spark, sf_dir)[1]
 
 
 @query()
 def bank_stability(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Final, mean, spread and peak of the accuracy on training questions, and the round of convergence, by method and seed."""
-    curve = trained(spark, sf_dir)[1].where("split = 'train'").select(F.concat_ws("|", "method", "seed").alias("method"), "round", F.col("accuracy").alias("value"))
+    """Final, mean, spread and peak of the sampled accuracy on training questions, and the round of convergence, by method and seed."""
+    curve = trained(spark, sf_dir)[1].where("split = 'train' and protocol = 'sampled'").select(F.concat_ws("|", "method", "seed").alias("method"), "round", F.col("accuracy").alias("value"))
     return ms.stability(curve, 3, 2.0)
 
 
