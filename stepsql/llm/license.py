@@ -115,7 +115,7 @@ def scan(docs: DataFrame, config: Config = Config()) -> DataFrame:
     n_base counts every place of every base phrase, overlapping ones too; first_word and last_word are
     the smallest and largest start (null without one); labels adds those of the notices found;
     score is the largest share of a notice's or phrase's 2-grams that one standing span holds (0 without
-    any); spans lists the standing spans as (label, first word, words, share), where spans of one label may overlap.
+    any); spans lists the standing spans as (label, first word, 2-grams, share), where spans of one label may overlap.
     A word said over and over counts once; of templates that meet at one place the best covered counts. Null and empty texts
     have no words and no labels. Repeated rows give repeated results, also
     under one doc_id or none. Whole texts count, however long. Other columns are ignored.
@@ -172,7 +172,7 @@ def scan(docs: DataFrame, config: Config = Config()) -> DataFrame:
     )
     whole = (F.col("template") >= 0) & ~notice
     start = F.when(whole, F.col("diagonal").cast("bigint"))
-    found = F.when(F.col("template") >= 0, F.struct("label", F.coalesce("begin", "diagonal").alias("first"), (F.coalesce(F.col("end") - F.col("begin"), F.col("grams") - 1) + 2).alias("words"), "share"))
+    found = F.when(F.col("template") >= 0, F.struct("label", F.coalesce("begin", "diagonal").alias("first"), F.coalesce(F.col("end") - F.col("begin") + 1, F.col("grams")).alias("grams"), "share"))
     joined = lambda c: F.array_join(F.array_sort(F.collect_set(F.when(c, F.col("label")))), ",")
     return (
         standing.groupBy("row", "doc_id", "n_words")
