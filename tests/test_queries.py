@@ -14,6 +14,6 @@ def test_matches_sql(spark, data, name):
     assert spark_rows(QUERIES[name](spark, data)) == duck_rows(ORACLE_SQL[name], data)
 
 
-@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLE_SQL))))
+@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLE_SQL)))
 def test_runs(spark, data, name):
     assert QUERIES[name](spark, data).count() > 0
