@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
 import zipfile
 from collections.abc import Callable, Iterator
@@ -40,7 +42,8 @@ def ship(spark: SparkSession) -> None:
     if getattr(sc, "_stepsql_sent", False):
         return
     top = Path(__file__).resolve().parents[1]
-    folder = tempfile.mkdtemp(prefix="stepsql-zip-")
+    folder = tempfile.mkdtemp(prefix="stepsql-zip-")  # on the driver alone: Spark copies the file to its workers
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
     with zipfile.ZipFile(f"{folder}/{top.name}_package.zip", "w") as z:
         for f in sorted(top.rglob("*.py")):
             z.write(f, f"{top.name}/{f.relative_to(top)}")
