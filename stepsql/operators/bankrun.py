@@ -9,6 +9,7 @@ from __future__ import annotations
 import itertools
 import re
 from collections.abc import Sequence
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -17,7 +18,7 @@ from stepsql.sources.bank import Question
 from stepsql.sources.shared import written
 
 from .chains import compose, flatten
-from .execute import prefix_keys, run_chains
+from .execute import digests, hashing, prefix_keys
 from .mutate import MUTATIONS, infer
 
 #: chain is the option numbers so far, joined by '-'; prefix_key names the texts so far; next_token is the option taken.
@@ -27,6 +28,7 @@ RUN = (
 )
 
 
+LANES = 3  # questions whose chains run side by side
 NEEDLESS = "needless steps"  # right, but no step of the chain is read
 
 
@@ -66,18 +68,17 @@ def menu_rows(questions: Sequence[Question], most: int = 24) -> list[tuple]:
 
 
 def run_menus(spark: SparkSession, questions: Sequence[Question], most: int = 24, threads: int = 8) -> DataFrame:
-    """RUN columns and the digest (depth, status, condition, n_rows, n_cols, nulls, result_key, seconds) for every prefix of every chain."""
-    chains, rows = [], []
-    gold = run_chains(spark, [([], q.gold) for q in questions], threads=threads)
-    gold_keys = {r.prefix_key: r.result_key for r in gold.collect()}
+    """RUN columns and the digest (status, condition, n_rows, n_cols, nulls, result_key, seconds, run_key) for every prefix of every chain."""
+    chains, rows = {}, []
     for q in questions:
         options = menu(q, most)
-        want = gold_keys[prefix_keys([], q.gold)[-1]]
+        want = prefix_keys([], q.gold)[-1]
+        chains[q.qid] = [([], q.gold)]
         for picks in itertools.product(*[range(len(o)) for o in options]):
             taken = [options[k][p] for k, p in enumerate(picks)]
             steps, close = [(n, o.sql) for (n, _), o in zip(q.named, taken)], taken[-1].sql
             keys = prefix_keys(steps, close)
-            chains.append((steps, close))
+            chains[q.qid].append((steps, close))
             names = [n for n, _ in steps] + ["answer"]
             kinds = [o.kind for o in taken]
             first = next((k for k in kinds if k), "")
@@ -87,20 +88,25 @@ def run_menus(spark: SparkSession, questions: Sequence[Question], most: int = 24
                     (q.qid, q.db, q.split, q.tier, "-".join(map(str, picks[:slot])), "-".join(map(str, picks)), slot, len(keys), picks[slot - 1], kinds[slot - 1], names[slot - 1],
                      taken[slot - 1].sql, key, first, sum(map(bool, kinds)), (text, right), want)
                 )
-    digests = {r.prefix_key: r for r in run_chains(spark, chains, threads=threads).collect()}
-    last = {(r[0], r[5]): digests[r[12]] for r in rows if r[6] == r[7]}
+    found: dict[str, dict] = {}
+    # a question at a time in each lane, as its kept steps go when it is done
+    with hashing(spark), ThreadPoolExecutor(LANES) as lanes:
+        for part in lanes.map(lambda own: digests(spark, own, threads=max(1, threads // LANES), keep=True), chains.values()):
+            found |= part
+    last = {(r[0], r[5]): found[r[12]] for r in rows if r[6] == r[7]}
     out = []
     for r in rows:
-        end, (text, right), want = last[r[0], r[5]], r[15], r[16]
-        outcome = int(end.status == "ok" and end.result_key == want)
-        failed = "" if outcome else infer(text, right, "invalid" if end.status in ("invalid", "pruned") else end.status, end.condition)
-        d = digests[r[12]]
-        out.append((*r[:15], failed, outcome, want, d.status, d.condition, d.n_rows, d.n_cols, d.nulls, d.result_key, d.seconds))
-    return spark.createDataFrame(out, RUN + ", status string, condition string, n_rows bigint, n_cols int, nulls double, result_key string, seconds double")
+        end, (text, right), want = last[r[0], r[5]], r[15], found[r[16]]["result_key"]
+        outcome = int(end["status"] == "ok" and end["result_key"] == want)
+        failed = "" if outcome else infer(text, right, "invalid" if end["status"] in ("invalid", "pruned") else end["status"], end["condition"])
+        d = found[r[12]]
+        out.append((*r[:15], failed, outcome, want, *(d[k] for k in ("status", "condition", "n_rows", "n_cols", "nulls", "result_key", "seconds", "run_key"))))
+    return spark.createDataFrame(out, RUN + ", status string, condition string, n_rows bigint, n_cols int, nulls double, result_key string, seconds double, run_key string")
 
 
-def run_flat(spark: SparkSession, questions: Sequence[Question], most: int = 24, threads: int = 8) -> DataFrame:
-    """qid, whole, flat_status, flat_outcome: the gold chain and each chain of one slip of every menu, flattened to one query without named steps."""
+def run_flat(spark: SparkSession, questions: Sequence[Question], most: int = 24, threads: int = 8, gold_keys: dict[int, str] | None = None) -> DataFrame:
+    """qid, whole, flat_status, flat_outcome: the gold chain and each chain of one slip of every menu, flattened to one query without named steps. Gold queries
+    whose result_key is known are not run again."""
     texts = []
     for q in questions:
         options = menu(q, most)
@@ -108,11 +114,13 @@ def run_flat(spark: SparkSession, questions: Sequence[Question], most: int = 24,
             if sum(map(bool, picks)) <= 1:
                 taken = [options[k][p].sql for k, p in enumerate(picks)]
                 texts.append((q, "-".join(map(str, picks)), flatten([(n, t) for (n, _), t in zip(q.named, taken)], taken[-1])))
-    done = {r.prefix_key: r for r in run_chains(spark, [([], t) for *_, t in texts] + [([], q.gold) for q in questions], threads=threads).collect()}
+    golds = {q.qid: q.gold for q in questions if q.qid not in (gold_keys or {})}
+    done = digests(spark, [([], t) for *_, t in texts] + [([], g) for g in golds.values()], threads=threads)
+    want = {**(gold_keys or {}), **{qid: done[prefix_keys([], g)[-1]]["result_key"] for qid, g in golds.items()}}
     rows = []
     for q, whole, text in texts:
-        got, want = done[prefix_keys([], text)[-1]], done[prefix_keys([], q.gold)[-1]]
-        rows.append((q.qid, whole, got.status, int(got.status == "ok" and got.result_key == want.result_key)))
+        got = done[prefix_keys([], text)[-1]]
+        rows.append((q.qid, whole, got["status"], int(got["status"] == "ok" and got["result_key"] == want[q.qid])))
     return spark.createDataFrame(rows, "qid bigint, whole string, flat_status string, flat_outcome int")
 
 

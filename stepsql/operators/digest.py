@@ -6,12 +6,19 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+def _rounded(c: Column, digits: int) -> Column:
+    """A number as text, equal where it is equal after rounding to so many digits, whatever its type: below 2^53 units of the last digit the count of units, which is
+    exact and far cheaper than a formatted number; beyond it, and for what is no number, that."""
+    r, unit = F.round(c, digits), 10**digits
+    return F.when(F.abs(c) < (1 << 52) // unit, F.concat(F.lit("u"), F.rint(r.cast("double") * unit).cast("bigint").cast("string"))).otherwise(F.format_number(r + 0.0, digits))
+
+
 def _plain(df: DataFrame, digits: int) -> list[Column]:
     """Columns as text: doubles rounded (no negative zero), others as they are; nulls apart from any text."""
     out = []
     for i, (_, kind) in enumerate(df.dtypes):
         c = F.col(f"c{i}")
-        c = F.format_number(F.round(c, digits) + 0.0, digits) if kind in ("double", "float") or kind.startswith("decimal") else c.cast("string")
+        c = _rounded(c, digits) if kind in ("double", "float") or kind.startswith("decimal") else c.cast("string")
         out.append(F.coalesce(F.concat(F.lit("v"), c), F.lit("n")))
     return out
 

@@ -3,19 +3,22 @@
 from __future__ import annotations
 
 import hashlib
+import re
 import time
+from collections.abc import Iterator
 from concurrent.futures import ThreadPoolExecutor
+from contextlib import contextmanager
 
 from pyspark.errors import AnalysisException, ParseException, PySparkException
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from stepsql.sources.shared import written
+from stepsql.sources.shared import drop, written
 
 from .chains import compose
 from .digest import digest
 
-DIGEST = "prefix_key string, depth int, status string, condition string, n_rows bigint, n_cols int, nulls double, result_key string, seconds double"
+DIGEST = "prefix_key string, depth int, status string, condition string, n_rows bigint, n_cols int, nulls double, result_key string, seconds double, run_key string"
 
 # Error conditions by the reason to reject a chain.
 REASONS = {"PARSE_SYNTAX_ERROR": "malformed", "TABLE_OR_VIEW_NOT_FOUND": "undefined reference", "DUPLICATED_CTE_NAMES": "name conflict"}
@@ -66,6 +69,22 @@ def run_text(spark: SparkSession, text: str) -> dict:
         return {"status": kind, "condition": condition(e), "n_rows": None, "n_cols": None, "nulls": None, "result_key": None, "seconds": time.perf_counter() - began}
 
 
+#: Joins whose smaller side has no shuffled partition above this size, as measured, hash it in place of sorting both sides.
+HASHED = ("spark.sql.adaptive.maxShuffledHashJoinLocalMapThreshold", "16m")
+
+
+@contextmanager
+def hashing(spark: SparkSession) -> Iterator[None]:
+    """HASHED while chains run; what the session had is put back."""
+    key, value = HASHED
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, value)
+    try:
+        yield
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
+
+
 def _keep(spark: SparkSession, text: str, key: str) -> str | None:
     """The result of a prefix as a table and a view of this name; None where it cannot be written (columns of one name, or of no storable type)."""
     name = f"kept_{key[:24]}"
@@ -76,45 +95,84 @@ def _keep(spark: SparkSession, text: str, key: str) -> str | None:
     return name
 
 
-def run_chains(spark: SparkSession, chains: list[tuple[list[tuple[str, str]], str]], prune_failed: bool = True, threads: int = 4, keep: bool = False) -> DataFrame:
-    """DIGEST rows of every distinct prefix of the chains (steps, close), closing queries included. Prefixes go level by level; the
-    descendants of one that failed are not run (status `pruned`). Jobs of a level run side by side.
+def run_keys(steps: list[tuple[str, str]], close: str | None = None) -> list[tuple[str, list[int]]]:
+    """(key, places of the earlier steps that its text may name) of each prefix. Prefixes of one key give one result: their last texts are equal, and so are, name by name,
+    the steps that these read, however many steps stand beside them. Where a name repeats, all steps count, as the whole is then an error."""
+    out: list[tuple[str, list[int]]] = []
+    names = [n.lower() for n, _ in steps]
+    for k, (_, text) in enumerate([*steps, *([("", close)] if close else [])]):
+        words = set(re.findall(r"\w+", text.lower()))
+        plain = all(re.fullmatch(r"\w+", n) for n in names[: k + 1]) and len(set(names[: k + 1])) == len(names[: k + 1])
+        read = [j for j in range(min(k, len(steps))) if not plain or names[j] in words]
+        held = "\x1f".join([text, *(f"{names[j]}\x1e{out[j][0]}" for j in read)] + ([] if plain else ["\x1d".join(names[: k + 1])]))
+        out.append((hashlib.sha256(held.encode()).hexdigest(), read))
+    return out
+
 
-    With keep, the result of every step that others follow is written once and read by all of them, so a chain of k steps runs k queries of one
-    step each. Without it a prefix is composed from its texts, which leaves the optimizer the whole query; that is cheaper where steps are
-    large and later ones narrow them."""
-    levels: dict[int, dict[str, tuple[list[tuple[str, str]], list[str], str | None]]] = {}
+def digests(spark: SparkSession, chains: list[tuple[list[tuple[str, str]], str]], prune_failed: bool = True, threads: int = 4, keep: bool = False) -> dict[str, dict]:
+    """The fields of DIGEST by prefix key; see run_chains."""
+    levels: dict[int, dict[str, tuple]] = {}
+    read_by_others: set[str] = set()
     for steps, close in chains:
-        keys = prefix_keys(steps, close)
+        keys, runs = prefix_keys(steps, close), run_keys(steps, close)
+        if not prune_failed:  # a step that failed, and that nothing reads, still makes the whole an error
+            runs = [(key, list(range(min(k, len(steps))))) for k, key in enumerate(keys)]
+        read_by_others |= {runs[j][0] for _, read in runs for j in read}
         for k, key in enumerate(keys, 1):
-            levels.setdefault(k, {})[key] = (steps[:k], keys[:k], close if k > len(steps) else None)
+            levels.setdefault(k, {})[key] = (steps[:k], close if k > len(steps) else None, keys[:k], runs[:k])
     done: dict[str, dict] = {}
+    shared: dict[str, dict] = {}
     views: dict[str, str] = {}
 
-    def run(key: str, steps: list[tuple[str, str]], keys: list[str], close: str | None) -> dict:
-        held = [(name, f"SELECT * FROM {views[k]}" if k in views else text) for k, (name, text) in zip(keys, steps)]
+    def run(key: str, steps: list[tuple[str, str]], close: str | None, runs: list[tuple[str, list[int]]]) -> dict:
+        need, todo = set() if close is not None else {len(steps) - 1}, [len(runs) - 1]
+        while todo:  # steps that are read, through others that are not kept
+            for j in runs[todo.pop()][1]:
+                if j not in need:
+                    need.add(j)
+                    todo += [j] if runs[j][0] not in views else []
+        held = [(steps[j][0], f"SELECT * FROM {views[runs[j][0]]}" if runs[j][0] in views else steps[j][1]) for j in sorted(need)]
         text = compose(held, close) if close is not None else compose(held, upto=len(held))
         began = time.perf_counter()
-        view = _keep(spark, text, key) if keep and close is None else None
+        view = _keep(spark, text, key) if keep and key in read_by_others else None
         if view is None:
             return run_text(spark, text)
         views[key] = view
         return run_text(spark, f"SELECT * FROM {view}") | {"seconds": time.perf_counter() - began}
 
-    with ThreadPoolExecutor(threads) as pool:
-        for k in sorted(levels):
-            waiting = {}
-            for key, (steps, keys, close) in levels[k].items():
-                parent = keys[-2] if k > 1 else None
-                if prune_failed and parent and done[parent]["status"] != "ok":
-                    done[key] = {"status": "pruned", "condition": done[parent]["condition"], "n_rows": None, "n_cols": None, "nulls": None, "result_key": None, "seconds": 0.0, "depth": k}
-                else:
-                    waiting[key] = pool.submit(run, key, steps, keys, close)
-            for key, job in waiting.items():
-                done[key] = job.result() | {"depth": k}
-    for view in views.values():
-        spark.catalog.dropTempView(view)
-    rows = [(key, d["depth"], d["status"], d["condition"], d["n_rows"], d["n_cols"], d["nulls"], d["result_key"], d["seconds"]) for key, d in done.items()]
+    try:
+        with ThreadPoolExecutor(threads) as pool, hashing(spark):
+            for k in sorted(levels):
+                waiting, sent = {}, {}
+                for key, (steps, close, keys, runs) in levels[k].items():
+                    parent, own = keys[-2] if k > 1 else None, runs[-1][0]
+                    if prune_failed and parent and done[parent]["status"] != "ok":
+                        done[key] = {"status": "pruned", "condition": done[parent]["condition"], "n_rows": None, "n_cols": None, "nulls": None, "result_key": None, "seconds": 0.0, "depth": k, "run_key": own}
+                        continue
+                    waiting[key] = own
+                    if own not in shared and own not in sent:
+                        sent[own] = pool.submit(run, own, steps, close, runs)
+                shared |= {own: job.result() for own, job in sent.items()}
+                done |= {key: shared[own] | {"depth": k, "run_key": own} for key, own in waiting.items()}
+    finally:
+        for view in views.values():
+            path = spark.table(view).inputFiles()
+            spark.catalog.dropTempView(view)
+            if path:
+                drop(spark, path[0].rsplit("/", 1)[0])
+    return done
+
+
+def run_chains(spark: SparkSession, chains: list[tuple[list[tuple[str, str]], str]], prune_failed: bool = True, threads: int = 4, keep: bool = False) -> DataFrame:
+    """DIGEST rows of every distinct prefix of the chains (steps, close), closing queries included. Prefixes go level by level; the
+    descendants of one that failed are not run (status `pruned`). Jobs of a level run side by side. Prefixes that differ only in steps that
+    they do not read are run once (run_key), each with that run's seconds.
+
+    With keep, the result of every step that others read is written once and read by all of them, so a chain of k steps runs k queries of one
+    step each; these tables go at the end. Without it a prefix is composed from its texts, which leaves the optimizer the whole query; that is cheaper where steps are
+    large, few read them, and these narrow them."""
+    done = digests(spark, chains, prune_failed, threads, keep)
+    rows = [(key, d["depth"], d["status"], d["condition"], d["n_rows"], d["n_cols"], d["nulls"], d["result_key"], d["seconds"], d["run_key"]) for key, d in done.items()]
     return spark.createDataFrame(rows, DIGEST)
 
 

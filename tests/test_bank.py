@@ -190,6 +190,30 @@ def test_kept_steps_give_the_same_digests(spark, data):
     assert not [t for t in spark.catalog.listTables() if t.name.startswith("kept_")]
 
 
+def test_prefixes_that_read_the_same_run_once(spark, data, monkeypatch):
+    bank.prepare(spark, data)
+    texts, plain = [], ex.run_text
+    monkeypatch.setattr(ex, "run_text", lambda spark, text: texts.append(text) or plain(spark, text))
+    one = ("one", "SELECT n_nationkey FROM nation")
+    chains = [([one, ("two", f"SELECT n_nationkey FROM one WHERE n_nationkey < {k}")], close) for k in (3, 7) for close in ("SELECT count(*) AS n FROM one", "SELECT count(*) AS n FROM two")]
+    chains.append(([one, ("two", "SELECT nope FROM one")], "SELECT count(*) AS n FROM one"))
+    rows = {r.prefix_key: r for r in ex.run_chains(spark, chains, keep=True).collect()}
+    ends = [rows[ex.prefix_keys(*c)[-1]] for c in chains]
+    assert len(texts) == 7 and len(rows) == 9  # one, two (twice, and one that fails), one closing query over one, two over two
+    assert ends[0].run_key == ends[2].run_key != ends[1].run_key != ends[3].run_key and [r.status for r in ends] == ["ok"] * 4 + ["pruned"]
+    values = [plain(spark, ch.compose(*c))["result_key"] for c in chains[:4]]
+    assert [r.result_key for r in ends[:4]] == values and len(set(values)) == 3
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("kept_")]
+
+
+def test_numbers_of_all_types_have_one_key(spark):
+    key = lambda text: digest(spark.sql(text), with_result=True).first().result_key
+    assert key("SELECT 0.5D AS a") == key("SELECT 0.5 AS a") == key("SELECT CAST(0.5 AS FLOAT) AS a") == key("SELECT 0.5000004D AS a") != key("SELECT 0.500001D AS a")
+    assert key("SELECT -0.0D AS a") == key("SELECT 0.0D AS a") != key("SELECT 0 AS a") and key("SELECT 5.0D AS a") != key("SELECT 5000000 AS a")
+    assert key("SELECT 1e12D AS a") == key("SELECT CAST(1000000000000 AS DECIMAL(20,2)) AS a") != key("SELECT 1000000000000.01D AS a")
+    assert len({key(f"SELECT CAST({x} AS DOUBLE) AS a") for x in ("'NaN'", "'Infinity'", "'-Infinity'", "NULL", "4.5e9", "4.6e9")}) == 6
+
+
 def test_ordered_outcome_keeps_the_order(spark, data):
     bank.prepare(spark, data)
     up, down = "SELECT o_orderkey FROM orders ORDER BY o_orderkey", "SELECT o_orderkey FROM orders ORDER BY o_orderkey DESC"
