@@ -5,9 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stepsql.config import RewardConfig
-from stepsql.operators.reward import step_reward
+from stepsql.operators.reward import TRAJECTORY, prefix_entropy
 from stepsql.sources.carriers import trail_orders
+from stepsql.sources.shared import written
 from stepsql.sources.tables import table
 from stepsql.streaming import rewards as st
 
@@ -73,11 +73,12 @@ def op_stream_stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"WITH {rewards(ORDERS, scope='corpus')} SELECT qid, traj_id, step_no, round(prefix_score + {OFF}, 8) + 0.0 AS prefix_score, round(reward + {OFF}, 8) + 0.0 AS reward FROM rewarded")
 def op_stream_reward(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Running rewards of the order log as its steps arrive; tests hold them against the batch form."""
-    log = trail_orders(spark, sf_dir)
-    path = st.split_log(log, "step_no")
-    top = step_reward(log, RewardConfig(norm_scope="corpus")).agg(F.max("h_prefix").alias("m")).first().m
-    s = st.stream_of(spark, path, "qid bigint, traj_id bigint, step_no int, n_tokens int, score double, h_step double, outcome int")
-    return r8(st.drain(st.reward_stream(s, top)))
+    log = written(trail_orders(spark, sf_dir))
+    files = spark.sparkContext.defaultParallelism
+    path = st.split_log(log, "step_no", key=TRAJECTORY, files=files)
+    top = prefix_entropy(log).agg(F.max("h_prefix").alias("m")).first().m
+    s = st.stream_of(spark, path, "qid bigint, traj_id bigint, step_no int, n_tokens int, score double, h_step double, outcome int", files)
+    return r8(st.drain_rewards(s, top))
 
 
 @query("""WITH c AS (SELECT date_trunc('day', ts)::TIMESTAMP AS start, count(*) FILTER (event_id % 50 <> 0) AS n, count(*) FILTER (event_id % 50 = 0) AS late FROM events GROUP BY ALL),

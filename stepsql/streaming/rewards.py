@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -57,12 +57,37 @@ def reward_stream(steps: DataFrame, h_max: float) -> DataFrame:
     )
 
 
-def split_log(log: DataFrame, by: str, parts: int = 3) -> str:
-    """A folder of Parquet files that a file stream reads in order of `by`."""
+def drain_rewards(steps: DataFrame, h_max: float) -> DataFrame:
+    """The rows of reward_stream, by running sums over each batch: what a trajectory holds so far is a row of a table that each batch reads and writes anew, so a
+    trajectory costs no call of its own. A batch that is run again writes the same tables again."""
+    spark, out = steps.sparkSession, new_folder(steps.sparkSession)
+    key = ["qid", "traj_id"]
+    held = "qid bigint, traj_id bigint, h double, den double, num double, plain double, n bigint, acc double"
+    run = Window.partitionBy(*key).orderBy("step_no").rowsBetween(Window.unboundedPreceding, 0)
+    so_far = lambda name, c: F.coalesce(name, F.lit(0)) + F.sum(c).over(run)
+
+    def step(batch: DataFrame, k: int) -> None:
+        before = batch.sparkSession.read.schema(held).parquet(f"{out}-held/{k - 1}") if k else batch.sparkSession.createDataFrame([], held)
+        rows = batch.join(before, key, "left").withColumn("h", so_far("h", "h_step"))
+        rows = rows.withColumn("w", 1 - F.col("h") / h_max if h_max > 0 else F.lit(1.0))
+        rows = rows.withColumns({"den": so_far("den", "w"), "num": so_far("num", F.col("w") * F.col("score")), "plain": so_far("plain", "score"), "n": so_far("n", F.lit(1))})
+        rows = rows.withColumn("prefix_score", F.when(F.col("den") > 0, F.col("num") / F.col("den")).otherwise(F.col("plain") / F.col("n"))).withColumn("acc", so_far("acc", "prefix_score"))
+        fields = ["h", "den", "num", "plain", "n", "acc"]
+        rows.select(*key, "step_no", "prefix_score", F.col("acc").alias("reward"), *fields).write.mode("overwrite").parquet(f"{out}/batch={k}")
+        new = batch.sparkSession.read.parquet(f"{out}/batch={k}").groupBy(*key).agg(F.max(F.struct("step_no", *fields)).alias("s")).select(*key, *[f"s.{c}" for c in fields])
+        new.unionByName(before.join(new, key, "left_anti")).write.mode("overwrite").parquet(f"{out}-held/{k}")
+
+    steps.writeStream.option("checkpointLocation", f"{out}-state").trigger(availableNow=True).foreachBatch(step).start().awaitTermination()
+    return spark.read.schema("qid bigint, traj_id bigint, step_no int, prefix_score double, reward double, batch int").parquet(out).drop("batch")
+
+
+def split_log(log: DataFrame, by: str, parts: int = 3, key: tuple[str, ...] = (), files: int = 1) -> str:
+    """A folder of Parquet files that a file stream reads in order of `by`. With a key, each part is up to so many files, and rows of one key share a file of a
+    part: their order holds however many files a batch takes."""
     path = new_folder(log.sparkSession)
     edges = log.agg(F.min(by).alias("a"), F.max(by).alias("b")).first()
     for k in range(parts):
         lo, hi = edges.a + (edges.b - edges.a) / parts * k, edges.a + (edges.b - edges.a) / parts * (k + 1)
         piece = log.where((F.col(by) >= F.lit(lo)) & ((F.col(by) < F.lit(hi)) if k < parts - 1 else F.lit(True)))
-        piece.coalesce(1).write.mode("append").parquet(path)
+        (piece.repartition(files, *key) if key else piece.coalesce(1)).write.mode("append").parquet(path)
     return path

@@ -152,6 +152,20 @@ def test_stream_reward_equals_batch(spark):
     assert a == pytest.approx(b, abs=1e-9)
 
 
+def test_stream_rewards_by_tables_equal_the_stream(spark):
+    from stepsql.streaming import rewards as st
+
+    rows = [(q, t, k, 1, ((q * 7 + t * 3 + k) % 10) / 10, 0.1 * ((q + t + k) % 4), 1) for q in range(3) for t in range(5) for k in range(1, 3 + 2 * t)]
+    schema = "qid bigint, traj_id bigint, step_no int, n_tokens int, score double, h_step double, outcome int"
+    log = spark.createDataFrame(rows, schema)
+    plain = {tuple(r[:3]): r for r in st.drain(st.reward_stream(st.stream_of(spark, st.split_log(log, "step_no"), schema), 2.5)).collect()}
+    for parts, files, at_once in ((3, 4, 4), (3, 4, 1), (9, 2, 3)):  # batches of whole parts, of less, and of more
+        path = st.split_log(log, "step_no", parts, ("qid", "traj_id"), files)
+        got = {tuple(r[:3]): r for r in st.drain_rewards(st.stream_of(spark, path, schema, at_once), 2.5).collect()}
+        assert got.keys() == plain.keys() and len(got) == len(rows)
+        assert all(abs(got[k].prefix_score - plain[k].prefix_score) < 1e-12 and abs(got[k].reward - plain[k].reward) < 1e-12 for k in got)
+
+
 def test_entry_runs(spark):
     import __spark_entry__ as e
 
