@@ -187,3 +187,23 @@ def test_graded_outcome(spark):
 
     rows = spark.createDataFrame([(1, True), (0, True), (0, False), (None, None)], "o int, ran boolean")
     assert [r.g for r in rows.select(graded_outcome(F.col("o"), F.col("ran")).alias("g")).collect()] == [1.0, 0.1, 0.0, 0.0]
+
+
+@pytest.mark.parametrize("name, table", [("few_shot_examples", "conversations"), ("few_shot_examples", "benchmark"), ("op_range_gen", "events"), ("op_cte_recursive", "lineitem")])
+def test_reads_a_given_table(spark, data, name, table):
+    from stepsql.queries import QUERIES
+
+    assert f"{table}.parquet" in QUERIES[name](spark, data)._jdf.queryExecution().analyzed().toString() or any(f"{table}.parquet" in f for f in QUERIES[name](spark, data).inputFiles())
+
+
+def test_paths_take_only_keys_that_the_rows_keep(spark, data, tmp_path):
+    import os
+
+    from stepsql.queries import QUERIES
+
+    for f in os.listdir(data):
+        if f != "supplier.parquet":
+            os.symlink(f"{data}/{f}", tmp_path / f)
+    spark.read.parquet(f"{data}/supplier.parquet").where("s_suppkey <> 3").write.parquet(str(tmp_path / "supplier.parquet"))
+    whole, less = ({(r.src, r.dst): r.hops for r in QUERIES["op_join_schema_path"](spark, d).collect()} for d in (data, str(tmp_path)))
+    assert whole["lineitem", "supplier"] == 1 and ("lineitem", "supplier") not in less and less["orders", "customer"] == 1
