@@ -6,49 +6,75 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def _rounded(c: Column, digits: int) -> Column:
+# Expressions are built as SQL text: hundreds of calls to build them one by one take longer than a small query.
+
+
+def _rounded(c: str, digits: int, double: bool) -> str:
     """A number as text, equal where it is equal after rounding to so many digits, whatever its type: below 2^53 units of the last digit the count of units, which is
-    exact and far cheaper than a formatted number; beyond it, and for what is no number, that."""
-    r, unit = F.round(c, digits), 10**digits
-    return F.when(F.abs(c) < (1 << 52) // unit, F.concat(F.lit("u"), F.rint(r.cast("double") * unit).cast("bigint").cast("string"))).otherwise(F.format_number(r + 0.0, digits))
+    exact and far cheaper than a formatted number; beyond it, and for what is no number, that. Units of a double below 2^48 that lie within a quarter of a whole number are
+    counted at once: the product is off by less than a twentieth there, so exact decimal rounding, which costs far more, ends at the same number."""
+    unit = 10**digits
+    counted = lambda x: f"concat('u', CAST(CAST(rint({x}) AS BIGINT) AS STRING))"
+    near = f"WHEN abs({c}) < {(1 << 48) // unit} AND abs({c} * {unit}.0D - rint({c} * {unit}.0D)) < 0.25D THEN {counted(f'{c} * {unit}.0D')} " if double else ""
+    return f"CASE {near}WHEN abs({c}) < {(1 << 52) // unit}L THEN {counted(f'CAST(round({c}, {digits}) AS DOUBLE) * {unit}')} ELSE format_number(round({c}, {digits}) + 0.0D, {digits}) END"
 
 
-def _plain(df: DataFrame, digits: int) -> list[Column]:
+def _plain(df: DataFrame, digits: int) -> list[str]:
     """Columns as text: doubles rounded (no negative zero), others as they are; nulls apart from any text."""
     out = []
     for i, (_, kind) in enumerate(df.dtypes):
-        c = F.col(f"c{i}")
-        c = _rounded(c, digits) if kind in ("double", "float") or kind.startswith("decimal") else c.cast("string")
-        out.append(F.coalesce(F.concat(F.lit("v"), c), F.lit("n")))
+        c = _rounded(f"c{i}", digits, kind == "double") if kind in ("double", "float") or kind.startswith("decimal") else f"CAST(c{i} AS STRING)"
+        out.append(f"coalesce(concat('v', {c}), 'n')")
     return out
 
 
-def _key_parts(df: DataFrame, digits: int) -> tuple[DataFrame, list[Column], Column]:
-    """Rows with plain column names, aggregates over them, and the key formed of these."""
+_LONG, _SHORT = (21, 21, 22), (16, 16)  # bits a piece of a hash
+
+
+def _pieces(h: str, widths: tuple[int, ...]) -> list[Column]:
+    """Sums of a hash's bits in pieces, the lowest first: whole numbers that no count of rows makes overflow, at a small part of a decimal sum's cost."""
+    out, at = [], 0
+    for k, width in enumerate(widths):
+        piece = f"shiftright({h}, {at})" if k + 1 == len(widths) else f"shiftright({h}, {at}) & {(1 << width) - 1}L"  # the last piece holds the sign
+        out.append(F.expr(f"sum({piece}) AS {h}{k}"))
+        at += width
+    return out
+
+
+def _whole(h: str, widths: tuple[int, ...]) -> str:
+    """The sum of a hash as text, from those of its pieces."""
+    parts = [f"CAST(coalesce({h}{k}, 0) AS DECIMAL(19,0)) * CAST({1 << sum(widths[:k])} AS DECIMAL(16,0))" for k in range(len(widths))]
+    return f"CAST(CAST({' + '.join(parts)} AS DECIMAL(38,0)) AS STRING)"
+
+
+def _key_parts(df: DataFrame, digits: int, leads: tuple[int, ...] = ()) -> tuple[DataFrame, list[Column], list[Column]]:
+    """Rows with plain column names and their hashes, aggregates over them, and the keys formed of these: that of df, and of df with each constant before its columns."""
     rows = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
-    row = F.array_join(F.array(*_plain(df, digits)), "\x1f")
-    wide = lambda c: c.cast("decimal(38,0)")
-    sums = [F.count("*").alias("n"), F.coalesce(F.sum(wide(F.xxhash64(row))), F.lit(0)).alias("a"), F.coalesce(F.sum(wide(F.hash(row, F.lit(7)))), F.lit(0)).alias("b")]
-    return rows, sums, F.concat_ws(":", F.lit(str(len(df.columns))), *[F.col(c).cast("string") for c in ("n", "a", "b")])
+    rows = rows.selectExpr("*", f"concat_ws('\x1f', {', '.join(_plain(df, digits))}) AS row")
+    texts = ["row", *[f"concat('v{x}\x1f', row)" for x in leads]]
+    rows = rows.selectExpr("*", *[e for i, text in enumerate(texts) for e in (f"xxhash64({text}) AS a{i}_", f"CAST(hash({text}, 7) AS BIGINT) AS b{i}_")])
+    sums, keys = [F.count("*").alias("n")], []
+    for i in range(len(texts)):
+        sums += [*_pieces(f"a{i}_", _LONG), *_pieces(f"b{i}_", _SHORT)]
+        keys.append(F.expr(f"concat_ws(':', '{len(df.columns) + (i > 0)}', CAST(n AS STRING), {_whole(f'a{i}_', _LONG)}, {_whole(f'b{i}_', _SHORT)})"))
+    return rows, sums, keys
 
 
 def result_key(df: DataFrame, digits: int = 6) -> DataFrame:
     """One row, result_key: row count, and sums of two row hashes, of all columns in order, names aside. Equal multisets of
     rows have equal keys; one aggregate, no row is shuffled."""
-    rows, sums, key = _key_parts(df, digits)
-    return rows.agg(*sums).select(key.alias("result_key"))
+    rows, sums, keys = _key_parts(df, digits)
+    return rows.agg(*sums).select(keys[0].alias("result_key"))
 
 
-def digest(df: DataFrame, key: tuple[str, ...] = (), sample: int = 0, with_result: bool = False) -> DataFrame:
+def digest(df: DataFrame, key: tuple[str, ...] = (), sample: int = 0, with_result: bool = False, leads: tuple[int, ...] = ()) -> DataFrame:
     """One row: n_rows, n_cols, nulls (share of null cells); keys, repeats and fanout (distinct keys, n_rows / keys, and the most rows of
-    one key less one) if a key is named; sample (that many rows as text, the least by hash) and result_key if asked for. One scan, but for a key's
+    one key less one) if a key is named; sample (that many rows as text, the least by hash) and result_key if asked for, with lead_keys, those of df with each of some constants before its columns. One scan, but for a key's
     largest count."""
-    rows, sums, key_text = _key_parts(df, 6)
+    rows, sums, key_texts = _key_parts(df, 6, leads)
     places = [f"c{df.columns.index(k)}" for k in key]
-    cells = F.lit(0)
-    for c in rows.columns:
-        cells = cells + F.col(c).isNull().cast("int")
-    parts = [*sums, F.sum(cells).alias("empty")]
+    empty = " + ".join(["0", *[f"CAST(c{i} IS NULL AS INT)" for i in range(len(df.columns))]])
+    parts = [*sums, F.expr(f"sum({empty}) AS empty")]
     if places:
         # rows of a key first, so that a key of any size is a number
         counted = rows.groupBy(*places).agg(F.count("*").alias("k"))
@@ -59,12 +85,14 @@ def digest(df: DataFrame, key: tuple[str, ...] = (), sample: int = 0, with_resul
         out = out.crossJoin(keyed)  # one row each
         fields += ["keys", F.try_divide("n", "keys").alias("repeats"), F.coalesce(F.col("most") - 1, F.lit(0)).alias("fanout")]
     if sample:
-        text = F.to_json(F.struct(*[F.col(c).cast("string").alias(c) for c in rows.columns]))
+        text = F.to_json(F.struct(*[F.col(c).cast("string").alias(c) for c in rows.columns[: len(df.columns)]]))
         picked = rows.select(F.xxhash64(text).alias("h"), text.alias("t")).distinct().orderBy("h", "t").limit(sample).agg(F.array_sort(F.collect_list(F.struct("h", "t"))).alias("s"))
         out = out.crossJoin(picked)  # one row each
         fields.append(F.transform("s", lambda x: x["t"]).alias("sample"))
     if with_result:
-        fields.append(key_text.alias("result_key"))
+        fields.append(key_texts[0].alias("result_key"))
+    if leads:
+        fields.append(F.array(*key_texts[1:]).alias("lead_keys"))
     return out.select(*fields)
 
 

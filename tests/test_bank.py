@@ -206,6 +206,21 @@ def test_prefixes_that_read_the_same_run_once(spark, data, monkeypatch):
     assert not [t for t in spark.catalog.listTables() if t.name.startswith("kept_")]
 
 
+def test_prefixes_of_one_plan_run_once(spark, data, monkeypatch):
+    bank.prepare(spark, data)
+    texts, plain = [], ex.run_text
+    monkeypatch.setattr(ex, "run_text", lambda spark, text, *more: texts.append(text) or plain(spark, text, *more))
+    steps = ("SELECT n_nationkey, n_name FROM nation", "SELECT 1 AS extra, n_nationkey, n_name FROM nation")
+    chains = [([("one", text)], close) for text in steps for close in ("SELECT count(n_name) AS n FROM one WHERE n_nationkey > 3", "SELECT * FROM one WHERE n_nationkey > 3")]
+    rows = {r.prefix_key: r for r in ex.run_chains(spark, chains, keep=True).collect()}
+    assert len(texts) == 4 and len(rows) == 6  # the step with and without its constant, one count; SELECT * has another text behind a constant step, so it runs twice
+    for steps_, close in chains:
+        for k, key in enumerate(ex.prefix_keys(steps_, close)):
+            want = plain(spark, ch.compose(steps_, close) if k else ch.compose(steps_, upto=1))
+            assert [rows[key][c] for c in ("status", "n_rows", "n_cols", "nulls", "result_key")] == [want[c] for c in ("status", "n_rows", "n_cols", "nulls", "result_key")]
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("kept_")]
+
+
 def test_numbers_of_all_types_have_one_key(spark):
     key = lambda text: digest(spark.sql(text), with_result=True).first().result_key
     assert key("SELECT 0.5D AS a") == key("SELECT 0.5 AS a") == key("SELECT CAST(0.5 AS FLOAT) AS a") == key("SELECT 0.5000004D AS a") != key("SELECT 0.500001D AS a")
