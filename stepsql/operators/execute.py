@@ -74,27 +74,43 @@ def run_text(spark: SparkSession, text: str, leads: tuple[int, ...] = ()) -> dic
         return {"status": kind, "condition": condition(e), "n_rows": None, "n_cols": None, "nulls": None, "result_key": None, "seconds": time.perf_counter() - began}
 
 
-#: Joins whose smaller side has no shuffled partition above this size, as measured, hash it in place of sorting both sides.
-HASHED = ("spark.sql.adaptive.maxShuffledHashJoinLocalMapThreshold", "16m")
+#: Joins whose smaller side has no shuffled partition above this size, as measured, hash it in place of sorting both sides; Spark does so only where it aims at partitions no larger.
+HASHED = "8m"
+#: Splits of a file: the hash maps of a task stay small enough not to spill.
+SPLIT = "16m"
+
+
+def _settings(spark: SparkSession) -> dict[str, str]:
+    """Settings while chains run. Shuffles start with eight partitions a core, so that those of large tables are small; Spark puts small ones together again."""
+    many = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8 * spark.sparkContext.defaultParallelism)
+    return {
+        "spark.sql.adaptive.maxShuffledHashJoinLocalMapThreshold": HASHED,
+        "spark.sql.adaptive.advisoryPartitionSizeInBytes": HASHED,
+        "spark.sql.adaptive.coalescePartitions.initialPartitionNum": str(many),
+        "spark.sql.files.maxPartitionBytes": SPLIT,
+    }
 
 
 @contextmanager
 def hashing(spark: SparkSession) -> Iterator[None]:
-    """HASHED while chains run; what the session had is put back."""
-    key, value = HASHED
-    before = spark.conf.get(key, None)
-    spark.conf.set(key, value)
+    """_settings while chains run; what the session had is put back."""
+    settings = _settings(spark)
+    before = {key: spark.conf.get(key, None) for key in settings}
+    for key, value in settings.items():
+        spark.conf.set(key, value)
     try:
         yield
     finally:
-        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
+        for key, value in before.items():
+            spark.conf.unset(key) if value is None else spark.conf.set(key, value)
 
 
 def _keep(spark: SparkSession, text: str, key: str) -> str | None:
     """The result of a prefix as a table and a view of this name; None where it cannot be written (columns of one name, or of no storable type)."""
     name = f"kept_{key[:24]}"
     try:
-        written(spark.sql(text)).createOrReplaceTempView(name)
+        # read a few times and dropped: a dictionary costs more to build than it saves
+        written(spark.sql(text), {"parquet.enable.dictionary": "false"}).createOrReplaceTempView(name)
     except PySparkException:
         return None
     return name

@@ -221,6 +221,22 @@ def test_prefixes_of_one_plan_run_once(spark, data, monkeypatch):
     assert not [t for t in spark.catalog.listTables() if t.name.startswith("kept_")]
 
 
+def test_chains_hash_the_smaller_side(spark, data):
+    bank.prepare(spark, data)
+    key, own = "spark.sql.autoBroadcastJoinThreshold", spark.conf.get("spark.sql.adaptive.advisoryPartitionSizeInBytes")
+    broadcast = spark.conf.get(key)
+    spark.conf.set(key, "-1")
+    try:
+        with ex.hashing(spark):
+            df = spark.sql("SELECT l_quantity, o_custkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
+            assert len(df.collect()) == spark.table("lineitem").count()
+            plan = df._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+    finally:
+        spark.conf.set(key, broadcast)
+    assert "ShuffledHashJoin" in plan and "SortMergeJoin" not in plan
+    assert spark.conf.get("spark.sql.adaptive.advisoryPartitionSizeInBytes") == own
+
+
 def test_numbers_of_all_types_have_one_key(spark):
     key = lambda text: digest(spark.sql(text), with_result=True).first().result_key
     assert key("SELECT 0.5D AS a") == key("SELECT 0.5 AS a") == key("SELECT CAST(0.5 AS FLOAT) AS a") == key("SELECT 0.5000004D AS a") != key("SELECT 0.500001D AS a")
