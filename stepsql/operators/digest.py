@@ -9,22 +9,37 @@ from pyspark.sql import functions as F
 # Expressions are built as SQL text: hundreds of calls to build them one by one take longer than a small query.
 
 
+#: What stands for a null, and what the counts of rounded numbers are crossed with, so that neither meets a whole number or a text's hash.
+_NULL, _COUNTED = -7046029254386353131, 5871781006564002453
+
+
 def _rounded(c: str, digits: int, double: bool) -> str:
-    """A number as text, equal where it is equal after rounding to so many digits, whatever its type: below 2^53 units of the last digit the count of units, which is
-    exact and far cheaper than a formatted number; beyond it, and for what is no number, that. Units of a double below 2^48 that lie within a quarter of a whole number are
-    counted at once: the product is off by less than a twentieth there, so exact decimal rounding, which costs far more, ends at the same number."""
+    """A number as a whole number, equal where it is equal after rounding to so many digits, whatever its type: below 2^53 units of the last digit the count of units, which is
+    exact and far cheaper than a formatted number; beyond it, and for what is no number, the hash of that. Units of a double below 2^48 that lie within two fifths of a whole number are
+    counted at once: the product is off by less than a sixteenth there, so exact decimal rounding, which costs far more, ends at the same number."""
     unit = 10**digits
-    counted = lambda x: f"concat('u', CAST(CAST(rint({x}) AS BIGINT) AS STRING))"
-    near = f"WHEN abs({c}) < {(1 << 48) // unit} AND abs({c} * {unit}.0D - rint({c} * {unit}.0D)) < 0.25D THEN {counted(f'{c} * {unit}.0D')} " if double else ""
-    return f"CASE {near}WHEN abs({c}) < {(1 << 52) // unit}L THEN {counted(f'CAST(round({c}, {digits}) AS DOUBLE) * {unit}')} ELSE format_number(round({c}, {digits}) + 0.0D, {digits}) END"
+    counted = lambda x: f"CAST(rint({x}) AS BIGINT) ^ {_COUNTED}L"
+    near = f"WHEN abs({c}) < {(1 << 48) // unit} AND abs({c} * {unit}.0D - rint({c} * {unit}.0D)) < 0.4D THEN {counted(f'{c} * {unit}.0D')} " if double else ""
+    return f"CASE {near}WHEN abs({c}) < {(1 << 52) // unit}L THEN {counted(f'CAST(round({c}, {digits}) AS DOUBLE) * {unit}')} ELSE xxhash64(format_number(round({c}, {digits}) + 0.0D, {digits})) END"
+
+
+def _texts(c: str) -> str:
+    """The hash of a text, or the whole number that it writes: a value is one in any type that has the same text."""
+    return f"CASE WHEN {c} < ':' AND CAST(try_cast({c} AS BIGINT) AS STRING) = {c} THEN try_cast({c} AS BIGINT) ELSE xxhash64({c}) END"
 
 
-def _plain(df: DataFrame, digits: int) -> list[str]:
-    """Columns as text: doubles rounded (no negative zero), others as they are; nulls apart from any text."""
+def _cells(df: DataFrame, digits: int) -> list[str]:
+    """Columns as whole numbers: doubles rounded (no negative zero), whole numbers as they are, others by their text; nulls apart from all."""
     out = []
     for i, (_, kind) in enumerate(df.dtypes):
-        c = _rounded(f"c{i}", digits, kind == "double") if kind in ("double", "float") or kind.startswith("decimal") else f"CAST(c{i} AS STRING)"
-        out.append(f"coalesce(concat('v', {c}), 'n')")
+        if kind in ("double", "float") or kind.startswith("decimal"):
+            c = f"CASE WHEN c{i} IS NOT NULL THEN {_rounded(f'c{i}', digits, kind == 'double')} END"
+        elif kind in ("tinyint", "smallint", "int", "bigint"):
+            c = f"CAST(c{i} AS BIGINT)"
+        else:
+            text = f"c{i}" if kind == "string" else f"CAST(c{i} AS STRING)"
+            c = f"CASE WHEN c{i} IS NOT NULL THEN {_texts(text)} END"
+        out.append(f"coalesce({c}, {_NULL}L)")
     return out
 
 
@@ -50,11 +65,13 @@ def _whole(h: str, widths: tuple[int, ...]) -> str:
 def _key_parts(df: DataFrame, digits: int, leads: tuple[int, ...] = ()) -> tuple[DataFrame, list[Column], list[Column]]:
     """Rows with plain column names and their hashes, aggregates over them, and the keys formed of these: that of df, and of df with each constant before its columns."""
     rows = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
-    rows = rows.selectExpr("*", f"concat_ws('\x1f', {', '.join(_plain(df, digits))}) AS row")
-    texts = ["row", *[f"concat('v{x}\x1f', row)" for x in leads]]
-    rows = rows.selectExpr("*", *[e for i, text in enumerate(texts) for e in (f"xxhash64({text}) AS a{i}_", f"CAST(hash({text}, 7) AS BIGINT) AS b{i}_")])
+    cells = _cells(df, digits)
+    rows = rows.selectExpr("*", *[f"{c} AS h{i}_" for i, c in enumerate(cells)])
+    own = [f"h{i}_" for i in range(len(cells))]
+    hashed = [own or ["0L"], *[[f"{x}L", *own] for x in leads]]
+    rows = rows.selectExpr("*", *[e for i, of in enumerate(hashed) for e in (f"xxhash64({', '.join(of)}) AS a{i}_", f"CAST(hash({', '.join(of)}, 7) AS BIGINT) AS b{i}_")])
     sums, keys = [F.count("*").alias("n")], []
-    for i in range(len(texts)):
+    for i in range(len(hashed)):
         sums += [*_pieces(f"a{i}_", _LONG), *_pieces(f"b{i}_", _SHORT)]
         keys.append(F.expr(f"concat_ws(':', '{len(df.columns) + (i > 0)}', CAST(n AS STRING), {_whole(f'a{i}_', _LONG)}, {_whole(f'b{i}_', _SHORT)})"))
     return rows, sums, keys
