@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from stepsql.sources.bank import Question
 from stepsql.sources.shared import written
+from stepsql.sources.tables import NAMES, dealt
 
 from .chains import compose, flatten
 from .execute import digests, hashing, prefix_keys
@@ -67,6 +68,18 @@ def menu_rows(questions: Sequence[Question], most: int = 24) -> list[tuple]:
     return [(q.qid, slot, token, o.kind, o.sql) for q in questions for slot, options in enumerate(menu(q, most), 1) for token, o in enumerate(options)]
 
 
+def heaviest_first(spark: SparkSession, questions: Sequence[Question], most: int = 24) -> list[int]:
+    """Numbers of the questions, those first whose menus sort a whole result in one task (a window without partitions), then by the bytes of the tables that their texts name: what runs
+    longest is not left for the end, when the other lanes are done."""
+    size = {t: int(str(spark.table(t)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) for t in NAMES if spark.catalog.tableExists(t)}
+
+    def weight(q: Question) -> tuple[bool, int]:
+        texts = [o.sql for options in menu(q, most) for o in options]
+        return any(re.search(r"(?i)\bOVER \(ORDER BY\b", t) for t in texts), sum(size.get(w, 0) for t in texts for w in set(re.findall(r"\w+", t.lower())))
+
+    return [q.qid for q in sorted(questions, key=weight, reverse=True)]
+
+
 def run_menus(spark: SparkSession, questions: Sequence[Question], most: int = 24, threads: int = 8) -> DataFrame:
     """RUN columns and the digest (status, condition, n_rows, n_cols, nulls, result_key, seconds, run_key) for every prefix of every chain."""
     chains, rows = {}, []
@@ -90,8 +103,8 @@ def run_menus(spark: SparkSession, questions: Sequence[Question], most: int = 24
                 )
     found: dict[str, dict] = {}
     # a question at a time in each lane, as its kept steps go when it is done
-    with hashing(spark), ThreadPoolExecutor(LANES) as lanes:
-        for part in lanes.map(lambda own: digests(spark, own, threads=max(1, threads // LANES), keep=True), chains.values()):
+    with hashing(spark), dealt(spark), ThreadPoolExecutor(LANES) as lanes:
+        for part in lanes.map(lambda qid: digests(spark, chains[qid], threads=max(1, threads // LANES), keep=True), heaviest_first(spark, questions, most)):
             found |= part
     last = {(r[0], r[5]): found[r[12]] for r in rows if r[6] == r[7]}
     out = []

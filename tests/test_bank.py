@@ -14,10 +14,11 @@ from stepsql.operators import bankpolicy as bp
 from stepsql.operators import bankrun
 from stepsql.operators import chains as ch
 from stepsql.operators import execute as ex
+from stepsql.operators import digest as digest_module
 from stepsql.operators.digest import digest
 from stepsql.queries import QUERIES
 from stepsql.queries import experiments as xp
-from stepsql.sources import bank
+from stepsql.sources import bank, tables
 
 MENU = [(q, s, t, "" if t == 0 else f"kind{t}", f"text {q} {s} {t}") for q in (1, 2) for s in (1, 2) for t in range(3)]
 
@@ -245,6 +246,46 @@ def test_numbers_of_all_types_have_one_key(spark):
     assert len({key(f"SELECT CAST({x} AS DOUBLE) AS a") for x in ("'NaN'", "'Infinity'", "'-Infinity'", "NULL", "4.5e9", "4.6e9")}) == 6
 
 
+def test_values_of_one_text_have_one_key(spark):
+    """Whole numbers are hashed as such and texts as texts, in any place, and a null is neither; a digest formats no number that it can count."""
+    df = spark.sql("SELECT 1 AS a, 'x' AS b, 0.5D AS c")
+    assert "format_number" not in " ".join(digest_module._cells(df.select("a", "b"), 6))
+    key = lambda text: digest(spark.sql(text), with_result=True).first().result_key
+    assert key("SELECT 5 AS a") == key("SELECT 5L AS a") == key("SELECT '5' AS a") != key("SELECT '05' AS a")
+    assert len({key(f"SELECT {x} AS a, {y} AS b") for x, y in (("NULL", "5"), ("5", "NULL"), ("0", "5"), ("'NULL'", "5"), ("'-0'", "5"), ("' 0'", "5"), ("NULL", "NULL"))}) == 7
+    assert key("SELECT CAST(NULL AS DOUBLE) AS a") == key("SELECT CAST(NULL AS STRING) AS a")
+    row = digest(spark.sql("SELECT 'x' AS b, 2.5D AS c"), with_result=True, leads=(1, 7)).first()
+    assert list(row.lead_keys) == [key(f"SELECT {x} AS a, 'x' AS b, 2.5D AS c") for x in (1, 7)]
+    # just under and over the middle of two counts, where exact decimals decide
+    assert len({key(f"SELECT {x}D AS a") for x in ("0.00000149", "0.0000014", "0.0000011")}) == 1 != len({key(f"SELECT {x}D AS a") for x in ("0.00000149", "0.00000151")})
+
+
+def test_distinct_counts_of_a_star_run_apart(spark, data):
+    bank.prepare(spark, data)
+    gold = next(q.gold for q in bank.QUESTIONS if q.qid == 26)
+    text = ex.apart(spark, gold)
+    assert "UNION ALL" in text and sorted(spark.sql(text).collect()) == sorted(spark.sql(gold).collect())
+    for name, rows in (("hub_t", "(1, 'a'), (2, 'a'), (3, 'b'), (4, NULL), (NULL, 'c')"), ("left_t", "(1, 1), (1, 1), (1, NULL), (2, 3), (4, 7), (9, 1), (NULL, 5)"), ("right_t", "(1, 8), (2, 8), (2, 9), (3, 4), (4, NULL)")):
+        spark.sql(f"SELECT * FROM VALUES {rows}").toDF(f"{name[0]}_key", f"{name[0]}_value").createOrReplaceTempView(name)
+    star = "FROM hub_t JOIN left_t ON l_key = h_key JOIN right_t ON h_key = r_key GROUP BY"
+    plain = f"SELECT h_value, count(DISTINCT l_value) AS a, count(DISTINCT r_value) + 1 AS b {star} h_value"
+    assert ex.apart(spark, plain) != plain and sorted(map(str, spark.sql(ex.apart(spark, plain)).collect())) == sorted(map(str, spark.sql(plain).collect()))
+    for out, by in (("h_value, count(DISTINCT l_value), count(*)", "h_value"), ("l_value, count(DISTINCT l_value), count(DISTINCT r_value)", "l_value"), ("h_value, count(DISTINCT l_value)", "h_value"), ("h_value, sum(l_value), count(DISTINCT r_value)", "h_value")):
+        assert ex.apart(spark, f"SELECT {out} {star} {by}") == f"SELECT {out} {star} {by}"  # pairs count here
+    assert ex.apart(spark, "WITH left_u AS (SELECT * FROM left_t) " + plain.replace("left_t", "left_u")).count("UNION") == 0
+
+
+def test_menus_read_small_tables_in_many_tasks(spark, data):
+    bank.prepare(spark, data)
+    own, rows = spark.table("customer").inputFiles(), spark.table("customer").orderBy("c_custkey").collect()
+    with tables.dealt(spark, least=1):
+        held = spark.table("customer")
+        assert held.rdd.getNumPartitions() == spark.sparkContext.defaultParallelism > len(own) and held.orderBy("c_custkey").collect() == rows
+    assert spark.table("customer").inputFiles() == own
+    order = bankrun.heaviest_first(spark, bank.QUESTIONS)
+    assert sorted(order) == [q.qid for q in bank.QUESTIONS] and 22 in order[:6] and order.index(27) < order.index(23)
+
+
 def test_ordered_outcome_keeps_the_order(spark, data):
     bank.prepare(spark, data)
     up, down = "SELECT o_orderkey FROM orders ORDER BY o_orderkey", "SELECT o_orderkey FROM orders ORDER BY o_orderkey DESC"
