@@ -6,6 +6,8 @@ bankrun has executed. Nothing here grows with the tables."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 from pyspark.ml.feature import HashingTF
@@ -215,35 +217,43 @@ def candidates(steps: DataFrame) -> DataFrame:
 # --- updates ---------------------------------------------------------------------------------------
 
 
+@contextmanager
+def brief(spark: SparkSession) -> Iterator[None]:
+    """Settings for many short jobs over the bank's small tables, where planning anew by stages, compiling and starting tasks would take most of the time; what the session had is put back."""
+    settings = {"spark.sql.adaptive.enabled": "false", "spark.sql.codegen.wholeStage": "false", "spark.sql.codegen.factoryMode": "NO_CODEGEN", "spark.sql.shuffle.partitions": "2"}
+    before = {key: spark.conf.get(key, None) for key in settings}
+    for key, value in settings.items():
+        spark.conf.set(key, value)
+    try:
+        yield
+    finally:
+        for key, value in before.items():
+            spark.conf.unset(key) if value is None else spark.conf.set(key, value)
+
+
 def update(policy: DataFrame, scores: DataFrame, runs: DataFrame, config: TrainConfig, number: int) -> DataFrame:
     """The policies after one round. policy has a reference logit `ref` beside `logit`. Groups are sampled from the policy as it was; the clipped surrogate's gradient, with ratios to
     that policy (or to the reference), is climbed `inner` times, less the penalty for leaving the reference. A part of each option's step goes to all options of its error type
-    and state, which is what carries over to other questions. Runs whose name begins with `outcome` or `graded` get no step rewards."""
-    old = written(softmax(policy).withColumnRenamed("p", "p_old"))
-    drawn = sample(policy.join(runs.where("split = 'train'").select("qid").distinct(), "qid"), config.group, number * 1000 + config.seed, config.temperature)
-    steps = adv.raw(rewarded(scored_steps(drawn, scores, runs)))
+    and state, which is what carries over to other questions. Runs whose name begins with `outcome` or `graded` get no step rewards. What the sampled chains say of an option is summed
+    once, by the sign of the advantage, as all of them share its ratio; the steps are then windows over the options."""
+    own, kind = Window.partitionBy(*CONTEXT), Window.partitionBy("run", "error_type", "state")
+    drawn = written(sample(policy.join(runs.where("split = 'train'").select("qid").distinct(), "qid"), config.group, number * 1000 + config.seed, config.temperature))
+    found = written(scored_steps(drawn, scores, runs).select("run", "qid", "question", "traj_id", "step_no", "state", "token", "score", "h_step", "n_tokens", "outcome", "status"))
     plain = F.when(F.col("run").startswith("graded"), graded_outcome(F.col("outcome"), F.col("status") == "ok")).when(F.col("run").startswith("outcome"), F.col("outcome").cast("double"))
-    steps = written(adv.standardise(steps.withColumn("adv_raw", F.coalesce(plain, "adv_raw"))).select("run", F.col("question").alias("qid"), F.col("step_no").alias("slot"), "state", "token", "adv", "traj_id", "n_tokens"))
-    length = steps.groupBy("run", "qid", "traj_id").agg(F.sum("n_tokens").alias("len"))
-    taken = steps.join(length, ["run", "qid", "traj_id"]).join(old.select(*CONTEXT, "token", "p_old"), [*CONTEXT, "token"])
-    own = Window.partitionBy(*CONTEXT)
+    steps = adv.raw(rewarded(found)).withColumn("adv_raw", F.coalesce(plain, "adv_raw")).withColumn("len", F.sum("n_tokens").over(Window.partitionBy("qid", "traj_id")))
+    part, up = F.col("adv") / F.col("len") / config.group, F.col("adv") >= 0
+    pulls = adv.standardise(steps).groupBy("run", F.col("question").alias("qid"), F.col("step_no").alias("slot"), "state", "token").agg(F.sum(F.when(up, part)).alias("up"), F.sum(F.when(~up, part)).alias("down"))
+    places = policy.groupBy("run", "error_type", "state").agg(F.count_distinct("qid", "slot").alias("places"))
+    old = softmax(policy).drop("entropy").withColumnsRenamed({"p": "p_old", "logit": "now", "ref": "logit"})
+    both = softmax(old).drop("entropy").withColumnsRenamed({"p": "p_ref", "logit": "ref", "now": "logit"})
+    policy = written(both.join(pulls, [*CONTEXT, "token"], "left").fillna(0.0, ["up", "down"]).join(places, ["run", "error_type", "state"]))
+    rho, drift = F.col("p") / F.col("p_old" if config.ratio_base == "old" else "p_ref"), F.ln(F.col("p") / F.col("p_ref"))
+    pull = rho * (F.when(rho < 1 + config.clip, F.col("up")).otherwise(F.lit(0.0)) + F.when(rho > 1 - config.clip, F.col("down")).otherwise(F.lit(0.0)))
     for _ in range(config.inner):
-        now = softmax(policy)
-        base = F.col("p_old") if config.ratio_base == "old" else F.col("p_ref")
-        ref = softmax(policy.withColumn("logit", F.col("ref"))).select(*CONTEXT, "token", F.col("p").alias("p_ref"))
-        now = now.join(ref, [*CONTEXT, "token"])
-        rho = F.col("p") / base
-        open_ = F.when(F.col("adv") >= 0, rho < 1 + config.clip).otherwise(rho > 1 - config.clip)
-        pull = taken.join(now.select(*CONTEXT, "token", "p", "p_ref"), [*CONTEXT, "token"]).withColumn("c", F.when(open_, F.col("adv") * rho / F.col("len") / config.group).otherwise(F.lit(0.0)))
-        gain = pull.groupBy(*CONTEXT, "token").agg(F.sum("c").alias("gain"))
-        drift = F.ln(F.col("p") / F.col("p_ref"))
-        step = (
-            now.join(gain, [*CONTEXT, "token"], "left").fillna(0.0, ["gain"])
-            .withColumn("g", F.col("gain") - F.col("p") * F.sum("gain").over(own) - config.kl * F.col("p") * (drift - F.sum(F.col("p") * drift).over(own)))
-        )
-        shared = step.groupBy("run", "error_type", "state").agg((F.sum("g") / F.count_distinct("qid", "slot")).alias("shared"))
-        policy = step.join(shared, ["run", "error_type", "state"]).select(*CONTEXT, "token", "error_type", "ref", (F.col("logit") + config.rate * (F.col("g") + config.sharing * F.col("shared"))).alias("logit"))
-    return written(policy)
+        now = softmax(policy).drop("entropy").withColumn("gain", pull)
+        step = now.withColumn("g", F.col("gain") - F.col("p") * F.sum("gain").over(own) - config.kl * F.col("p") * (drift - F.sum(F.col("p") * drift).over(own)))
+        policy = step.withColumn("logit", F.col("logit") + config.rate * (F.col("g") + config.sharing * F.sum("g").over(kind) / F.col("places"))).drop("p", "gain", "g")
+    return written(policy.select(*CONTEXT, "token", "error_type", "ref", "logit"))
 
 
 def dev_accuracy(policy: DataFrame, runs: DataFrame, n: int = 8) -> DataFrame:
@@ -255,19 +265,23 @@ def dev_accuracy(policy: DataFrame, runs: DataFrame, n: int = 8) -> DataFrame:
 
 
 def train(start: DataFrame, names: tuple[str, ...], scores: DataFrame, runs: DataFrame, config: TrainConfig = TrainConfig()) -> tuple[DataFrame, DataFrame]:
-    """(policies, curve of method, seed, round, split, protocol, accuracy) from one cold-started policy: every name (method|seed) is a run of its own, side by side."""
+    """(policies, curve of method, seed, round, split, protocol, accuracy) from one cold-started policy: every name (method|seed) is a run of its own, side by side. The policies of
+    all rounds are measured at the end, in one go."""
     spark = start.sparkSession
     runs_ = spark.createDataFrame([(n,) for n in names], "name string")
-    policy = written(start.crossJoin(F.broadcast(runs_)).select(F.col("name").alias("run"), "qid", "slot", "state", "token", "error_type", F.col("logit").alias("ref"), "logit"))  # a row a run
-    points = [written(dev_accuracy(policy, runs).withColumn("round", F.lit(0)))]
-    for number in range(1, config.rounds + 1):
-        policy = update(policy, scores, runs, config, number)
-        points.append(written(dev_accuracy(policy, runs).withColumn("round", F.lit(number))))
-    curve = points[0]
-    for p in points[1:]:
-        curve = curve.unionByName(p)
+    ends, known = written(runs.where("slot = slots").coalesce(1)), written(scores.coalesce(1))  # a row a chain and a prefix of the menus, read every round
+    with brief(spark):
+        policy = written(start.crossJoin(F.broadcast(runs_)).select(F.col("name").alias("run"), "qid", "slot", "state", "token", "error_type", F.col("logit").alias("ref"), "logit"))  # a row a run
+        rounds = [policy]
+        for number in range(1, config.rounds + 1):
+            policy = update(policy, known, ends, config, number)
+            rounds.append(policy)
+    every = rounds[0].withColumn("round", F.lit(0))
+    for number, p in enumerate(rounds[1:], 1):
+        every = every.unionByName(p.withColumn("round", F.lit(number)))
+    curve = written(dev_accuracy(written(every.withColumn("run", F.concat_ws("|", "run", "round")).drop("round")), ends))
     parts = F.split("run", r"\|")
-    return policy, curve.select(parts[0].alias("method"), parts[1].cast("int").alias("seed"), "round", "split", "protocol", "accuracy")
+    return policy, curve.select(parts[0].alias("method"), parts[1].cast("int").alias("seed"), parts[2].cast("int").alias("round"), "split", "protocol", "accuracy")
 
 
 def chosen(cands: DataFrame, n: int, by: str) -> DataFrame:

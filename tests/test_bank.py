@@ -367,3 +367,7 @@ def test_gold_chains_are_right(spark, data):
     rows = QUERIES["candidate_outcomes"](spark, data).collect()
     assert {r.qid for r in rows if r.slips == 0 and r.outcome == 1} == set(range(1, 37))
     assert any(r.error_type == bankrun.NEEDLESS and r.outcome == 1 for r in rows)
+
+
+def test_every_method_is_trained_with_every_seed():
+    assert sorted(xp.RUNS_OF) == sorted(f"{m}|{s}" for m in ("step reward", "outcome only", "graded outcome") for s in (17, 18, 19))
