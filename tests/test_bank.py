@@ -371,3 +371,19 @@ def test_gold_chains_are_right(spark, data):
 
 def test_every_method_is_trained_with_every_seed():
     assert sorted(xp.RUNS_OF) == sorted(f"{m}|{s}" for m in ("step reward", "outcome only", "graded outcome") for s in (17, 18, 19))
+
+
+def test_stability_is_that_of_all_rounds(spark, data):
+    curve = QUERIES["rl_training"](spark, data).where("split = 'train' and protocol = 'sampled'").collect()
+    held = defaultdict(dict)
+    for r in curve:
+        held[f"{r.method}|{r.seed}"][r.round] = r.accuracy
+    rounds, warm_up = TrainConfig().rounds, TrainConfig().warm_up
+    assert len(curve) == len(xp.RUNS_OF) * (rounds + 1) and all(sorted(v) == list(range(rounds + 1)) for v in held.values())
+    rows = {r.method: r for r in QUERIES["bank_stability"](spark, data).collect()}
+    assert rows.keys() == held.keys() == set(xp.RUNS_OF)
+    for name, v in held.items():
+        late = [v[k] for k in range(warm_up + 1, rounds + 1)]
+        off = max((k for k in v if abs(v[k] - v[rounds]) > 2.0), default=0)
+        assert abs(rows[name].mean - np.mean(late)) < 1e-9 and abs(rows[name].std - np.std(late, ddof=1)) < 1e-9
+        assert (rows[name].last, rows[name].peak, rows[name].converged) == (v[rounds], max(v.values()), off + 1)
